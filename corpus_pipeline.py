@@ -6,30 +6,34 @@ from pyspark.sql import DataFrame, SparkSession
 
 from passage_engine.llm import decontaminate, mixing, ngram_join, secrets, toxicity
 from passage_engine.llm.common import stored
+from passage_engine.session import ship
 
 
 def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that the nearest labelled examples call toxic go."""
-    return toxicity.reject(docs, toxicity.fit(docs, spark.read.parquet(f"{sf_dir}/labels.parquet")))
+    return toxicity.reject(docs, toxicity.fit(docs, ship(spark).read.parquet(f"{sf_dir}/labels.parquet")))
 
 
 def one_of_each_group(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of documents that shingle similarity links, the one of smallest doc_id stays."""
+    ship(spark)
     return ngram_join.representatives(docs)
 
 
 def drop_contaminated(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents that hold a window of the benchmark go."""
-    return decontaminate.clean(docs, decontaminate.load(spark.read.parquet(f"{sf_dir}/benchmark.parquet")))
+    return decontaminate.clean(docs, decontaminate.load(ship(spark).read.parquet(f"{sf_dir}/benchmark.parquet")))
 
 
 def redact_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """All documents stay; secrets in their texts give way to a mark."""
+    ship(spark)
     return secrets.redact(docs, secrets.fit(docs))
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents as often as the mix of sources takes them."""
+    ship(spark)
     return mixing.mixed(docs)
 
 
