@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import id_crc, texts_of
+from .common import id_crc, stored, texts_of
 from .language import in_sample
 
 WORD = re.compile(r"[^\W\d_]+")
@@ -127,13 +127,15 @@ def fit(docs: DataFrame, labels: DataFrame, mod: int = 3, rest: int = 1, most: i
         words = [*{*seen[0], *seen[1]}]
         yield pa.record_batch([pa.array(words, pa.string()), pa.array([seen[0][w] for w in words], pa.int64()), pa.array([seen[1][w] for w in words], pa.int64())], names=["word", "clean", "toxic"])
 
-    # The signed root of the chi-square of a word's presence against the label.
-    counts = chosen.select("text", "toxic").mapInArrow(count, "word string, clean long, toxic long").groupBy("word").agg(F.sum("clean").alias("clean"), F.sum("toxic").alias("toxic")).where(F.col("toxic") >= least_texts)
-    base = taken[1] / max(1.0, taken.sum())
-    expected = (F.col("clean") + F.col("toxic")) * F.lit(base)
-    # a word must be at least four times as frequent among toxic texts as by chance
-    strong = counts.where(F.col("toxic") >= 4 * expected).withColumn("z", (F.col("toxic") - expected) / F.sqrt(expected + 1e-9)) if 0 < base < 0.25 else counts.where(F.col("toxic") * (1 - base) > 3 * F.col("clean") * base).withColumn("z", F.col("toxic") - expected)
-    kept = strong.orderBy(F.desc("z"), "word").limit(terms).collect()
+    # Words of toxic texts, by the log-likelihood ratio of their presence against the label; it must
+    # exceed what the best of so many words would reach by chance.
+    counts = stored(chosen.select("text", "toxic").mapInArrow(count, "word string, clean long, toxic long").groupBy("word").agg(F.sum("clean").alias("clean"), F.sum("toxic").alias("toxic")).where(F.col("toxic") >= least_texts), "words")
+    base = float(taken[1] / max(1.0, taken.sum()))
+    odds = min(max(base, 1e-6), 1 - 1e-6)
+    both = F.col("clean") + F.col("toxic")
+    g = 2 * (F.col("toxic") * F.log(F.col("toxic") / (both * odds)) + F.when(F.col("clean") > 0, F.col("clean") * F.log(F.col("clean") / (both * (1 - odds)))).otherwise(0.0))
+    chance = 2 * np.log(max(1, counts.count()) / 0.1)
+    kept = counts.withColumn("g", g).where((F.col("toxic") > 2 * odds * both) & (F.col("g") > float(chance))).orderBy(F.desc("g"), "word").limit(terms).collect()
     index = {r.word: i for i, r in enumerate(sorted(kept, key=lambda r: r.word))}
     total = max(1.0, taken.sum())
     df = np.ones(len(index) + len(MARKS))
