@@ -27,3 +27,10 @@ def register(key: str, oracle: str | None = None):
         return build
 
     return enter
+
+
+def load() -> dict[str, Query]:
+    """The filled registry; importing an experiment's module registers its queries."""
+    from .experiments import core  # noqa: F401
+
+    return CATALOG
