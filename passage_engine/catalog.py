@@ -31,6 +31,6 @@ def register(key: str, oracle: str | None = None):
 
 def load() -> dict[str, Query]:
     """The filled registry; importing an experiment's module registers its queries."""
-    from .experiments import core  # noqa: F401
+    from .experiments import core, learned, speech  # noqa: F401
 
     return CATALOG
