@@ -7,9 +7,10 @@ How it scales:
   A pair must share a token of both prefixes under every order before its sets are compared.
 * Tokens that occur in one class only can't link anything; a bitmap of bounded size tells most.
 * A token's group of up to ``small_group`` classes gives its pairs. A larger one gives a number of
-  pairs in proportion to its size (a star and some rings); what they link is contracted, and only
-  members of different components in a group are then compared, the largest component's own pairs
-  never. Groups of very frequent tokens are dealt out by a salt first.
+  pairs in proportion to its size (a star and some rings); what they link is contracted. Members of
+  different components in a group then meet in blocks of bounded size, where an upper bound of the
+  intersection (from counts of tokens in hash buckets) drops nearly all; the largest component's own
+  pairs never meet. Groups of very frequent tokens are dealt out by a salt first.
 """
 
 from __future__ import annotations
@@ -23,7 +24,7 @@ import zstandard
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import runs, stored, texts_of
+from .common import runs, small_batches, stored, texts_of
 from .graph import components
 from .shingles import U, mix, shingle_sets
 
@@ -46,6 +47,14 @@ def fingerprint(tokens: np.ndarray) -> int:
     return int((mix(tokens).sum(dtype=np.uint64) ^ U(len(tokens))).view(np.int64))
 
 
+BUCKETS = 256
+
+
+def bucket_counts(tokens: np.ndarray) -> bytes:
+    """Tokens in each hash bucket: the sum of the smaller counts of two sets bounds their intersection."""
+    return np.minimum(np.bincount((mix(tokens) & U(BUCKETS - 1)).astype(np.int64), minlength=BUCKETS), 65535).astype(np.uint16).tobytes()
+
+
 def pack_set(tokens: np.ndarray) -> bytes:
     return tokens.view(np.uint8).reshape(-1, 8)[:, : TOKEN_BITS // 8].tobytes()
 
@@ -277,6 +286,56 @@ def _groups(percent: int, small: int, ring_every: int):
     return run
 
 
+def _apart(percent: int):
+    """Members of one group and pair of blocks to pairs of different components that may be similar."""
+
+    def compare(fp, own, n, root, largest, counts, i, j):
+        hist = np.stack([np.frombuffer(c, np.uint16) for c in counts]).astype(np.int32)
+        left = np.flatnonzero(own == i)
+        right = left if i == j else np.flatnonzero(own == j)
+        for x in left:
+            y = right[right > x] if i == j else right
+            y = y[(root[y] != root[x]) & ((root[x] != largest) | (root[y] != largest))]
+            y = y[100 * np.minimum(n[y], n[x]) >= percent * np.maximum(n[y], n[x])]
+            if not len(y):
+                continue
+            most = np.minimum(hist[y], hist[x]).sum(axis=1)
+            full = (hist[y].max(axis=1) == 65535) | (hist[x].max() == 65535)
+            for k in y[full | (100 * most >= percent * (n[y] + n[x] - most))]:
+                yield min(int(fp[x]), int(fp[k])), max(int(fp[x]), int(fp[k]))
+
+    names = ("token", "i", "j", "own", "fp", "n", "root", "largest", "counts")
+
+    def run(batches):
+        held: dict[str, list] = {}
+        key = None
+        out: set[tuple[int, int]] = set()
+
+        def flush():
+            rows = sorted(out)
+            out.clear()
+            return pa.record_batch([pa.array([r[0] for r in rows], pa.int64()), pa.array([r[1] for r in rows], pa.int64())], names=["a", "b"])
+
+        def close():
+            if key is not None and len(held["fp"]) > 1:
+                cols = {c: np.array(held[c], np.int64) for c in names[3:-1]}
+                out.update(compare(cols["fp"], cols["own"], cols["n"], cols["root"], cols["largest"][0], held["counts"], key[1], key[2]))
+
+        for b in batches:
+            for row in zip(*(b.column(c).to_pylist() for c in names), strict=True):
+                if row[:3] != key:
+                    close()
+                    key, held = row[:3], {c: [] for c in names}
+                    if len(out) > 100_000:
+                        yield flush()
+                for c, v in zip(names, row, strict=True):
+                    held[c].append(v)
+        close()
+        yield flush()
+
+    return run
+
+
 def _bitmap(ids: DataFrame, bits: int = 1 << 23, segments: int = 64) -> np.ndarray:
     """Bitmap of bounded size over the ids' hashes; it may pass others, never misses one."""
     width = bits // segments
@@ -306,7 +365,7 @@ def _wanted(k: int, bitmap):
         size = 0
 
         def out():
-            return pa.record_batch([pa.array([r[0] for r in rows], pa.int64()), pa.array([r[1] for r in rows], pa.binary())], names=["fp", "tokens"])
+            return pa.record_batch([pa.array([r[0] for r in rows], pa.int64()), pa.array([r[1] for r in rows], pa.binary()), pa.array([r[2] for r in rows], pa.binary())], names=["fp", "tokens", "counts"])
 
         full = U(len(bitmap.value)) * bits
         for _, n, t in _sets(batches, k):
@@ -314,7 +373,7 @@ def _wanted(k: int, bitmap):
             at = int(mix(np.array([fp]).view(np.uint64))[0] % full)
             if n and fp not in seen and bitmap.value[at >> 3] >> (7 - (at & 7)) & 1:
                 seen.add(fp)
-                rows.append((fp, pack_set(t)))
+                rows.append((fp, pack_set(t), bucket_counts(t)))
                 size += len(t)
             if size > 1 << 20:
                 yield out()
@@ -350,7 +409,7 @@ def _verify(percent: int, orders):
     return run
 
 
-def similarity_components(docs: DataFrame, words: int = 5, percent: int = 75, small_group: int = 32, ring_every: int = 8, salt_at: int = 20_000) -> DataFrame:
+def similarity_components(docs: DataFrame, words: int = 5, percent: int = 75, small_group: int = 32, ring_every: int = 8, salt_at: int = 20_000, block: int = 4096) -> DataFrame:
     """Documents (doc_id, text) to (doc_id, n_shingles, component_id).
 
     Two documents link when 100 * |intersection| >= percent * |union| of their shingle sets;
@@ -359,7 +418,7 @@ def similarity_components(docs: DataFrame, words: int = 5, percent: int = 75, sm
     and link nothing. Repeated rows stay, each with its result; other columns are not read.
     Fingerprints have 64 bits and tokens 40.
     """
-    spark = docs.sparkSession
+    spark = small_batches(docs.sparkSession)
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     parts = max(8, int(spark.conf.get("spark.sql.shuffle.partitions")))
     profile = stored(docs.mapInArrow(_profile(words, parts), PROFILE), "profile")
@@ -373,7 +432,7 @@ def similarity_components(docs: DataFrame, words: int = 5, percent: int = 75, sm
 
     ids = pairs.select(F.col("a").alias("fp")).union(pairs.select("b")).union(members.select("fp"))
     wanted = spark.sparkContext.broadcast(_bitmap(ids))
-    sets = stored(known.mapInArrow(_wanted(words, wanted), "fp long, tokens binary").groupBy("fp").agg(F.first("tokens").alias("tokens")), "sets")
+    sets = stored(known.mapInArrow(_wanted(words, wanted), "fp long, tokens binary, counts binary").dropDuplicates(["fp"]), "sets")
 
     def verified(found: DataFrame, name: str) -> DataFrame:
         one = sets.select(F.col("fp").alias("a"), F.col("tokens").alias("x"))
@@ -385,11 +444,12 @@ def similarity_components(docs: DataFrame, words: int = 5, percent: int = 75, sm
     # What stars and rings left apart: members of other components in the same group.
     placed = members.join(roots, members.fp == roots.node, "left").select("token", "fp", "n", F.coalesce("root", "fp").alias("root"))
     counts = placed.groupBy("token", "root").agg(F.count("*").alias("m"))
-    mixed = counts.groupBy("token").agg(F.max_by("root", F.struct("m", "root")).alias("largest"), F.count("*").alias("roots")).where("roots > 1").drop("roots")
-    placed = stored(placed.join(mixed, "token"), "placed")
-    x, y = placed.where("root <> largest").alias("x"), placed.alias("y")
-    apart = x.join(y, (F.col("x.token") == F.col("y.token")) & (F.col("x.root") != F.col("y.root")) & (100 * F.least("x.n", "y.n") >= percent * F.greatest("x.n", "y.n")))
-    more = apart.select(F.least("x.fp", "y.fp").alias("a"), F.greatest("x.fp", "y.fp").alias("b")).distinct().join(pairs, ["a", "b"], "left_anti")
+    mixed = counts.groupBy("token").agg(F.max_by("root", F.struct("m", "root")).alias("largest"), F.count("*").alias("roots"), F.sum("m").alias("size")).where("roots > 1").drop("roots")
+    n_blocks = F.ceil(F.col("size") / block).cast("int")
+    own = F.pmod(F.xxhash64("fp"), F.col("blocks")).cast("int")
+    placed = placed.join(mixed.withColumn("blocks", n_blocks), "token").join(sets.select("fp", "counts"), "fp").withColumn("own", own)
+    dealt = placed.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).select("token", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "fp", "n", "root", "largest", "counts")
+    more = dealt.repartition(parts, "token", "i", "j").sortWithinPartitions("token", "i", "j").mapInArrow(_apart(percent), "a long, b long").distinct().join(pairs, ["a", "b"], "left_anti")
     again = verified(more, "links")
     if not again.isEmpty():
         roots = stored(components(links.union(again)), "roots")
