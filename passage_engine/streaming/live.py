@@ -161,7 +161,8 @@ class LiveSegmenter(StatefulProcessor):
     """Per key: lengths and word counts of the sentences from the present window's start.
 
     A window runs when the next sentence would exceed its limits; the labels of sentences before the
-    next start are final and go out. A session without rows for ``gap_ms`` is flushed by a timer.
+    next start are final and go out. A session is flushed once the watermark has passed its last row
+    by ``gap_ms``.
     """
 
     def __init__(self, lookback: int = 10, limit: int = MAX_TOKENS, cap: int = MAX_SENTENCES, gap_ms: int = 60_000):
@@ -194,7 +195,7 @@ class LiveSegmenter(StatefulProcessor):
         self.state.update((start, lengths, toks, win_no))
         for old in self.handle.listTimers():
             self.handle.deleteTimer(old)
-        self.handle.registerTimer(timerValues.getCurrentProcessingTimeInMs() + self.gap)
+        self.handle.registerTimer(int(came.ts.max().timestamp() * 1000) + self.gap)
         if out:
             yield pd.DataFrame([(key[0], *o) for o in out], columns=["key", "idx", "is_boundary", "win_no"])
 
@@ -211,8 +212,8 @@ class LiveSegmenter(StatefulProcessor):
 
 
 def segment_stream(utterances: DataFrame, **options) -> DataFrame:
-    """Utterances (key, turn, idx, length, n_tok) to final labels; state is the tail of one window a key."""
-    return utterances.groupBy("key").transformWithStateInPandas(LiveSegmenter(**options), OUT, "append", "ProcessingTime")
+    """Utterances (key, ts with a watermark, turn, idx, length, n_tok) to final labels; state is the tail of one window a key."""
+    return utterances.groupBy("key").transformWithStateInPandas(LiveSegmenter(**options), OUT, "append", "EventTime")
 
 
 @register("stream_segment")
@@ -222,8 +223,9 @@ def stream_segment(spark: SparkSession, sf_dir: str) -> DataFrame:
     spark.conf.set("spark.sql.streaming.stateStore.providerClass", "org.apache.spark.sql.execution.streaming.state.RocksDBStateStoreProvider")
     try:
         c = stream(spark, sf_dir, "conversations")
-        s = t.with_sentences(c).select(F.col("conv_id").alias("key"), "turn", F.inline("sents")).select("key", "turn", "idx", F.length("text").alias("length"), "n_tok")
-        return drained(segment_stream(s, limit=127, cap=20))
+        spoken = F.timestamp_seconds(F.col("conv_id") * 600 + F.col("turn") * 10).alias("ts")  # the table has no times
+        s = t.with_sentences(c).select(F.col("conv_id").alias("key"), spoken, "turn", F.inline("sents")).select("key", "ts", "turn", "idx", F.length("text").alias("length"), "n_tok")
+        return drained(segment_stream(s.withWatermark("ts", "1 minute"), limit=127, cap=20))
     finally:
         if provider:
             spark.conf.set("spark.sql.streaming.stateStore.providerClass", provider)
