@@ -31,7 +31,7 @@ def register(key: str, oracle: str | None = None):
 
 def load() -> dict[str, Query]:
     """The filled registry; importing an experiment's module registers its queries."""
-    from .experiments import core, learned, speech  # noqa: F401
+    from .experiments import core, learned, speech, surface  # noqa: F401
     from .operators import relational  # noqa: F401
     from .streaming import live  # noqa: F401
 
