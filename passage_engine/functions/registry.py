@@ -7,29 +7,33 @@ from __future__ import annotations
 
 import pandas as pd
 from pyspark.sql import SparkSession
+from pyspark.sql import types as T
 
 from pyspark.sql.functions import pandas_udf, udtf
 
 from ..plans.windows import Adaptive, Fixed, trace
 from . import local
 
+# types as objects: a session isn't there yet when this is imported
+STRINGS = T.ArrayType(T.StringType())
+WINDOWS = T.ArrayType(T.StructType([T.StructField("first", T.IntegerType()), T.StructField("last", T.IntegerType())]))
 
-@pandas_udf("array<string>")
+@pandas_udf(STRINGS)
 def split_paragraphs(text: pd.Series) -> pd.Series:
     return text.map(lambda t: local.paragraphs(t or ""))
 
 
-@pandas_udf("array<string>")
+@pandas_udf(STRINGS)
 def split_sentences(text: pd.Series) -> pd.Series:
     return text.map(lambda t: local.sentences(t or ""))
 
 
-@pandas_udf("array<double>")
+@pandas_udf(T.ArrayType(T.DoubleType()))
 def boundary_probs(text: pd.Series) -> pd.Series:
     return text.map(lambda t: [local.cue(s, i) for i, s in enumerate(local.all_sentences(t or ""))])
 
 
-@pandas_udf("array<string>")
+@pandas_udf(STRINGS)
 def segment_text(text: pd.Series, policy: pd.Series) -> pd.Series:
     """Paragraph strings by the context-free cue; policy: 'fixed' or 'adaptive'.
 
@@ -38,7 +42,7 @@ def segment_text(text: pd.Series, policy: pd.Series) -> pd.Series:
     return pd.Series([local.segmented(t or "") for t in text])
 
 
-@pandas_udf("array<struct<first:int,last:int>>")
+@pandas_udf(WINDOWS)
 def pack_windows(n_tok: pd.Series, limit: pd.Series, cap: pd.Series, policy: pd.Series, b: pd.Series) -> pd.Series:
     """Windows of token counts when no sentence is positive."""
 
@@ -49,24 +53,24 @@ def pack_windows(n_tok: pd.Series, limit: pd.Series, cap: pd.Series, policy: pd.
     return pd.Series([one(*x) for x in zip(n_tok, limit, cap, policy, b, strict=True)])
 
 
-@pandas_udf("double")
+@pandas_udf(T.DoubleType())
 def char_error_rate(ref: pd.Series, hyp: pd.Series) -> pd.Series:
     return pd.Series([local.edits(r or "", h or "") / max(1, len(r or "")) for r, h in zip(ref, hyp, strict=True)])
 
 
-@pandas_udf("double")
+@pandas_udf(T.DoubleType())
 def boundary_f1(pred: pd.Series, ref: pd.Series) -> float:
     """F1 of a group's rows; leave the last sentences out by a filter."""
     tp, fp, fn = int((pred & ref).sum()), int((pred & ~ref).sum()), int((~pred & ref).sum())
     return 2 * tp / (2 * tp + fp + fn) if tp + fp + fn else 0.0
 
 
-@pandas_udf("boolean")
+@pandas_udf(T.BooleanType())
 def majority(vote: pd.Series, need: pd.Series) -> bool:
     return bool(vote.sum() >= need.iloc[0])
 
 
-@udtf(returnType="seg_no int, first int, last int, text string")
+@udtf(returnType=T.StructType([*(T.StructField(n, T.IntegerType()) for n in ("seg_no", "first", "last")), T.StructField("text", T.StringType())]))
 class SegmentsOf:
     """Segments of one text by the context-free cue."""
 
