@@ -240,3 +240,74 @@ def model_sizes(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Parameters of the published base and large sizes, and work of one pass of 512 tokens."""
     rows = [(n, encoder.n_params(c), c.layers, c.width) for n, c in (("base", encoder.BASE), ("large", encoder.LARGE))]
     return spark.createDataFrame(rows, "model string, params long, layers int, width int").withColumn("flops", F.col("layers") * (24.0 * 512 * F.col("width") * F.col("width") + 4.0 * 512 * 512 * F.col("width")))
+
+
+MARKS = ("", ",", ".", "?")
+
+
+def words_as_sentences(corpus: DataFrame) -> DataFrame:
+    """Every word becomes a unit of its own: breaks are then judged at each token, not each sentence.
+
+    Labels are the sentences' boundaries at their last words.
+    """
+    units = F.flatten(F.transform("sents", lambda s: F.transform(F.split(s["text"], t.SPACE), lambda w, i: F.struct(w.alias("text"), (s["ends_para"] & (i == s["n_tok"] - 1)).alias("ends_para")))))
+    sents = F.transform(units, lambda u, i: F.struct(i.alias("idx"), u["text"].alias("text"), F.lit(1).alias("n_tok"), u["ends_para"].alias("ends_para")))
+    return corpus.withColumn("sents", sents).withColumn("n_sent", F.size("sents"))
+
+
+@register("acc_local_tokens")
+def acc_local_tokens(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The local-context classifier with a candidate break at every token."""
+    train, test = (words_as_sentences(x) for x in halves(planted(corpora.interviews(spark, sf_dir)), 30, 10))
+    blob, _ = trained(train, encoder.Config(kind="local", **TOY), epochs=1, max_sents=40)
+    return score_row(blob, test, Adaptive(10), "local, tokens", "F-INT planted")
+
+
+@register("punct_model")
+def punct_model(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Punctuation restoring by the encoder with a four-class head on single words: none , . ?"""
+    docs = words_as_sentences(corpora.interviews(spark, sf_dir))
+    rows = docs.select("doc_id", F.lit(0).alias("first"), F.lit("whole").alias("version"), F.slice("sents", 1, 100).alias("s"))
+    mark = lambda w: F.when(w.endswith(","), 1).when(w.rlike("[.!]$"), 2).when(w.endswith("?"), 3).otherwise(0)
+    rows = rows.select("doc_id", "first", "version", F.transform("s", lambda x: F.array(F.regexp_replace(x["text"], "[.!?,]+$", ""))).alias("sents"), F.transform("s", lambda x: mark(x["text"])).alias("labels"))
+    train, test = corpora.take_n(rows.where("doc_id % 10 < 8"), 40, 1).cache(), corpora.take_n(rows.where("doc_id % 10 >= 8"), 20, 2)
+    cfg = encoder.Config(**{**TOY, "max_sents": 100}, classes=len(MARKS), labels=MARKS)
+    blob, _ = training.fit(train, cfg, epochs=2, rate=RATE, max_steps=STEPS)
+    train.unpersist()
+    sent = spark.sparkContext.broadcast(blob)
+
+    def run(frames):
+        c, p = encoder.load(sent.value)
+        net = encoder.Network(c, p)
+        for pdf in frames:
+            blocks = training.as_blocks(pdf.sents, None, c)
+            z, real, _ = net.logits(blocks) if blocks else (None, [], 0)
+            yield pdf[["doc_id", "labels"]].assign(said=[list(map(int, r.argmax(axis=-1)[ok])) for r, ok in zip(z.value if blocks else [], real, strict=True)])
+
+    got = test.mapInPandas(run, "doc_id long, labels array<int>, said array<int>")
+    return evaluation.document_prf(got.select(F.transform("said", lambda x: x > 0).alias("p"), F.transform("labels", lambda x: x > 0).alias("r")), "p", "r")
+
+
+@register("acc_pk")
+def acc_pk(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Pk and window difference of the cohesion baseline, k = 3."""
+    docs = corpora.written(spark, sf_dir).where("n_sent > 3")
+    x = docs.select(lexical.cohesion_positive(F.col("sents")).alias("p"), F.transform("sents", lambda s: s["ends_para"]).alias("r"))
+    return x.agg(F.round(F.avg(evaluation.pk(F.col("p"), F.col("r"), 3)), 4).alias("pk"), F.round(F.avg(evaluation.window_diff(F.col("p"), F.col("r"), 3)), 4).alias("window_diff"))
+
+
+@register("noise_calibrated")
+def noise_calibrated(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The word rate at which the character error rate is near 16 per cent."""
+    rows = t.exploded(corpora.interviews(spark, sf_dir)).select("doc_id", "idx", "text").cache()
+    pairs = ph.confusions(ph.lexicon(ph.vocabulary(table(spark, sf_dir, "conversations")))).cache()
+    rate, cer = ph.calibrated_rate(rows, pairs)
+    return spark.createDataFrame([(round(rate, 4), cer)], "word_rate double, cer double")
+
+
+@register("infer_distinct")
+def infer_distinct(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Copies are decided once; every document has its result."""
+    docs = corpora.interviews(spark, sf_dir)
+    got = infer.once_each(docs, lambda d: infer.with_probs(d, F.transform("sents", lexical.cue_prob), Adaptive(10)))
+    return got.agg(F.count("*").alias("docs"), F.sum("n_sent").alias("sents"), F.sum("passes").alias("passes"))

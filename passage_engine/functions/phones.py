@@ -120,3 +120,16 @@ def closeness(vectors: DataFrame) -> DataFrame:
     other = Window.partitionBy("bucket").orderBy(F.md5(F.col("word").cast("binary")))
     rows = bucket.withColumn("s", F.lead("v").over(same)).withColumn("o", F.lead("v").over(other)).withColumn("ok", F.lead("phone_key").over(other))
     return rows.agg(F.avg(F.when(F.col("s").isNotNull(), cosine("v", "s"))).alias("same"), F.avg(F.when(F.col("o").isNotNull() & (F.col("ok") != F.col("phone_key")), cosine("v", "o"))).alias("other")).withColumn("closeness", F.col("same") - F.col("other"))
+
+
+def calibrated_rate(sentences: DataFrame, pairs: DataFrame, target: float = 0.16, kinds: tuple[str, ...] = ("confusion", "filler", "repetition", "deletion"), start: float = 0.1, rounds: int = 3) -> tuple[float, float]:
+    """Word rate at which the character error rate comes near the target, and the rate measured there."""
+    from ..operators.evaluation import cer
+
+    rate, got = start, 0.0
+    for _ in range(rounds):
+        got = float(cer(corrupt(sentences, pairs, rate, kinds)).first().cer or 0.0)
+        if not got or abs(got - target) < 0.01:
+            break
+        rate = min(1.0, rate * target / got)
+    return rate, got

@@ -163,3 +163,32 @@ def predictions(decided: DataFrame) -> DataFrame:
     """One row a sentence: doc_id, idx, prob, is_boundary, win_no, n_seen."""
     z = F.arrays_zip("probs", "boundary", "win_no", "n_seen")
     return decided.select("doc_id", F.posexplode(z).alias("idx", "z")).select("doc_id", "idx", F.col("z.probs").alias("prob"), F.col("z.boundary").alias("is_boundary"), "z.win_no", "z.n_seen")
+
+
+def chunked(corpus: DataFrame, size: int = 5000, overlap: int = MAX_SENTENCES) -> DataFrame:
+    """Documents beyond ``size`` sentences in chunks that overlap by a window, so that no book holds a stage.
+
+    Adds chunk and offset, by which ``merged`` puts documents together again. In the overlap the
+    earlier chunk's decisions win; results may differ slightly from the whole document's.
+    """
+    starts = F.when(F.col("n_sent") > size, F.sequence(F.lit(0), F.col("n_sent") - 1 - overlap, F.lit(size - overlap))).otherwise(F.array(F.lit(0)))
+    rows = corpus.select("doc_id", "sents", F.posexplode(starts).alias("chunk", "offset"))
+    piece = F.slice("sents", F.col("offset") + 1, size)
+    return rows.select("doc_id", "chunk", "offset", piece.alias("sents"), F.size(piece).alias("n_sent"))
+
+
+def merged(decided: DataFrame, value: str = "boundary") -> DataFrame:
+    """Decisions of chunks (doc_id, chunk, offset, value array) to one array a document."""
+    lists = decided.groupBy("doc_id").agg(F.sort_array(F.collect_list(F.struct("chunk", "offset", F.col(value).alias("v")))).alias("c"))
+    kind = decided.schema[value].dataType.simpleString()
+    whole = F.aggregate("c", F.array().cast(kind), lambda acc, c: F.concat(acc, F.slice(c["v"], F.size(acc) - c["offset"] + 1, F.greatest(F.size(c["v"]) - F.size(acc) + c["offset"], F.lit(0)))))
+    return lists.select("doc_id", whole.alias(value))
+
+
+def once_each(corpus: DataFrame, decide: Callable[[DataFrame], DataFrame]) -> DataFrame:
+    """Decide each distinct text once and give its copies the same result; digests are shuffled, not texts."""
+    digest = F.md5(F.to_json(F.transform("sents", lambda s: s["text"])).cast("binary"))
+    ids = corpus.select("doc_id", digest.alias("digest"))
+    first = ids.groupBy("digest").agg(F.min("doc_id").alias("first"))
+    got = decide(corpus.join(first.select(F.col("first").alias("doc_id")), "doc_id", "left_semi")).withColumnRenamed("doc_id", "first")
+    return ids.join(first, "digest").join(got, "first").drop("digest", "first")

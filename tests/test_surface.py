@@ -82,3 +82,24 @@ def test_sinks_and_checkpoints(spark, tmp_path):
     io.write_partitioned(df, f"{tmp_path}/p", "half")
     assert spark.read.parquet(f"{tmp_path}/p").where("half = 1").count() == 10
     assert io.unfinished(df, df.where("doc_id < 5")).count() == 15
+
+
+def test_chunks_merge_to_whole_documents(spark):
+    rows = [(1, [(i, f"s{i}", 1, i % 3 == 0) for i in range(57)]), (2, [(0, "a", 1, True)])]
+    c = spark.createDataFrame(rows, "doc_id long, sents array<struct<idx:int,text:string,n_tok:int,ends_para:boolean>>").withColumn("n_sent", F.size("sents"))
+    parts = infer.chunked(c, 20, 6).withColumn("boundary", F.transform("sents", lambda s: s["ends_para"]))
+    assert parts.where("doc_id = 1").count() > 2
+    got = {r.doc_id: list(r.boundary) for r in infer.merged(parts).collect()}
+    assert got == {1: [i % 3 == 0 for i in range(57)], 2: [True]}
+
+
+def test_copies_are_decided_once(spark, tiny):
+    docs = corpora.interviews(spark, tiny)
+    twice = docs.unionByName(docs.withColumn("doc_id", F.col("doc_id") + 10**9))
+    seen = []
+
+    def decide(d):
+        seen.append(d.count())
+        return infer.with_probs(d, F.transform("sents", lexical.cue_prob), Adaptive(10))
+
+    assert infer.once_each(twice, decide).count() == 2 * docs.count() and seen[0] <= docs.count()
