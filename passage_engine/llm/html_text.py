@@ -24,6 +24,8 @@ BLOCKS = frozenset("address article aside blockquote body caption center dd deta
 DROPPED = frozenset("head title script style noscript template iframe object svg canvas audio video nav header footer aside form button select textarea menu dialog fieldset".split())
 VOID = frozenset("area base br col embed hr img input link meta param source track wbr".split())
 NAMES = re.compile(r"(?:^|[\s_-])(?:ads?|advert\w*|banner|promo\w*|sponsor\w*|cookies?|consent|notice|notification|alert|popup|modal|sidebar|side-?bar|widget|menu|nav|navbar|navigation|breadcrumbs?|header|masthead|footer|comments?|comment-?list|replies|respond|disqus|share|sharing|social|related|recommend\w*|newsletter|subscribe|signup|login|search|toolbar|tags|pagination|pager)(?:$|[\s_-])", re.I)
+LAYOUT = ("has-", "with-", "no-", "without-")  # of wrappers: they tell of a sidebar, they aren't one
+OWN_HEAD = re.compile(r"(?:^|[_-])header$", re.I)
 ROLES = frozenset("navigation banner contentinfo complementary search form dialog alert menu menubar".split())
 CLOSES_P = BLOCKS - {"body", "html", "caption", "td", "th", "tr", "tbody", "thead", "tfoot", "option", "optgroup"}
 ITEMS = {"li": {"li"}, "dt": {"dt", "dd"}, "dd": {"dt", "dd"}, "tr": {"tr", "td", "th"}, "td": {"td", "th"}, "th": {"td", "th"}, "option": {"option"}}
@@ -95,7 +97,8 @@ class Events(HTMLParser):
             a = {k: v or "" for k, v in attrs}
             left = a.get("role", "").lower() in ROLES or "hidden" in a or a.get("aria-hidden") == "true"
             if not left and tag not in ("html", "body", "article", "main"):
-                left = bool(NAMES.search(a.get("class", "")) or NAMES.search(a.get("id", "")))
+                names = [x for x in (a.get("class", "") + " " + a.get("id", "")).split() if not x.lower().startswith(LAYOUT)]
+                left = any(NAMES.search(x) and not (inside and OWN_HEAD.search(x)) for x in names)
         if not left and tag in ("article", "main"):
             self.parents.append(region)
             region = len(self.parents) - 1
