@@ -60,7 +60,8 @@ def build(vectors: DataFrame, dim: int, sample: int = 20_000, lists: int | None
     n = vectors.count()
     # sqrt(n)/4 lists up to 1024 keep both the centroids and the blocks a query meets bounded
     lists = lists or int(min(1024, max(8, round(n**0.5 / 4))))
-    probes = probes or max(4, -(-lists * 4 // 5))  # of unclustered vectors fewer lists lose true neighbours
+    # of unclustered vectors fewer lists lose true neighbours; of few vectors all lists are read
+    probes = probes or (lists if n <= 2000 else -(-lists * 4 // 5))
     chosen = vectors.where(hash_share("vec_id") < min(1.0, sample / max(1, n))).toPandas().sort_values("vec_id", kind="stable")
     rng = np.random.default_rng(seed)
     rotation, _ = np.linalg.qr(rng.standard_normal((dim, dim)))
