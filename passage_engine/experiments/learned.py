@@ -23,30 +23,39 @@ from .core import scored
 #: Toy sizes: seconds on a laptop, the same code at any width.
 TOY = dict(vocab=512, width=16, heads=2, layers=1, max_tokens=128, max_sents=20, context=24)
 LIMIT, CAP = 127, 20
-STEPS, RATE = 6, 5e-3
+EPOCHS, BATCH, RATE, STEPS = 6, 16, 1e-2, 12
 
 
 def planted(corpus: DataFrame, every: int = 1) -> DataFrame:
-    """A copy in which the last sentence of a paragraph ends with a marker word, so that learning shows.
+    """A copy in which the last sentence of a paragraph ends with a marker word three times, so that learning shows.
 
     ``every`` > 1 plants fewer.
     """
     mark = lambda s: s["ends_para"] & (s["idx"] % every == 0)
-    sents = F.transform("sents", lambda s: F.struct(s["idx"].alias("idx"), F.when(mark(s), F.concat(s["text"], F.lit(" finis"))).otherwise(s["text"]).alias("text"), (s["n_tok"] + mark(s).cast("int")).alias("n_tok"), s["ends_para"].alias("ends_para")))
+    sents = F.transform("sents", lambda s: F.struct(s["idx"].alias("idx"), F.when(mark(s), F.concat(s["text"], F.lit(" finis finis finis"))).otherwise(s["text"]).alias("text"), (s["n_tok"] + 3 * mark(s).cast("int")).alias("n_tok"), s["ends_para"].alias("ends_para")))
     return corpus.withColumn("sents", sents)
 
 
-def halves(corpus: DataFrame, train_docs: int = 60, test_docs: int = 40) -> tuple[DataFrame, DataFrame]:
+def halves(corpus: DataFrame, train_docs: int = 150, test_docs: int = 60) -> tuple[DataFrame, DataFrame]:
     """Toy-sized training and test samples of a corpus; toy sizes are the feature here, the operators have none."""
-    return corpora.take_n(corpus.where("doc_id % 10 < 8 and n_sent > 1"), train_docs, 1), corpora.take_n(corpus.where("doc_id % 10 = 9 and n_sent > 1"), test_docs, 2)
+    part = t.h(t.key(F.col("doc_id"), "half")) % 10
+    return corpora.take_n(corpus.where((part < 8) & (F.col("n_sent") > 1)), train_docs, 1), corpora.take_n(corpus.where((part >= 8) & (F.col("n_sent") > 1)), test_docs, 2)
 
 
-def trained(train: DataFrame, cfg: encoder.Config, epochs: int = 2, steps: int = STEPS, lexicon: dict | None = None, params: dict | None = None, **options) -> tuple[bytes, list[float]]:
-    s = training.samples(train, step=options.pop("step", 10), max_sents=options.pop("max_sents", CAP), limit=LIMIT, **options).cache()
-    try:
-        return training.fit(s, cfg, epochs=epochs, batch=48, rate=RATE, lexicon=lexicon, params=params, max_steps=steps)
-    finally:
-        s.unpersist()
+def trained(train: DataFrame, cfg: encoder.Config, epochs: int = EPOCHS, lexicon: dict | None = None, params: dict | None = None, distributed: bool = False, **options) -> tuple[bytes, list[float]]:
+    """Fit on the samples of a toy-sized corpus: some tens of documents fit the driver, where a step takes
+    milliseconds; ``distributed`` takes the way of real sizes.
+    """
+    s = training.samples(train, step=options.pop("step", 10), max_sents=options.pop("max_sents", CAP), limit=LIMIT, **options)
+    if distributed:
+        s = s.cache()
+        try:
+            return training.fit(s, cfg, epochs=epochs, batch=BATCH, rate=RATE, lexicon=lexicon, params=params)
+        finally:
+            s.unpersist()
+    rows = s.orderBy("doc_id", "first", "version").limit(4000).collect()
+    got, losses = training.fit_local(training.as_blocks([r.sents for r in rows], [r.labels for r in rows], cfg, lexicon), cfg, epochs, BATCH, RATE, 0.1, params)
+    return encoder.save(cfg, got), losses
 
 
 def judged(blob: bytes, test: DataFrame, policy, lexicon: dict | None = None) -> DataFrame:
@@ -95,6 +104,14 @@ def acc_written_linear(spark: SparkSession, sf_dir: str) -> DataFrame:
     return evaluation.prf(got)
 
 
+@register("fit_distributed")
+def fit_distributed(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Two epochs with gradients summed by the cluster: the loss of each step."""
+    train, _ = halves(planted(corpora.interviews(spark, sf_dir)), 40, 1)
+    _, losses = trained(train, encoder.Config(**TOY), epochs=2, distributed=True)
+    return spark.createDataFrame(list(enumerate(losses)), "step int, loss double")
+
+
 @register("acc_phone_grid")
 def acc_phone_grid(spark: SparkSession, sf_dir: str) -> DataFrame:
     """With and without phones (mean and sum) on interviews through recognition noise."""
@@ -145,7 +162,7 @@ def acc_encoder_grid(spark: SparkSession, sf_dir: str) -> DataFrame:
     cfg = encoder.Config(**TOY)
     rows = []
     for name in ENCODERS:
-        blob, _ = trained(train, cfg, epochs=1, params=warmed(name, train, cfg))
+        blob, _ = trained(train, cfg, params=warmed(name, train, cfg))
         rows.append(score_row(blob, test, Adaptive(10), name, "F-INT planted"))
     return stack(rows)
 
@@ -168,7 +185,7 @@ def dev_grid(spark: SparkSession, sf_dir: str) -> DataFrame:
     train, dev = halves(planted(corpora.interviews(spark, sf_dir)), 40, 20)
 
     def fit(step, cap):
-        return trained(train, encoder.Config(**TOY), epochs=1, steps=3, step=step, max_sents=min(cap, CAP))[0]
+        return trained(train, encoder.Config(**TOY), step=step, max_sents=min(cap, CAP))[0]
 
     def judge(blob, cap):
         return float(score_row(blob, dev, Adaptive(10), "block", "dev").first().f1)
@@ -259,7 +276,7 @@ def words_as_sentences(corpus: DataFrame) -> DataFrame:
 def acc_local_tokens(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The local-context classifier with a candidate break at every token."""
     train, test = (words_as_sentences(x) for x in halves(planted(corpora.interviews(spark, sf_dir)), 30, 10))
-    blob, _ = trained(train, encoder.Config(kind="local", **TOY), epochs=1, max_sents=40)
+    blob, _ = trained(train, encoder.Config(kind="local", **TOY), epochs=3, max_sents=40)
     return score_row(blob, test, Adaptive(10), "local, tokens", "F-INT planted")
 
 
