@@ -462,11 +462,17 @@ def similarity_components(docs: DataFrame, words: int = 5, percent: int = 75, sm
     return rows.join(place, (rows.fp == place.of) & (rows.n_shingles > 0) & rows.doc_id.isNotNull(), "left").select("doc_id", "n_shingles", F.coalesce("component", "doc_id").alias("component_id"))
 
 
-def representatives(docs: DataFrame, **options) -> DataFrame:
+def representatives(docs: DataFrame, most_broadcast: int = 500_000, **options) -> DataFrame:
     """The rows of one document of each component, the one of smallest doc_id, with all columns.
 
-    Of rows that repeat a doc_id one stays; rows without doc_id all stay.
+    Of rows that repeat a doc_id one stays; rows without doc_id all stay. The ids that go are
+    broadcast while there are at most ``most_broadcast`` of them, so that texts need no shuffle;
+    beyond that the same join shuffles.
     """
-    keep = similarity_components(docs, **options).where("doc_id = component_id").select("doc_id").distinct()
-    kept = docs.join(keep, "doc_id", "left_semi").dropDuplicates(["doc_id"])
-    return kept.unionByName(docs.where("doc_id is null"))
+    found = stored(similarity_components(docs, **options).where("doc_id is not null"), "components")
+    by_id = stored(found.groupBy("doc_id").agg(F.count("*").alias("rows"), F.max((F.col("doc_id") != F.col("component_id")).cast("int")).alias("linked")).where("rows > 1 or linked = 1"), "odd-ids")
+    n = by_id.count()
+    small = F.broadcast if n <= most_broadcast else lambda df: df
+    kept = docs.join(small(by_id.select("doc_id")), "doc_id", "left_anti")
+    again = by_id.where("linked = 0").select("doc_id")
+    return kept if again.isEmpty() else kept.unionByName(docs.join(small(again), "doc_id", "left_semi").dropDuplicates(["doc_id"]))
