@@ -10,7 +10,8 @@ How it scales:
   pairs in proportion to its size (a star and some rings); what they link is contracted. Members of
   different components in a group then meet in blocks of bounded size, where an upper bound of the
   intersection (from counts of tokens in hash buckets) drops nearly all; the largest component's own
-  pairs never meet. Groups of very frequent tokens are dealt out by a salt first.
+  pairs never meet. Groups of very frequent tokens are dealt out by a salt first; all their members,
+  also one that is alone under its salt, then meet in blocks, whatever the size of the parts.
 """
 
 from __future__ import annotations
@@ -200,7 +201,9 @@ def _postings(k: int, percent: int, orders, shared, salt_at: int):
             keep = shared.value(first)
             first, often = first[keep], often[: len(keep)][keep]
             if len(first):
-                salts = (mix(first ^ np.int64(fp).view(np.uint64)) % (often // salt_at + 1).astype(np.uint64)).astype(np.int32)
+                # 0: not dealt out; parts of a token that is have salts from 1
+                dealt = often // salt_at + 1
+                salts = np.where(dealt > 1, mix(first ^ np.int64(fp).view(np.uint64)) % dealt.astype(np.uint64) + U(1), U(0)).astype(np.int32)
                 rare = int((orders.value.frequency(t) == 0).sum())
                 held.append((first.astype(np.int64), salts, np.full(len(first), fp), np.full(len(first), len(t), np.int32), np.full(len(first), rare, np.int32)))
                 size += len(first)
@@ -217,14 +220,14 @@ GROUPED = "token long, a long, b long, n int"
 
 
 def _groups(percent: int, small: int, ring_every: int):
-    """Sorted postings to pairs (token null) and to the members of larger groups (b null)."""
+    """Sorted postings to pairs (token null) and to the members of larger or dealt-out groups (b null)."""
 
-    def pairs_of(token, fp, n, rare):
+    def pairs_of(token, salt, fp, n, rare):
         fp, at = np.unique(fp, return_index=True)
         n, rare = n[at], rare[at]
         m = len(fp)
         if m < 2:
-            return None, None
+            return None, (fp, n) if salt else None
         if m <= small:
             i, j = np.triu_indices(m, 1)
         else:
@@ -236,7 +239,7 @@ def _groups(percent: int, small: int, ring_every: int):
                 i, j = np.concatenate([i, by]), np.concatenate([j, np.roll(by, 1)])
         near = 100 * np.minimum(n[i], n[j]).astype(np.int64) >= percent * np.maximum(n[i], n[j]).astype(np.int64)
         i, j = i[near], j[near]
-        return (np.minimum(fp[i], fp[j]), np.maximum(fp[i], fp[j])), (fp, n) if m > small else None
+        return (np.minimum(fp[i], fp[j]), np.maximum(fp[i], fp[j])), (fp, n) if salt or m > small else None
 
     def run(batches):
         left = None
@@ -252,13 +255,13 @@ def _groups(percent: int, small: int, ring_every: int):
             bounds = np.concatenate([[0], cut, [len(token)]])
             ends = bounds[1:] if last else bounds[1:-1]
             for s, e in zip(bounds[:-1], ends, strict=False):
-                if e - s > 1:
-                    yield int(token[s]), cols[2][s:e], cols[3][s:e], cols[4][s:e]
+                if e - s > 1 or salt[s]:
+                    yield int(token[s]), int(salt[s]), cols[2][s:e], cols[3][s:e], cols[4][s:e]
             return
 
         def work(cols, last):
-            for token, fp, n, rare in groups(cols, last):
-                pairs, members = pairs_of(token, fp, n, rare)
+            for token, salt, fp, n, rare in groups(cols, last):
+                pairs, members = pairs_of(token, salt, fp, n, rare)
                 if pairs is not None:
                     out_pairs.update(zip(pairs[0].tolist(), pairs[1].tolist(), strict=True))
                 if members is not None:
