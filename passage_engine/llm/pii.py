@@ -158,7 +158,9 @@ def resolve_names(docs: DataFrame, key: bytes, rounds: int = 64) -> DataFrame:
     """Distinct names of the corpus to attempts such that no two names share a surrogate.
 
     In each round the smallest name of those with one surrogate keeps it and the others try the next;
-    nothing is gathered but a count. Returns (gender, name, attempt, surrogate).
+    nothing is gathered but a count. Names that still share one after ``rounds`` take attempts of their
+    own, by their rank among them and beyond all others, whose suffixes are distinct. Returns (gender,
+    name, attempt, surrogate); raises if two names share a surrogate.
     """
 
     def find(batches):
@@ -174,13 +176,27 @@ def resolve_names(docs: DataFrame, key: bytes, rounds: int = 64) -> DataFrame:
     schema = "gender string, name string, attempt int, surrogate string"
     names = docs.select("text").mapInArrow(find, "gender string, name string").distinct().withColumn("attempt", F.lit(0))
     now = stored(names.mapInArrow(attempt, schema), "names")
+    lost = F.col("kept").isNotNull() & ~((F.col("kept.name") == F.col("name")) & (F.col("kept.gender") == F.col("gender")))
+
+    def shared(now: DataFrame) -> DataFrame:
+        return now.groupBy("surrogate").agg(F.min(F.struct("attempt", "name", "gender")).alias("kept"), F.count("*").alias("n")).where("n > 1").drop("n")
+
     for _ in range(rounds):
-        keep = now.groupBy("surrogate").agg(F.min(F.struct("attempt", "name", "gender")).alias("kept"), F.count("*").alias("n")).where("n > 1").drop("n")
+        keep = shared(now)
         if keep.isEmpty():
-            break
+            return now
         judged = now.join(keep, "surrogate", "left")
-        lost = F.col("kept").isNotNull() & ~((F.col("kept.name") == F.col("name")) & (F.col("kept.gender") == F.col("gender")))
         now = stored(judged.select("gender", "name", F.when(lost, F.col("attempt") + 1).otherwise(F.col("attempt")).alias("attempt")).mapInArrow(attempt, schema), "names")
+    keep = shared(now)
+    if keep.isEmpty():
+        return now
+    judged = stored(now.join(keep, "surrogate", "left").select("gender", "name", "attempt", lost.alias("lost")), "judged")
+    beyond = max(8, judged.agg(F.max("attempt")).first()[0] + 1)
+    ranked = judged.where("lost").select("gender", "name").orderBy("gender", "name").rdd.zipWithIndex().map(lambda x: (*x[0], beyond + x[1]))
+    own = docs.sparkSession.createDataFrame(ranked, "gender string, name string, attempt int")
+    now = stored(judged.where("not lost").select("gender", "name", "attempt").union(own).mapInArrow(attempt, schema), "names")
+    if not shared(now).isEmpty():
+        raise ValueError("names share a surrogate")
     return now
 
 
