@@ -1,6 +1,6 @@
 """Secret scans: fixed patterns, and character Markov models of random strings and ordinary identifiers.
 
-The patterns give the base spans. Every other long run of key-like characters is judged by the
+The patterns give the base spans. Every other run of 16 or more key-like characters is judged by the
 log-likelihood ratio of two first-order Markov models, one trained on random strings (drawn by a
 seed, and the secret values that the patterns find in a bounded sample), one on the ordinary words
 of that sample.
@@ -24,7 +24,7 @@ from .common import hash_share, texts_of
 ASSIGN = re.compile(r"(password|passwd|secret|token|api_?key)[\"']?\x20*[:=]\x20*[\"']?([A-Za-z0-9+/_.=-]+)", re.I | re.A)
 ACCESS = re.compile(r"AKIA[A-Z0-9]+")
 HEX = re.compile(r"[0-9a-f]{24,}")
-CANDIDATE = re.compile(r"(?<![A-Za-z0-9+/_=-])(?=[A-Za-z+/_=-]*[0-9])[A-Za-z0-9+/_=-]{16,}")
+CANDIDATE = re.compile(r"(?<![A-Za-z0-9+/_=-])[A-Za-z0-9+/_=-]{16,}")
 KINDS = ("assign", "access", "hex", "markov")
 ALPHABET = "ABCDEFGHIJKLMNOPQRSTUVWXYZabcdefghijklmnopqrstuvwxyz0123456789+/_=-"
 PLACE = {c: i + 1 for i, c in enumerate(ALPHABET)}
@@ -108,7 +108,7 @@ def spans_of(text: str, model: SecretModel) -> tuple[list[Span], list[Span]]:
     more = []
     for m in CANDIDATE.finditer(text):
         s, e = m.span()
-        if not any(a < e and s < b for _, a, b in base) and sum(c.isdigit() for c in m[0]) >= 3 and any(c.isalpha() for c in m[0]) and ratio(m[0], model) > model.threshold:
+        if not any(a < e and s < b for _, a, b in base) and ratio(m[0], model) > model.threshold:
             more.append(("markov", s, e))
     return base, sorted(base + more, key=lambda s: (s[1], KINDS.index(s[0])))
 
