@@ -280,14 +280,24 @@ def acc_local_tokens(spark: SparkSession, sf_dir: str) -> DataFrame:
     return score_row(blob, test, Adaptive(10), "local, tokens", "F-INT planted")
 
 
+def word_windows(docs: DataFrame, size: int = 100) -> DataFrame:
+    """Every word of every document, in windows of ``size`` that don't overlap: (doc_id, first, s)."""
+    starts = F.sequence(F.lit(0), F.size("sents") - 1, F.lit(size))
+    return docs.where(F.size("sents") > 0).select("doc_id", F.explode(starts).alias("first"), "sents").select("doc_id", "first", F.slice("sents", F.col("first") + 1, size).alias("s"))
+
+
 @register("punct_model")
 def punct_model(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Punctuation restoring by the encoder with a four-class head on single words: none , . ?"""
+    """Punctuation restoring by the encoder with a four-class head on single words: none , . ?
+
+    Turns are cut into windows of 100 words. 40 turns train; all windows of all held-out turns are scored.
+    """
     docs = words_as_sentences(corpora.interviews(spark, sf_dir))
-    rows = docs.select("doc_id", F.lit(0).alias("first"), F.lit("whole").alias("version"), F.slice("sents", 1, 100).alias("s"))
+    rows = word_windows(docs).withColumn("version", F.lit("whole"))
     mark = lambda w: F.when(w.endswith(","), 1).when(w.rlike("[.!]$"), 2).when(w.endswith("?"), 3).otherwise(0)
     rows = rows.select("doc_id", "first", "version", F.transform("s", lambda x: F.array(F.regexp_replace(x["text"], "[.!?,]+$", ""))).alias("sents"), F.transform("s", lambda x: mark(x["text"])).alias("labels"))
-    train, test = corpora.take_n(rows.where("doc_id % 10 < 8"), 40, 1).cache(), corpora.take_n(rows.where("doc_id % 10 >= 8"), 20, 2)
+    chosen = corpora.take_n(docs.where("doc_id % 10 < 8"), 40, 1).select("doc_id")
+    train, test = rows.join(chosen, "doc_id", "left_semi").cache(), rows.where("doc_id % 10 >= 8")
     cfg = encoder.Config(**{**TOY, "max_sents": 100}, classes=len(MARKS), labels=MARKS)
     blob, _ = training.fit(train, cfg, epochs=2, rate=RATE, max_steps=STEPS)
     train.unpersist()
@@ -297,9 +307,11 @@ def punct_model(spark: SparkSession, sf_dir: str) -> DataFrame:
         c, p = encoder.load(sent.value)
         net = encoder.Network(c, p)
         for pdf in frames:
-            blocks = training.as_blocks(pdf.sents, None, c)
-            z, real, _ = net.logits(blocks) if blocks else (None, [], 0)
-            yield pdf[["doc_id", "labels"]].assign(said=[list(map(int, r.argmax(axis=-1)[ok])) for r, ok in zip(z.value if blocks else [], real, strict=True)])
+            said = []
+            for i in range(0, len(pdf), 32):
+                z, real, _ = net.logits(training.as_blocks(pdf.sents.iloc[i : i + 32], None, c))
+                said += [list(map(int, r.argmax(axis=-1)[ok])) for r, ok in zip(z.value, real, strict=True)]
+            yield pdf[["doc_id", "labels"]].assign(said=said)
 
     got = test.mapInPandas(run, "doc_id long, labels array<int>, said array<int>")
     return evaluation.document_prf(got.select(F.transform("said", lambda x: x > 0).alias("p"), F.transform("labels", lambda x: x > 0).alias("r")), "p", "r")
