@@ -1,17 +1,20 @@
 """Jaccard join of documents on word shingles, by prefix filters under several global orders.
 
 How it scales:
-* Exact copies meet by a fingerprint of their set; only one document of a class goes on.
-* Order 0 sorts tokens by corpus frequency (counted over all documents; the most frequent ones are
-  kept in a table of bounded size) and then by a hash; the other orders break ties by other hashes.
-  A pair must share a token of both prefixes under every order before its sets are compared.
-* Tokens that occur in one class only can't link anything; a bitmap of bounded size tells most.
-* A token's group of up to ``small_group`` classes gives its pairs. A larger one gives a number of
-  pairs in proportion to its size (a star and some rings); what they link is contracted. Members of
-  different components in a group then meet in blocks of bounded size, where an upper bound of the
-  intersection (from counts of tokens in hash buckets) drops nearly all; the largest component's own
-  pairs never meet. Groups of very frequent tokens are dealt out by a salt first; all their members,
-  also one that is alone under its salt, then meet in blocks, whatever the size of the parts.
+* Equal texts meet by a hash of the text before any shingle is made, equal sets by a fingerprint.
+* All orders put tokens of one class first (a bitmap of bounded size tells most of them), then rare
+  ones, then frequent ones by their corpus frequency (counted over all documents; the most frequent
+  are in a table of bounded size). Ties are broken by another hash in each order.
+* A pair must share a prefix token under every order. The prefix of order 0 deals the classes out by
+  token; a posting carries its place in that prefix and bit signatures of the prefixes of the other
+  orders, so that the filters of all orders are applied inside a token's group, before a pair is made.
+* Places bound the intersection: of two classes whose first common token leaves too few tokens
+  behind it no pair is made. As tokens of one class stand first, unlike documents that only share a
+  frequent passage fail here, and a group gives few pairs beside those that link.
+* A token's group of up to ``small_group`` classes gives its pairs. A larger one gives a star and
+  some rings; what they link is contracted. Its members then meet again by classes of size, in blocks
+  of bounded size; only members of different components give pairs. Groups of very frequent tokens
+  are dealt out by a salt at first; all their members, also one alone under its salt, meet again.
 """
 
 from __future__ import annotations
@@ -29,7 +32,9 @@ from .common import runs, small_batches, stored, texts_of
 from .graph import components
 from .shingles import U, mix, shingle_sets
 
-TOKEN_BITS = 40
+#: Frequencies are counted for the upper bits of tokens; sets and postings hold all 64 bits.
+COUNT_BITS = 40
+CHUNK = 1 << 17
 ORDER_SEEDS = (0x51ED270B, 0x2545F491, 0x6C8E9CF5)
 
 
@@ -48,103 +53,80 @@ def fingerprint(tokens: np.ndarray) -> int:
     return int((mix(tokens).sum(dtype=np.uint64) ^ U(len(tokens))).view(np.int64))
 
 
-BUCKETS = 256
-
-
-def bucket_counts(tokens: np.ndarray) -> bytes:
-    """Tokens in each hash bucket: the sum of the smaller counts of two sets bounds their intersection."""
-    return np.minimum(np.bincount((mix(tokens) & U(BUCKETS - 1)).astype(np.int64), minlength=BUCKETS), 65535).astype(np.uint16).tobytes()
-
-
-def pack_set(tokens: np.ndarray) -> bytes:
-    return tokens.view(np.uint8).reshape(-1, 8)[:, : TOKEN_BITS // 8].tobytes()
-
-
-def unpack_set(blob: bytes) -> np.ndarray:
-    out = np.zeros((len(blob) // (TOKEN_BITS // 8), 8), np.uint8)
-    out[:, : TOKEN_BITS // 8] = np.frombuffer(blob, np.uint8).reshape(-1, TOKEN_BITS // 8)
-    return out.view(np.uint64).ravel()
+def least_shared(n, m, percent: int):
+    """The smallest intersection of sets of n and m tokens that link."""
+    return -(-percent * (n + m) // (100 + percent))
 
 
 class Orders:
-    """The global orders: (frequency of a frequent token or 0, hash of the order)."""
+    """The global orders: (shared or not, frequency of a frequent token or 0, hash of the order)."""
 
-    def __init__(self, tokens: np.ndarray, counts: np.ndarray):
+    def __init__(self, tokens: np.ndarray, counts: np.ndarray, segments: list[bytes]):
         by = np.argsort(tokens)
         self.tokens, self.counts = tokens[by], counts[by]
-
-    def frequency(self, tokens: np.ndarray) -> np.ndarray:
-        if not len(self.tokens):
-            return np.zeros(len(tokens), np.int64)
-        at = np.minimum(np.searchsorted(self.tokens, tokens), len(self.tokens) - 1)
-        return np.where(self.tokens[at] == tokens, self.counts[at], 0)
-
-    def prefix(self, tokens: np.ndarray, order: int, percent: int) -> tuple[np.ndarray, np.ndarray]:
-        """The tokens of the prefix and the frequencies of all tokens in the order."""
-        often = self.frequency(tokens)
-        by = np.lexsort((mix(tokens ^ U(ORDER_SEEDS[order])), often))
-        n = len(tokens)
-        return tokens[by[: n - (n * percent + 99) // 100 + 1]], often[by]
-
-
-class Shared:
-    """Bitmap of the tokens that more than one class may have, in one segment for each range."""
-
-    def __init__(self, segments: list[bytes]):
-        self.n, self.segments = len(segments), [np.frombuffer(s, np.uint8) for s in segments]
-        self.bits, self.width = np.concatenate(self.segments), len(self.segments[0]) * 8
+        self.n, self.width = len(segments), len(segments[0]) * 8
+        self.bits = np.frombuffer(b"".join(segments), np.uint8)
 
     @staticmethod
     def place(tokens: np.ndarray, width: int) -> np.ndarray:
         return mix(tokens) % U(width)
 
-    def __call__(self, tokens: np.ndarray) -> np.ndarray:
-        at = ((tokens * U(self.n)) >> U(TOKEN_BITS)) * U(self.width) + self.place(tokens, self.width)
-        return (self.bits[(at >> U(3)).astype(np.int64)] >> (at & U(7)).astype(np.uint8)) & np.uint8(1) > 0
-
+    def rank(self, tokens: np.ndarray) -> np.ndarray:
+        """0 for a token that only one class has, 1 for one that more may have, else its frequency."""
+        short = tokens >> U(64 - COUNT_BITS)
+        at = ((short * U(self.n)) >> U(COUNT_BITS)) * U(self.width) + self.place(short, self.width)
+        rank = ((self.bits[(at >> U(3)).astype(np.int64)] >> (at & U(7)).astype(np.uint8)) & np.uint8(1)).astype(np.int64)
+        shared = np.flatnonzero(rank)
+        if len(self.tokens) and len(shared):
+            mine = short[shared]
+            at = np.minimum(np.searchsorted(self.tokens, mine), len(self.tokens) - 1)
+            rank[shared] = np.where(self.tokens[at] == mine, self.counts[at], 1)
+        return rank
 
-def _sets(batches: Iterator[pa.RecordBatch], k: int) -> Iterator[tuple[int, int, np.ndarray]]:
-    """(doc_id, number of shingles, tokens) of each document."""
-    for b in batches:
-        ids, texts = b.column("doc_id").to_pylist(), texts_of(b)
-        for i, j in runs(texts):
-            for doc, s in zip(ids[i:j], shingle_sets(texts[i:j], k), strict=True):
-                yield doc, len(s), np.unique(s >> U(64 - TOKEN_BITS))
+    @staticmethod
+    def prefix(tokens: np.ndarray, rank: np.ndarray, order: int, percent: int) -> tuple[np.ndarray, np.ndarray]:
+        """Shared tokens of the prefix as places in ``tokens``, and their places in the order."""
+        n = len(tokens)
+        size = n - (n * percent + 99) // 100 + 1
+        shared = np.flatnonzero(rank)
+        size -= n - len(shared)
+        if size <= 0:
+            return shared[:0], shared[:0]
+        by = shared[np.lexsort((mix(tokens[shared] ^ U(ORDER_SEEDS[order])), rank[shared]))[:size]]
+        return by, np.arange(n - len(shared), n - len(shared) + len(by))
 
 
-PROFILE = "doc_id long, n_shingles long, fp long, part int, tokens binary"
+def _sets(batches: Iterator[pa.RecordBatch], k: int) -> Iterator[tuple[pa.RecordBatch, int, np.ndarray]]:
+    """(batch, row, sorted tokens) of each document."""
+    for b in batches:
+        texts = texts_of(b)
+        for i, j in runs(texts, CHUNK):
+            for row, s in zip(range(i, j), shingle_sets(texts[i:j], k), strict=True):
+                yield b, row, s
 
 
-def _profile(k: int, parts: int, flush: int = 1 << 21):
-    """A row for each document; the tokens of a task's distinct classes as a blob for each range."""
-    schema = pa.schema([("doc_id", pa.int64()), ("n_shingles", pa.int64()), ("fp", pa.int64()), ("part", pa.int32()), ("tokens", pa.binary())])
+def _blobs(k: int, parts: int, flush: int = 1 << 20):
+    """The tokens of a task's distinct classes, as a blob for each range of tokens."""
 
-    def blobs(held: list[np.ndarray]) -> pa.RecordBatch:
+    def packed(held: list[np.ndarray]) -> pa.RecordBatch:
         t = np.sort(np.concatenate(held))
-        cuts = np.searchsorted(t, [((p << TOKEN_BITS) + parts - 1) // parts for p in range(parts + 1)])
+        cuts = np.searchsorted(t, np.array([((p << COUNT_BITS) + parts - 1) // parts for p in range(parts + 1)], np.uint64))
         rows = [(p, pack(t[a:b])) for p, (a, b) in enumerate(zip(cuts[:-1], cuts[1:], strict=True)) if b > a]
-        none = [None] * len(rows)
-        return pa.record_batch([pa.array(none, pa.int64()), pa.array(none, pa.int64()), pa.array(none, pa.int64()), pa.array([r[0] for r in rows], pa.int32()), pa.array([r[1] for r in rows], pa.binary())], schema=schema)
+        return pa.record_batch([pa.array([r[0] for r in rows], pa.int32()), pa.array([r[1] for r in rows], pa.binary())], names=["part", "tokens"])
 
     def run(batches):
-        seen, held, size, rows = set(), [], 0, []
-        for doc, n, t in _sets(batches, k):
-            fp = fingerprint(t)
-            rows.append((doc, n, fp))
-            if n and fp not in seen:
-                seen.add(fp)
-                held.append(t)
-                size += len(t)
+        seen, held, size = set(), [], 0
+        for _, _, t in _sets(batches, k):
+            if not len(t) or (fp := fingerprint(t)) in seen:
+                continue
+            seen.add(fp)
+            held.append(t >> U(64 - COUNT_BITS))
+            size += len(t)
             if size >= flush:
-                yield blobs(held)
+                yield packed(held)
                 held, size = [], 0
-            if len(rows) >= 5000:
-                yield pa.RecordBatch.from_pydict({"doc_id": [r[0] for r in rows], "n_shingles": [r[1] for r in rows], "fp": [r[2] for r in rows], "part": [None] * len(rows), "tokens": [None] * len(rows)}, schema=schema)
-                rows = []
-        if rows:
-            yield pa.RecordBatch.from_pydict({"doc_id": [r[0] for r in rows], "n_shingles": [r[1] for r in rows], "fp": [r[2] for r in rows], "part": [None] * len(rows), "tokens": [None] * len(rows)}, schema=schema)
         if held:
-            yield blobs(held)
+            yield packed(held)
 
     return run
 
@@ -157,7 +139,7 @@ def _frequencies(parts: int, bitmap_bytes: int, most: int, least_count: int):
         at = np.flatnonzero(np.concatenate([[True], t[1:] != t[:-1]]))
         token, count = t[at], np.diff(np.append(at, len(t)))
         bits = np.zeros(width, bool)
-        bits[Shared.place(token[count > 1], width).astype(np.int64)] = True
+        bits[Orders.place(token[count > 1], width).astype(np.int64)] = True
         often = np.flatnonzero(count >= least_count)
         if len(often) > -(-4 * most // parts):
             often = often[np.argpartition(-count[often], -(-4 * most // parts))[: -(-4 * most // parts)]]
@@ -166,219 +148,213 @@ def _frequencies(parts: int, bitmap_bytes: int, most: int, least_count: int):
     return run, width // 8
 
 
-def corpus_orders(profile: DataFrame, parts: int, bitmap_bytes: int = 1 << 23, most: int = 200_000, least_count: int = 8) -> tuple[Orders, Shared]:
-    """Frequencies over all documents; what comes to the driver is bounded by the three parameters."""
+def corpus_orders(docs: DataFrame, words: int, parts: int, bitmap_bytes: int = 1 << 23, most: int = 200_000, least_count: int = 8) -> Orders:
+    """Frequencies over all documents; what comes to the driver is bounded by the last three parameters."""
     run, width = _frequencies(parts, bitmap_bytes, most, least_count)
-    rows = profile.where("part is not null").select("part", "tokens").groupBy("part").applyInPandas(run, "part int, bits binary, token binary, times binary").collect()
+    rows = docs.mapInArrow(_blobs(words, parts), "part int, tokens binary").groupBy("part").applyInPandas(run, "part int, bits binary, token binary, times binary").collect()
     segments = [bytes(width)] * parts
     for r in rows:
         segments[r.part] = bytes(r.bits)
     token = np.concatenate([np.zeros(0, np.uint64), *(np.frombuffer(r.token, np.uint64) for r in rows)])
     times = np.concatenate([np.zeros(0, np.int64), *(np.frombuffer(r.times, np.int64) for r in rows)])
     top = np.argsort(-times, kind="stable")[:most]
-    return Orders(token[top], times[top]), Shared(segments)
+    return Orders(token[top], times[top], segments)
 
 
-POSTING = "token long, salt int, fp long, n int, rare int"
+#: A row for each document (token null) and for each token of a class's prefix (doc_id null).
+PROFILE = "doc_id long, h long, g long, token long, salt int, fp long, n int, place int, rare int, sig1 long, sig2 long"
+POSTING = ("token", "salt", "fp", "n", "place", "rare", "sig1", "sig2")
 
 
-def _postings(k: int, percent: int, orders, shared, salt_at: int):
+def _profile(k: int, percent: int, orders, salt_at: int):
+    def documents(rows: list[tuple]) -> pa.RecordBatch:
+        cols = dict(zip(("doc_id", "h", "g", "fp", "n"), map(list, zip(*rows, strict=True)), strict=True))
+        none = [None] * len(rows)
+        kinds = {"salt": pa.int32(), "n": pa.int32(), "place": pa.int32(), "rare": pa.int32()}
+        names = [c.split()[0] for c in PROFILE.split(", ")]
+        return pa.record_batch([pa.array(cols.get(c, none), kinds.get(c, pa.int64())) for c in names], names=names)
+
+    def postings(held: list[dict]) -> pa.RecordBatch:
+        cols = {c: np.concatenate([x[c] for x in held]) for c in POSTING}
+        none = pa.nulls(len(cols["fp"]), pa.int64())
+        names = [c.split()[0] for c in PROFILE.split(", ")]
+        return pa.record_batch([pa.array(cols[c]) if c in cols else none for c in names], names=names)
+
+    def posting(t: np.ndarray, fp: int) -> dict | None:
+        rank = orders.value.rank(t)
+        first, place = orders.value.prefix(t, rank, 0, percent)
+        if not len(first):
+            return None
+        sigs = [np.bitwise_or.reduce(U(1) << (mix(t[orders.value.prefix(t, rank, o, percent)[0]]) & U(63))).view(np.int64) for o in (1, 2)]
+        often, m = rank[first], len(first)
+        # 0: not dealt out; parts of a token that is have salts from 1
+        dealt = often // salt_at + 1
+        salts = np.where(dealt > 1, mix(t[first] ^ np.int64(fp).view(np.uint64)) % dealt.astype(np.uint64) + U(1), U(0)).astype(np.int32)
+        rare = int((rank <= 1).sum())
+        return {"token": t[first].view(np.int64), "salt": salts, "fp": np.full(m, fp), "n": np.full(m, len(t), np.int32), "place": place.astype(np.int32), "rare": np.full(m, rare, np.int32), "sig1": np.full(m, sigs[0]), "sig2": np.full(m, sigs[1])}
+
     def run(batches):
         seen: set[int] = set()
-        held: list[tuple] = []
-
-        def out():
-            cols = [np.concatenate([h[c] for h in held]) for c in range(5)]
-            return pa.RecordBatch.from_arrays([pa.array(c) for c in cols], names=["token", "salt", "fp", "n", "rare"])
-
-        size = 0
-        for _, n, t in _sets(batches, k):
+        held, size, rows, of, ids = [], 0, [], None, None
+        for b, row, t in _sets(batches, k):
+            if b is not of:
+                of, ids = b, [b.column(c).to_pylist() for c in ("doc_id", "h", "g")]
             fp = fingerprint(t)
-            if not n or fp in seen:
-                continue
-            seen.add(fp)
-            first, often = orders.value.prefix(t, 0, percent)
-            keep = shared.value(first)
-            first, often = first[keep], often[: len(keep)][keep]
-            if len(first):
-                # 0: not dealt out; parts of a token that is have salts from 1
-                dealt = often // salt_at + 1
-                salts = np.where(dealt > 1, mix(first ^ np.int64(fp).view(np.uint64)) % dealt.astype(np.uint64) + U(1), U(0)).astype(np.int32)
-                rare = int((orders.value.frequency(t) == 0).sum())
-                held.append((first.astype(np.int64), salts, np.full(len(first), fp), np.full(len(first), len(t), np.int32), np.full(len(first), rare, np.int32)))
-                size += len(first)
-            if size > 200_000:
-                yield out()
+            rows.append((ids[0][row], ids[1][row], ids[2][row], fp, len(t)))
+            if len(t) and ids[0][row] is not None and fp not in seen:
+                seen.add(fp)
+                if (got := posting(t, fp)) is not None:
+                    held.append(got)
+                    size += len(got["fp"])
+            if len(rows) >= 5000:
+                yield documents(rows)
+                rows = []
+            if size > 50_000:
+                yield postings(held)
                 held, size = [], 0
+        if rows:
+            yield documents(rows)
         if held:
-            yield out()
+            yield postings(held)
 
     return run
 
 
-GROUPED = "token long, a long, b long, n int"
+GROUPED = "token long, a long, b long, n int, place int, sig1 long, sig2 long"
 
 
-def _groups(percent: int, small: int, ring_every: int):
-    """Sorted postings to pairs (token null) and to the members of larger or dealt-out groups (b null)."""
+def _may_link(percent: int, n, place, sig1, sig2, i, j) -> np.ndarray:
+    """Whether pairs (i, j) that share a token at these places pass the filters of all orders."""
+    need = least_shared(n[i], n[j], percent)
+    return (n[i] - place[i] >= need) & (n[j] - place[j] >= need) & (np.minimum(n[i], n[j]) >= need) & (sig1[i] & sig1[j] != 0) & (sig2[i] & sig2[j] != 0)
 
-    def pairs_of(token, salt, fp, n, rare):
-        fp, at = np.unique(fp, return_index=True)
-        n, rare = n[at], rare[at]
-        m = len(fp)
-        if m < 2:
-            return None, (fp, n) if salt else None
-        if m <= small:
-            i, j = np.triu_indices(m, 1)
-        else:
-            pivot = int(np.lexsort((fp, rare))[0])
-            rest = np.delete(np.arange(m), pivot)
-            i, j = np.full(m - 1, pivot), rest
-            if int(mix(np.array([token], np.uint64))[0]) % ring_every == 0:
-                by = np.argsort(mix(fp.view(np.uint64) ^ U(token)))
-                i, j = np.concatenate([i, by]), np.concatenate([j, np.roll(by, 1)])
-        near = 100 * np.minimum(n[i], n[j]).astype(np.int64) >= percent * np.maximum(n[i], n[j]).astype(np.int64)
-        i, j = i[near], j[near]
-        return (np.minimum(fp[i], fp[j]), np.maximum(fp[i], fp[j])), (fp, n) if salt or m > small else None
 
-    def run(batches):
-        left = None
-        out_pairs: set[tuple[int, int]] = set()
-
-        def flush():
-            a = [p[0] for p in out_pairs]
-            return pa.record_batch([pa.array([None] * len(a), pa.int64()), pa.array(a, pa.int64()), pa.array([p[1] for p in out_pairs], pa.int64()), pa.array([None] * len(a), pa.int32())], names=["token", "a", "b", "n"])
-
-        def groups(cols, last):
-            token, salt = cols[0], cols[1]
-            cut = np.flatnonzero((token[1:] != token[:-1]) | (salt[1:] != salt[:-1])) + 1
-            bounds = np.concatenate([[0], cut, [len(token)]])
-            ends = bounds[1:] if last else bounds[1:-1]
-            for s, e in zip(bounds[:-1], ends, strict=False):
-                if e - s > 1 or salt[s]:
-                    yield int(token[s]), int(salt[s]), cols[2][s:e], cols[3][s:e], cols[4][s:e]
-            return
-
-        def work(cols, last):
-            for token, salt, fp, n, rare in groups(cols, last):
-                pairs, members = pairs_of(token, salt, fp, n, rare)
-                if pairs is not None:
-                    out_pairs.update(zip(pairs[0].tolist(), pairs[1].tolist(), strict=True))
-                if members is not None:
-                    yield pa.record_batch([pa.array(np.full(len(members[0]), token)), pa.array(members[0]), pa.array([None] * len(members[0]), pa.int64()), pa.array(members[1])], names=["token", "a", "b", "n"])
-                if len(out_pairs) > 200_000:
-                    yield flush()
-                    out_pairs.clear()
+def _buffered(batches: Iterator[pa.RecordBatch], keys: int, rows: int = 100_000) -> Iterator[list[np.ndarray]]:
+    """Columns of sorted batches in pieces of about ``rows`` rows; rows of one key stay together."""
+    held: list[list[np.ndarray]] = []
+    size = 0
 
-        for b in batches:
-            if not b.num_rows:
-                continue
-            cols = [c.to_numpy(zero_copy_only=False) for c in b.columns]
-            if left is not None:
-                cols = [np.concatenate([x, y]) for x, y in zip(left, cols, strict=True)]
-            yield from work(cols, False)
-            token, salt = cols[0], cols[1]
-            start = np.flatnonzero((token != token[-1]) | (salt != salt[-1]))
-            start = start[-1] + 1 if len(start) else 0
-            left = [c[start:] for c in cols]
-        if left is not None:
-            yield from work(left, True)
-        if out_pairs:
-            yield flush()
-
-    return run
+    def joined():
+        return [np.concatenate(c) for c in zip(*held, strict=True)]
 
+    for b in batches:
+        if not b.num_rows:
+            continue
+        held.append([c.to_numpy(zero_copy_only=False) for c in b.columns])
+        size += b.num_rows
+        if size < rows:
+            continue
+        cols = joined()
+        last = np.logical_or.reduce([c != c[-1] for c in cols[:keys]])
+        cut = int(np.flatnonzero(last)[-1]) + 1 if last.any() else 0
+        if cut:
+            yield [c[:cut] for c in cols]
+        held = [[c[cut:] for c in cols]]
+        size = 0  # a group beyond the buffer is joined again only after as many rows more
+    if held:
+        cols = joined()
+        if len(cols[0]):
+            yield cols
+
+
+def _bounds(cols: list[np.ndarray], keys: int) -> np.ndarray:
+    new = np.logical_or.reduce([c[1:] != c[:-1] for c in cols[:keys]])
+    return np.concatenate([[0], np.flatnonzero(new) + 1, [len(cols[0])]])
 
-def _apart(percent: int):
-    """Members of one group and pair of blocks to pairs of different components that may be similar."""
 
-    def compare(fp, own, n, root, largest, counts, i, j):
-        hist = np.stack([np.frombuffer(c, np.uint16) for c in counts]).astype(np.int32)
-        left = np.flatnonzero(own == i)
-        right = left if i == j else np.flatnonzero(own == j)
-        for x in left:
-            y = right[right > x] if i == j else right
-            y = y[(root[y] != root[x]) & ((root[x] != largest) | (root[y] != largest))]
-            y = y[100 * np.minimum(n[y], n[x]) >= percent * np.maximum(n[y], n[x])]
-            if not len(y):
-                continue
-            most = np.minimum(hist[y], hist[x]).sum(axis=1)
-            full = (hist[y].max(axis=1) == 65535) | (hist[x].max() == 65535)
-            for k in y[full | (100 * most >= percent * (n[y] + n[x] - most))]:
-                yield min(int(fp[x]), int(fp[k])), max(int(fp[x]), int(fp[k]))
+def _groups(percent: int, small: int, ring_every: int):
+    """Sorted postings to pairs (token null) and to the members of larger or dealt-out groups (b null)."""
 
-    names = ("token", "i", "j", "own", "fp", "n", "root", "largest", "counts")
+    def larger(token: int, fp, rare, every: bool):
+        pivot = int(np.lexsort((fp, rare))[0])
+        rest = np.delete(np.arange(len(fp)), pivot)
+        i, j = np.full(len(rest), pivot), rest
+        if every:
+            by = np.argsort(mix(fp.view(np.uint64) ^ np.int64(token).view(np.uint64)))
+            i, j = np.concatenate([i, by]), np.concatenate([j, np.roll(by, 1)])
+        return i, j
 
     def run(batches):
-        held: dict[str, list] = {}
-        key = None
-        out: set[tuple[int, int]] = set()
-
-        def flush():
-            rows = sorted(out)
-            out.clear()
-            return pa.record_batch([pa.array([r[0] for r in rows], pa.int64()), pa.array([r[1] for r in rows], pa.int64())], names=["a", "b"])
-
-        def close():
-            if key is not None and len(held["fp"]) > 1:
-                cols = {c: np.array(held[c], np.int64) for c in names[3:-1]}
-                out.update(compare(cols["fp"], cols["own"], cols["n"], cols["root"], cols["largest"][0], held["counts"], key[1], key[2]))
-
-        for b in batches:
-            for row in zip(*(b.column(c).to_pylist() for c in names), strict=True):
-                if row[:3] != key:
-                    close()
-                    key, held = row[:3], {c: [] for c in names}
-                    if len(out) > 100_000:
-                        yield flush()
-                for c, v in zip(names, row, strict=True):
-                    held[c].append(v)
-        close()
-        yield flush()
+        for cols in _buffered(batches, 2):
+            token, salt, fp = cols[:3]
+            # a class that several tasks posted counts once
+            once = np.concatenate([[True], (token[1:] != token[:-1]) | (salt[1:] != salt[:-1]) | (fp[1:] != fp[:-1])])
+            cols = [c[once] for c in cols]
+            token, salt, fp, n, place, rare, sig1, sig2 = cols
+            n, place = n.astype(np.int64), place.astype(np.int64)
+            bounds = _bounds(cols, 2)
+            size = np.diff(bounds)
+            group = np.repeat(np.arange(len(size)), size)
+            left, right = [], []
+            few = size[group] <= small
+            for step in range(1, small):
+                i = np.flatnonzero(few[:-step] & (group[:-step] == group[step:])) if step < len(group) else np.zeros(0, np.int64)
+                left.append(i)
+                right.append(i + step)
+            for g in np.flatnonzero(size > small):
+                s, e = bounds[g], bounds[g + 1]
+                i, j = larger(int(token[s]), fp[s:e], rare[s:e], int(mix(token[s : s + 1].view(np.uint64))[0]) % ring_every == 0)
+                left.append(i + s)
+                right.append(j + s)
+            i, j = np.concatenate([np.zeros(0, np.int64), *left]), np.concatenate([np.zeros(0, np.int64), *right])
+            ok = _may_link(percent, n, place, sig1, sig2, i, j) & (fp[i] != fp[j])
+            a, b = np.minimum(fp[i[ok]], fp[j[ok]]), np.maximum(fp[i[ok]], fp[j[ok]])
+            pairs = np.unique(np.stack([a, b]), axis=1) if len(a) else np.zeros((2, 0), np.int64)
+            none = pa.nulls(pairs.shape[1], pa.int64())
+            short = pa.nulls(pairs.shape[1], pa.int32())
+            names = [c.split()[0] for c in GROUPED.split(", ")]
+            yield pa.record_batch([none, pa.array(pairs[0]), pa.array(pairs[1]), short, short, none, none], names=names)
+            m = (size[group] > small) | (salt > 0)
+            yield pa.record_batch([pa.array(token[m]), pa.array(fp[m]), pa.nulls(int(m.sum()), pa.int64()), pa.array(n[m].astype(np.int32)), pa.array(place[m].astype(np.int32)), pa.array(sig1[m]), pa.array(sig2[m])], names=names)
 
     return run
 
 
-def _bitmap(ids: DataFrame, bits: int = 1 << 23, segments: int = 64) -> np.ndarray:
-    """Bitmap of bounded size over the ids' hashes; it may pass others, never misses one."""
-    width = bits // segments
+def _apart(percent: int, cells: int = 1 << 18):
+    """Members of one token, class of size and pair of blocks to pairs of different components.
 
-    def mark(batches):
-        seen = np.zeros(bits, bool)
-        for b in batches:
-            seen[(mix(b.column(0).to_numpy(zero_copy_only=False).view(np.uint64)) % U(bits)).astype(np.int64)] = True
-        rows = [(s, np.packbits(x).tobytes()) for s in range(segments) if (x := seen[s * width : (s + 1) * width]).any()]
-        yield pa.record_batch([pa.array([r[0] for r in rows], pa.int32()), pa.array([r[1] for r in rows], pa.binary())], names=["s", "x"])
-
-    def either(pdf):
-        return pd.DataFrame({"s": [int(pdf.s.iloc[0])], "x": [np.bitwise_or.reduce([np.frombuffer(x, np.uint8) for x in pdf.x]).tobytes()]})
+    home is 1 for a member of the class itself and 0 for a smaller one that a member may link with;
+    of a block pair (i, j) home members of one block meet all members of the other.
+    """
 
-    out = np.zeros(bits // 8, np.uint8)
-    for r in ids.mapInArrow(mark, "s int, x binary").groupBy("s").applyInPandas(either, "s int, x binary").collect():
-        out[r.s * width // 8 : (r.s + 1) * width // 8] = np.frombuffer(r.x, np.uint8)
-    return out
+    def run(batches):
+        for cols in _buffered(batches, 4):
+            bounds = _bounds(cols, 4)
+            own, home, fp, n, place, root, sig1, sig2 = (c.astype(np.int64) for c in cols[4:])
+            found = []
+            for s, e in zip(bounds[:-1], bounds[1:], strict=True):
+                if root[s:e].min() == root[s:e].max():
+                    continue
+                block_i, block_j = cols[2][s], cols[3][s]
+                step = max(1, cells // (e - s))
+                for x in range(s, e, step):
+                    mine = np.arange(x, min(x + step, e))
+                    mine = mine[home[mine] == 1]
+                    i, j = np.repeat(mine, e - s), np.tile(np.arange(s, e), len(mine))
+                    ok = (root[i] != root[j]) & (n[i] * percent <= 100 * n[j]) & (n[j] * percent <= 100 * n[i])
+                    i, j = i[ok], j[ok]
+                    ok = _may_link(percent, n, place, sig1, sig2, i, j) & ((home[j] == 0) | (fp[i] < fp[j])) & ((block_i == block_j) | (own[i] != own[j]))
+                    found.append(np.stack([np.minimum(fp[i[ok]], fp[j[ok]]), np.maximum(fp[i[ok]], fp[j[ok]])]))
+            if found:
+                pairs = np.unique(np.concatenate(found, axis=1), axis=1)
+                yield pa.record_batch([pa.array(pairs[0]), pa.array(pairs[1])], names=["a", "b"])
 
+    return run
 
-def _wanted(k: int, bitmap):
-    bits = U(8)
 
+def _tokens(k: int):
     def run(batches):
-        seen: set[int] = set()
-        rows: list[tuple] = []
-        size = 0
+        rows, size, of, ids = [], 0, None, None
 
         def out():
-            return pa.record_batch([pa.array([r[0] for r in rows], pa.int64()), pa.array([r[1] for r in rows], pa.binary()), pa.array([r[2] for r in rows], pa.binary())], names=["fp", "tokens", "counts"])
-
-        full = U(len(bitmap.value)) * bits
-        for _, n, t in _sets(batches, k):
-            fp = fingerprint(t)
-            at = int(mix(np.array([fp]).view(np.uint64))[0] % full)
-            if n and fp not in seen and bitmap.value[at >> 3] >> (7 - (at & 7)) & 1:
-                seen.add(fp)
-                rows.append((fp, pack_set(t), bucket_counts(t)))
-                size += len(t)
-            if size > 1 << 20:
+            return pa.record_batch([pa.array([r[0] for r in rows], pa.int64()), pa.array([r[1] for r in rows], pa.int64()), pa.array([r[2] for r in rows], pa.binary())], names=["doc_id", "fp", "tokens"])
+
+        for b, row, t in _sets(batches, k):
+            if b is not of:
+                of, ids = b, b.column("doc_id").to_pylist()
+            rows.append((ids[row], fingerprint(t), t.tobytes()))
+            size += len(t)
+            if size > 1 << 18:
                 yield out()
                 rows, size = [], 0
         if rows:
@@ -390,20 +366,16 @@ def _wanted(k: int, bitmap):
 def _verify(percent: int, orders):
     """Pairs with both sets to links: the filters of the further orders, then the exact measure."""
 
+    def shares(x, y, order):
+        p, q = (t[orders.value.prefix(t, orders.value.rank(t), order, percent)[0]] for t in (x, y))
+        return len(np.intersect1d(p, q, assume_unique=True)) > 0
+
     def run(batches):
         for b in batches:
-            kept, prefixes = [], {}
-
-            def prefix(fp, tokens, order, prefixes=prefixes):
-                if (got := prefixes.get((fp, order))) is None:
-                    if len(prefixes) > 4000:
-                        prefixes.clear()
-                    got = prefixes[fp, order] = orders.value.prefix(tokens, order, percent)[0]
-                return got
-
-            for i, (a, c, x, y) in enumerate(zip(*(b.column(n).to_pylist() for n in ("a", "b", "x", "y")), strict=True)):
-                x, y = unpack_set(x), unpack_set(y)
-                if all(len(np.intersect1d(prefix(a, x, o), prefix(c, y, o), assume_unique=True)) for o in range(1, len(ORDER_SEEDS))):
+            kept = []
+            for i, (x, y) in enumerate(zip(b.column("x"), b.column("y"), strict=True)):
+                x, y = (np.frombuffer(v.as_buffer(), np.uint64) for v in (x, y))
+                if all(shares(x, y, o) for o in range(1, len(ORDER_SEEDS))):
                     both = len(np.intersect1d(x, y, assume_unique=True))
                     if 100 * both >= percent * (len(x) + len(y) - both):
                         kept.append(i)
@@ -412,57 +384,74 @@ def _verify(percent: int, orders):
     return run
 
 
-def similarity_components(docs: DataFrame, words: int = 5, percent: int = 75, small_group: int = 32, ring_every: int = 8, salt_at: int = 20_000, block: int = 4096) -> DataFrame:
+def similarity_components(docs: DataFrame, words: int = 5, percent: int = 75, small_group: int = 6, ring_every: int = 8, salt_at: int = 20_000, block: int = 4096, most_broadcast: int = 1_000_000) -> DataFrame:
     """Documents (doc_id, text) to (doc_id, n_shingles, component_id).
 
     Two documents link when 100 * |intersection| >= percent * |union| of their shingle sets;
     component_id is the smallest doc_id that links reach. Null text is empty; a document without
     words links with nothing and is its own component. Rows without doc_id get a null component_id
-    and link nothing. Repeated rows stay, each with its result; other columns are not read.
-    Fingerprints have 64 bits and tokens 40.
+    and link nothing. Repeated rows stay, each with its result; rows that repeat a doc_id with
+    another text are one document as far as links go. Other columns are not read. Tokens are
+    64-bit hashes of shingles; equal texts are told by two 64-bit hashes, equal sets by one.
+    Ids are broadcast while there are at most ``most_broadcast`` of them (16 bytes each).
     """
     spark = small_batches(docs.sparkSession)
-    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     parts = max(8, int(spark.conf.get("spark.sql.shuffle.partitions")))
-    profile = stored(docs.mapInArrow(_profile(words, parts), PROFILE), "profile")
-    orders, shared = corpus_orders(profile, parts)
-    orders, shared = spark.sparkContext.broadcast(orders), spark.sparkContext.broadcast(shared)
-    known = docs.where("doc_id is not null")
-    postings = known.mapInArrow(_postings(words, percent, orders, shared, salt_at), POSTING)
-    grouped = stored(postings.repartition(parts, "token", "salt").sortWithinPartitions("token", "salt").mapInArrow(_groups(percent, small_group, ring_every), GROUPED), "grouped")
+    hashed = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").withColumns({"h": F.xxhash64(F.coalesce("text", F.lit(""))), "g": F.xxhash64(F.lit("second"), F.coalesce("text", F.lit("")))})
+
+    def small(df: DataFrame) -> DataFrame:
+        return F.broadcast(df) if df.count() <= most_broadcast else df
+
+    # Of rows with equal texts only those of the smallest doc_id go on.
+    ids = stored(hashed.select("doc_id", "h", "g"), "hashed")
+    first = stored(ids.groupBy("h", "g").agg(F.min("doc_id").alias("least"), F.count("*").alias("copies")).where("copies > 1").select("h", "g", "least"), "copied")
+    again = stored(ids.join(first, ["h", "g"]).where("doc_id <> least").select("doc_id", "h", "g").distinct(), "again")
+    known = hashed.join(small(again), ["doc_id", "h", "g"], "left_anti").select("doc_id", "text", "h", "g")
+
+    orders = spark.sparkContext.broadcast(corpus_orders(known.where("doc_id is not null").select("text"), words, parts))
+    profile = stored(known.mapInArrow(_profile(words, percent, orders, salt_at), PROFILE), "profile")
+    rows = profile.where("token is null").select("doc_id", "h", "g", "fp", "n")
+    classes = stored(rows.where("n > 0 and doc_id is not null").groupBy("fp").agg(F.min("doc_id").alias("least")), "classes")
+
+    postings = profile.where("token is not null").select(*POSTING)
+    grouped = stored(postings.repartition(parts, "token", "salt").sortWithinPartitions("token", "salt", "fp").mapInArrow(_groups(percent, small_group, ring_every), GROUPED), "grouped")
     pairs = stored(grouped.where("b is not null").select("a", "b").distinct(), "pairs")
-    members = grouped.where("b is null").select("token", F.col("a").alias("fp"), "n")
-
-    ids = pairs.select(F.col("a").alias("fp")).union(pairs.select("b")).union(members.select("fp"))
-    wanted = spark.sparkContext.broadcast(_bitmap(ids))
-    sets = stored(known.mapInArrow(_wanted(words, wanted), "fp long, tokens binary, counts binary").dropDuplicates(["fp"]), "sets")
-
-    def verified(found: DataFrame, name: str) -> DataFrame:
-        one = sets.select(F.col("fp").alias("a"), F.col("tokens").alias("x"))
-        two = sets.select(F.col("fp").alias("b"), F.col("tokens").alias("y"))
-        return stored(found.join(one, "a").join(two, "b").select("a", "b", "x", "y").mapInArrow(_verify(percent, orders), "a long, b long"), name)
-
-    links = verified(pairs, "links")
-    roots = stored(components(links), "roots")
-    # What stars and rings left apart: members of other components in the same group.
-    placed = members.join(roots, members.fp == roots.node, "left").select("token", "fp", "n", F.coalesce("root", "fp").alias("root"))
-    counts = placed.groupBy("token", "root").agg(F.count("*").alias("m"))
-    mixed = counts.groupBy("token").agg(F.max_by("root", F.struct("m", "root")).alias("largest"), F.count("*").alias("roots"), F.sum("m").alias("size")).where("roots > 1").drop("roots")
-    n_blocks = F.ceil(F.col("size") / block).cast("int")
-    own = F.pmod(F.xxhash64("fp"), F.col("blocks")).cast("int")
-    placed = placed.join(mixed.withColumn("blocks", n_blocks), "token").join(sets.select("fp", "counts"), "fp").withColumn("own", own)
-    dealt = placed.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).select("token", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "fp", "n", "root", "largest", "counts")
-    more = dealt.repartition(parts, "token", "i", "j").sortWithinPartitions("token", "i", "j").mapInArrow(_apart(percent), "a long, b long").distinct().join(pairs, ["a", "b"], "left_anti")
-    again = verified(more, "links")
-    if not again.isEmpty():
-        roots = stored(components(links.union(again)), "roots")
-
-    rows = profile.where("fp is not null").select("doc_id", "n_shingles", "fp")
-    classes = rows.where("n_shingles > 0 and doc_id is not null").groupBy("fp").agg(F.min("doc_id").alias("least"))
-    joined = classes.join(roots, classes.fp == roots.node, "left").select("fp", "least", F.coalesce("root", "fp").alias("root"))
-    best = joined.groupBy("root").agg(F.min("least").alias("component"))
-    place = joined.join(best, "root").select(F.col("fp").alias("of"), "component")
-    return rows.join(place, (rows.fp == place.of) & (rows.n_shingles > 0) & rows.doc_id.isNotNull(), "left").select("doc_id", "n_shingles", F.coalesce("component", "doc_id").alias("component_id"))
+
+    def verified(found: DataFrame) -> DataFrame:
+        """Pairs of fingerprints to links of doc_ids; only the texts of the pairs are read again."""
+        fps = found.select(F.col("a").alias("fp")).union(found.select("b")).distinct()
+        wanted = stored(classes.join(fps, "fp", "left_semi").select(F.col("least").alias("doc_id")).distinct(), "wanted")
+        sets = stored(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(small(wanted), "doc_id", "left_semi").mapInArrow(_tokens(words), "doc_id long, fp long, tokens binary"), "sets")
+        one = sets.select(F.col("doc_id").alias("da"), F.col("fp").alias("a"), F.col("tokens").alias("x"))
+        two = sets.select(F.col("doc_id").alias("db"), F.col("fp").alias("b"), F.col("tokens").alias("y"))
+        near = found.join(one, "a").join(two, "b").select(F.col("da").alias("a"), F.col("db").alias("b"), "x", "y")
+        return stored(near.mapInArrow(_verify(percent, orders), "a long, b long"), "links")
+
+    links = verified(pairs)
+    roots = components(links)
+    place = stored(classes.join(roots, classes.least == roots.node, "left").select("fp", "least", F.coalesce("root", "least").alias("root")), "place")
+    # What stars and rings left apart: members of other components in the same group. A class of size
+    # spans a little more than the ratio of sizes that may link, so that two neighbours meet.
+    width = float(np.log(101.0 / percent))
+    at = F.floor(F.log(F.col("n").cast("double")) / F.lit(width)).cast("int")
+    reach = F.floor((F.col("n") - F.col("place")) * F.lit((100 + percent) / percent)) - F.col("n") + 1
+    members = grouped.where("b is null").select("token", F.col("a").alias("fp"), "n", "place", "sig1", "sig2").join(place.select("fp", "root"), "fp").withColumn("at", at)
+    mixed = stored(members.groupBy("token").agg(F.min("root").alias("x"), F.max("root").alias("y")).where("x < y").select("token"), "mixed")
+    members = members.join(mixed, "token", "left_semi")
+    above = F.floor(F.log(F.greatest(reach, F.lit(1)).cast("double")) / F.lit(width)).cast("int") > F.col("at")
+    met = stored(members.withColumn("meet", F.when(above, F.array("at", F.col("at") + 1)).otherwise(F.array("at"))).withColumn("meet", F.explode("meet")).withColumn("home", (F.col("at") == F.col("meet")).cast("int")), "met")
+    crowded = stored(met.groupBy("token", "meet").agg(F.count("*").alias("size")).where(F.col("size") > block).select("token", "meet", F.ceil(F.col("size") / block).cast("int").alias("blocks")), "crowded")
+    dealt = met.join(crowded, ["token", "meet"], "left").withColumn("blocks", F.coalesce("blocks", F.lit(1))).withColumn("own", F.pmod(F.xxhash64("fp"), F.col("blocks")).cast("int"))
+    dealt = dealt.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1))).withColumns({"i": F.least("own", "other"), "j": F.greatest("own", "other")})
+    dealt = dealt.select("token", "meet", "i", "j", "own", "home", "fp", "n", "place", "root", "sig1", "sig2").repartition(parts, "token", "meet", "i", "j").sortWithinPartitions("token", "meet", "i", "j")
+    more = stored(dealt.mapInArrow(_apart(percent), "a long, b long").distinct().join(pairs, ["a", "b"], "left_anti"), "more")
+    if not more.isEmpty():
+        links = links.union(verified(more))
+        roots = components(links)
+        place = stored(classes.join(roots, classes.least == roots.node, "left").select("fp", "least", F.coalesce("root", "least").alias("root")), "place")
+    of = stored(rows.join(place, "fp", "left").groupBy("h", "g").agg(F.max("n").alias("n"), F.min("root").alias("root")), "texts")
+    component = F.when(F.col("n") > 0, F.col("root")).otherwise(F.col("doc_id"))
+    return ids.join(of, ["h", "g"], "left").select("doc_id", F.col("n").cast("long").alias("n_shingles"), F.when(F.col("doc_id").isNotNull(), component).alias("component_id"))
 
 
 def representatives(docs: DataFrame, most_broadcast: int = 500_000, **options) -> DataFrame:

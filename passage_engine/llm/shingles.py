@@ -38,6 +38,12 @@ def _power(kind: str, n: int) -> np.ndarray:
     return have[:n]
 
 
+def distinct(x: np.ndarray) -> np.ndarray:
+    """Sorted distinct values."""
+    x = np.sort(x)
+    return x[np.concatenate([[True], x[1:] != x[:-1]])] if len(x) else x
+
+
 def shingle_sets(texts: list[str], k: int = 5) -> list[np.ndarray]:
     """Sorted distinct 64-bit hashes of the k-word shingles of each text.
 
@@ -64,7 +70,7 @@ def shingle_sets(texts: list[str], k: int = 5) -> list[np.ndarray]:
     out = []
     for a, b in zip(first[:-1], first[1:], strict=True):
         if b - a >= k:
-            out.append(np.unique(rolled[a : b - k + 1]))
+            out.append(distinct(rolled[a : b - k + 1]))
         elif b > a:
             out.append(mix((words[a:b] * _places[: b - a]).sum(dtype=np.uint64, keepdims=True) + U((int(b - a) * BASE) % (1 << 64))))
         else:
