@@ -71,3 +71,11 @@ def runs(texts: list, limit: int = 1 << 21) -> Iterator[tuple[int, int]]:
 def texts_of(batch: pa.RecordBatch, name: str = "text") -> list:
     """Texts of a batch; null becomes the empty text."""
     return [t or "" for t in batch.column(name).to_pylist()]
+
+
+def free_name(name: str, columns: list[str]) -> str:
+    """The name, lengthened until no column is called so in any case."""
+    taken = {c.lower() for c in columns}
+    while name.lower() in taken:
+        name += "_"
+    return name

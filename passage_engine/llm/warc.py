@@ -35,19 +35,19 @@ def digest(payload: bytes) -> str:
     return base64.b32encode(hashlib.sha1(payload).digest()).decode()
 
 
-def record_id(page: int) -> str:
-    return f"<urn:uuid:{uuid.uuid5(uuid.NAMESPACE_URL, f'page:{page}')}>"
+def record_id(page: int, sha: str) -> str:
+    return f"<urn:uuid:{uuid.uuid5(uuid.NAMESPACE_URL, f'page:{page}:{sha}')}>"
 
 
 def record(page: int, url: str | None, payload: bytes, sha: str, refers_to: int | None) -> bytes:
     """One record: an HTTP response, or a revisit with its headers alone."""
     http = b"HTTP/1.1 200 OK\r\nContent-Type: text/html; charset=utf-8\r\n" + f"Content-Length: {len(payload)}\r\n\r\n".encode()
     block = http if refers_to is not None else http + payload
-    head = ["WARC/1.1", f"WARC-Type: {'response' if refers_to is None else 'revisit'}", f"WARC-Record-ID: {record_id(page)}", f"WARC-Date: {DATE}", f"X-Page-ID: {page}", f"WARC-Payload-Digest: sha1:{sha}"]
+    head = ["WARC/1.1", f"WARC-Type: {'response' if refers_to is None else 'revisit'}", f"WARC-Record-ID: {record_id(page, sha)}", f"WARC-Date: {DATE}", f"X-Page-ID: {page}", f"WARC-Payload-Digest: sha1:{sha}"]
     if url is not None:
         head.append("WARC-Target-URI: " + url.replace("\r", "%0D").replace("\n", "%0A"))
     if refers_to is not None:
-        head += [f"WARC-Refers-To: {record_id(refers_to)}", f"X-Refers-To-Page-ID: {refers_to}", f"WARC-Profile: {PROFILE}"]
+        head += [f"WARC-Refers-To: {record_id(refers_to, sha)}", f"X-Refers-To-Page-ID: {refers_to}", f"WARC-Profile: {PROFILE}"]
     head += ["Content-Type: application/http; msgtype=response", f"Content-Length: {len(block)}"]
     return "\r\n".join(head).encode() + CRLF * 2 + block + CRLF * 2
 
@@ -131,14 +131,9 @@ class BundleReader:
 
 
 def identified(pages: DataFrame) -> DataFrame:
-    """Pages with payload_bytes and payload_digest; null html is empty."""
-
-    def run(batches):
-        for b in batches:
-            raw = [(h or "").encode() for h in b.column("html").to_pylist()]
-            yield pa.record_batch([b.column("page_id"), pa.array([len(r) for r in raw], pa.int64()), pa.array([digest(r) for r in raw], pa.string())], names=["page_id", "payload_bytes", "payload_digest"])
-
-    return pages.select("page_id", "html").mapInArrow(run, "page_id long, payload_bytes long, payload_digest string")
+    """Pages with payload_bytes and the payload's SHA-1 in hexadecimal (sha); null html is empty."""
+    html = F.coalesce("html", F.lit(""))
+    return pages.withColumns({"payload_bytes": F.octet_length(html).cast("long"), "sha": F.sha1(html.cast("binary"))})
 
 
 def write(pages: DataFrame, folder: str, least_bytes: int = 0, frame_bytes: int = 1 << 20, bundle_records: int = 100_000) -> DataFrame:
@@ -146,13 +141,14 @@ def write(pages: DataFrame, folder: str, least_bytes: int = 0, frame_bytes: int
 
     Of the records with equal payloads of at least ``least_bytes`` the one of smallest page_id is a
     response, the others revisit it. Only payloads that occur more than once are joined with the
-    pages, by page_id. Repeated rows of one page_id and payload are written once each; a row
-    without page_id is not written.
+    pages, by page_id and payload; one payload of very many pages is split by the adaptive join, as
+    both its sides are read from tables. Each row is written once, repeated ones and such that
+    repeat a page_id with another payload included; a row without page_id is not written.
     """
-    pages = pages.select(F.col("page_id").cast("long").alias("page_id"), "url", "html").where("page_id is not null")
-    known = stored(identified(pages), "digests")
-    firsts = known.where(F.col("payload_bytes") >= least_bytes).groupBy("payload_digest").agg(F.min("page_id").alias("first"), F.max("page_id").alias("last")).where("first <> last").drop("last")
-    later = known.join(firsts, "payload_digest").where("page_id <> first").select("page_id", F.col("payload_digest").alias("of"), "first").distinct()
+    pages = identified(pages.select(F.col("page_id").cast("long").alias("page_id"), "url", "html").where("page_id is not null"))
+    known = stored(pages.select("page_id", "payload_bytes", "sha"), "digests")
+    firsts = stored(known.where(F.col("payload_bytes") >= least_bytes).groupBy("sha").agg(F.min("page_id").alias("first"), F.max("page_id").alias("last")).where("first <> last").drop("last"), "firsts")
+    later = stored(known.join(firsts, "sha").where("page_id <> first").select("page_id", "sha", "first").distinct(), "later")
 
     def run(batches):
         system, base = fs.FileSystem.from_uri(folder)
@@ -160,14 +156,13 @@ def write(pages: DataFrame, folder: str, least_bytes: int = 0, frame_bytes: int
         writer = out = None
         for b in batches:
             rows = []
-            for page, url, html, of, first in zip(*(b.column(n).to_pylist() for n in ("page_id", "url", "html", "of", "first")), strict=True):
+            for page, url, html, first in zip(*(b.column(n).to_pylist() for n in ("page_id", "url", "html", "first")), strict=True):
                 if writer is None:
                     name = f"bundle-{uuid.uuid4().hex}.warc.zst"
                     out = system.open_output_stream(f"{base}/{name}", compression=None)
                     writer, n = BundleWriter(out, frame_bytes), 0
                 payload = (html or "").encode()
-                sha = digest(payload)
-                rows.append((page, name, *writer.add(record(page, url, payload, sha, first if of == sha else None))))
+                rows.append((page, name, *writer.add(record(page, url, payload, digest(payload), first))))
                 n += 1
                 if n >= bundle_records:
                     writer.close()
@@ -178,7 +173,7 @@ def write(pages: DataFrame, folder: str, least_bytes: int = 0, frame_bytes: int
             writer.close()
             out.close()
 
-    return stored(pages.join(later, "page_id", "left").select("page_id", "url", "html", "of", "first").mapInArrow(run, "page_id long, bundle string, frame int, offset long"), "warc-index")
+    return stored(pages.join(later, ["page_id", "sha"], "left").select("page_id", "url", "html", "first").mapInArrow(run, "page_id long, bundle string, frame int, offset long"), "warc-index")
 
 
 def read(index: DataFrame, folder: str) -> DataFrame:
