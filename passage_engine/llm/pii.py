@@ -3,8 +3,11 @@
 E-mail addresses, telephone, card and social-security numbers, IBANs, IP addresses and titled names
 are found by pattern. What has a format (digits, letters and their cases, separators, script) gets a
 surrogate by a keyed permutation of its own format, so different entities have different surrogates;
-card numbers and IBANs keep valid checksums, IP addresses their ranges. Names come from
-lists by gender and script; a check over all names of the corpus resolves collisions.
+card numbers and IBANs keep valid checksums, IP addresses their ranges, telephone numbers their
+country. Names are replaced word by word from lists by gender and script: a check over all given
+and all family names of the corpus resolves collisions, so that each list is mapped one to one and
+so are full names. As a family name has one surrogate, "Mr Keller" and "Mr Paul Keller" stay alike,
+and so do spellings that differ in case.
 """
 
 from __future__ import annotations
@@ -27,6 +30,7 @@ CARD = re.compile(r"(?<!\d)(?:\d{4}([ -]?)\d{4}\1\d{4}\1\d{1,7}|\d{4}([ -]?)\d{6
 SSN = re.compile(r"(?<![\d-])\d{3}-\d{2}-\d{4}(?![\d-])")
 IP = re.compile(r"(?<![\d.])(?:(?:25[0-5]|2[0-4]\d|1?\d?\d)\.){3}(?:25[0-5]|2[0-4]\d|1?\d?\d)(?![\d.]*\d)")
 PHONE = re.compile(r"(?<![\w.])(?:\+\d{1,3}[ .-]?)?(?:\(\d{2,4}\)[ .-]?|\d{2,4}[ .-])\d{3}[ .-]?\d{3,4}(?!\w)|(?<![\w.])\+\d{7,15}(?!\w)")
+COUNTRY = re.compile(r"\+(?:\d{1,3}(?=\D)|\d{2})")
 NAME = re.compile(r"\b(Mr|Mrs|Ms|Miss|Sir|Lady|Madame|Monsieur|Herr|Frau|Señor|Señora|Г-н|Г-жа)(\.?\s)([^\W\d_]+(?:\s[A-ZÀ-ÞА-Я][^\W\d_]+)?)")
 #: Fixed lists: titles of women; given names and family names by script, women's first.
 WOMEN = frozenset(["Mrs", "Ms", "Miss", "Lady", "Madame", "Frau", "Señora", "Г-жа"])
@@ -104,6 +108,8 @@ def surrogate(kind: str, text: str, key: bytes) -> str:
             left, right = right, left ^ number(key, "ip", a, r, right) & 0xFFF
         v = left << 12 | right
         return f"{a}.{v >> 16}.{v >> 8 & 255}.{v & 255}"
+    if kind == "phone" and (code := COUNTRY.match(text)):
+        return code[0] + permuted(text[code.end() :], key, kind + code[0])
     return permuted(text, key, kind)
 
 
@@ -119,16 +125,33 @@ def script_of(text: str) -> str:
     return "LATIN"
 
 
-def name_surrogate(gender: str, name: str, attempt: int, key: bytes) -> str:
-    """A name of the same gender, script, number of words and case of letters."""
-    script, woman = script_of(name), gender == "f"
+Slot = tuple[str, str, str]
+
+
+def slots_of(gender: str, name: str) -> list[tuple[Slot, str]]:
+    """((list, gender, script), word without case) of each word; Latin family names know no gender."""
     words, out = name.split(), []
     for i, w in enumerate(words):
-        pool = (FAMILY if i == len(words) - 1 else GIVEN)[script][0 if woman else 1]
-        new = pool[number(key, "name", gender, name.casefold(), attempt, i) % len(pool)]
+        script, family = script_of(w), i == len(words) - 1
+        out.append((("family" if family else "given", "" if family and script == "LATIN" else gender, script), w.casefold()))
+    return out
+
+
+def word_surrogate(slot: Slot, word: str, attempt: int, key: bytes) -> str:
+    """A word of the slot's list; beyond the lists' attempts letters of the same script are added."""
+    kind, gender, script = slot
+    pool = (FAMILY if kind == "family" else GIVEN)[script][0 if gender == "f" else 1]
+    new = pool[number(key, "name", *slot, word, min(attempt, 8)) % len(pool)]
+    vowels, others = ("aeiou", "nrstl") if script == "LATIN" else ("аеиоу", "нрстл")
+    return new + "".join(vowels[int(d) % 5] + others[int(d) // 5] for d in (f"{attempt - 8:o}" if attempt >= 8 else ""))
+
+
+def name_surrogate(gender: str, name: str, words: dict[tuple[Slot, str], str], key: bytes) -> str:
+    """A name of the same gender, script, number of words and case of letters."""
+    out = []
+    for w, (slot, plain) in zip(name.split(), slots_of(gender, name), strict=True):
+        new = words.get((slot, plain)) or word_surrogate(slot, plain, 0, key)
         out.append(new.upper() if w.isupper() and len(w) > 1 else new.lower() if w.islower() else new)
-    if attempt >= 8:  # the lists are used up: letters of the same script tell them apart
-        out[-1] += "".join(("aeiou" if script == "LATIN" else "аеиоу")[int(d) % 5] + ("nrstl" if script == "LATIN" else "нрстл")[int(d) // 5 % 5] for d in f"{attempt - 8:o}")
     return " ".join(out)
 
 
@@ -154,60 +177,82 @@ def names_of(text: str) -> list[tuple[str, str]]:
     return [("f" if m[1] in WOMEN else "m", m[3]) for m in NAME.finditer(text)]
 
 
-def resolve_names(docs: DataFrame, key: bytes, rounds: int = 64) -> DataFrame:
-    """Distinct names of the corpus to attempts such that no two names share a surrogate.
+def resolve_words(docs: DataFrame, key: bytes, rounds: int = 4) -> DataFrame:
+    """The distinct words of names of the corpus to surrogates, none of which two words of a slot share.
 
-    In each round the smallest name of those with one surrogate keeps it and the others try the next;
-    nothing is gathered but a count. Names that still share one after ``rounds`` take attempts of their
-    own, by their rank among them and beyond all others, whose suffixes are distinct. Returns (gender,
-    name, attempt, surrogate); raises if two names share a surrogate.
+    In each round the smallest word of those with one surrogate keeps it and the others try the next;
+    nothing is gathered but a count. Words that still share one after ``rounds`` take attempts of
+    their own, by their rank among all such words and beyond all others, whose suffixes are distinct.
+    Returns (kind, gender, script, word, attempt, surrogate); raises if two words share a surrogate.
     """
+    slot = ["kind", "gender", "script"]
 
     def find(batches):
         for b in batches:
-            got = sorted({x for t in texts_of(b) for x in names_of(t)})
-            yield pa.record_batch([pa.array([g for g, _ in got], pa.string()), pa.array([n for _, n in got], pa.string())], names=["gender", "name"])
+            got = sorted({x for t in texts_of(b) for n in names_of(t) for x in slots_of(*n)})
+            cols = [*zip(*(s for s, _ in got), strict=True)] or [[], [], []]
+            yield pa.record_batch([*(pa.array(c, pa.string()) for c in cols), pa.array([w for _, w in got], pa.string())], names=[*slot, "word"])
 
     def attempt(batches):
         for b in batches:
-            got = [name_surrogate(*x, key) for x in zip(*(b.column(c).to_pylist() for c in ("gender", "name", "attempt")), strict=True)]
-            yield b.append_column("surrogate", pa.array(got, pa.string()))
+            rows = zip(*(b.column(c).to_pylist() for c in (*slot, "word", "attempt")), strict=True)
+            yield b.append_column("surrogate", pa.array([word_surrogate(tuple(r[:3]), r[3], r[4], key) for r in rows], pa.string()))
 
-    schema = "gender string, name string, attempt int, surrogate string"
-    names = docs.select("text").mapInArrow(find, "gender string, name string").distinct().withColumn("attempt", F.lit(0))
-    now = stored(names.mapInArrow(attempt, schema), "names")
-    lost = F.col("kept").isNotNull() & ~((F.col("kept.name") == F.col("name")) & (F.col("kept.gender") == F.col("gender")))
+    schema = "kind string, gender string, script string, word string, attempt int, surrogate string"
+    words = docs.select("text").mapInArrow(find, "kind string, gender string, script string, word string").distinct().withColumn("attempt", F.lit(0))
+    now = stored(words.mapInArrow(attempt, schema), "names")
+    lost = F.col("kept").isNotNull() & ~((F.col("kept.word") == F.col("word")) & (F.col("kept.attempt") == F.col("attempt")))
+    columns = [*slot, "word", "attempt"]
 
     def shared(now: DataFrame) -> DataFrame:
-        return now.groupBy("surrogate").agg(F.min(F.struct("attempt", "name", "gender")).alias("kept"), F.count("*").alias("n")).where("n > 1").drop("n")
+        return now.groupBy(*slot, "surrogate").agg(F.min(F.struct("attempt", "word")).alias("kept"), F.count("*").alias("n")).where("n > 1").drop("n")
 
     for _ in range(rounds):
         keep = shared(now)
         if keep.isEmpty():
             return now
-        judged = now.join(keep, "surrogate", "left")
-        now = stored(judged.select("gender", "name", F.when(lost, F.col("attempt") + 1).otherwise(F.col("attempt")).alias("attempt")).mapInArrow(attempt, schema), "names")
+        judged = now.join(keep, [*slot, "surrogate"], "left").withColumn("attempt", F.when(lost, F.col("attempt") + 1).otherwise(F.col("attempt")))
+        now = stored(judged.select(*columns).mapInArrow(attempt, schema), "names")
     keep = shared(now)
     if keep.isEmpty():
         return now
-    judged = stored(now.join(keep, "surrogate", "left").select("gender", "name", "attempt", lost.alias("lost")), "judged")
+    judged = stored(now.join(keep, [*slot, "surrogate"], "left").select(*columns, lost.alias("lost")), "judged")
     beyond = max(8, judged.agg(F.max("attempt")).first()[0] + 1)
-    ranked = judged.where("lost").select("gender", "name").orderBy("gender", "name").rdd.zipWithIndex().map(lambda x: (*x[0], beyond + x[1]))
-    own = docs.sparkSession.createDataFrame(ranked, "gender string, name string, attempt int")
-    now = stored(judged.where("not lost").select("gender", "name", "attempt").union(own).mapInArrow(attempt, schema), "names")
+    ranked = judged.where("lost").select(*slot, "word").orderBy(*slot, "word").rdd.zipWithIndex().map(lambda x: (*x[0], beyond + x[1]))
+    own = docs.sparkSession.createDataFrame(ranked, "kind string, gender string, script string, word string, attempt int")
+    now = stored(judged.where("not lost").select(*columns).union(own).mapInArrow(attempt, schema), "names")
     if not shared(now).isEmpty():
         raise ValueError("names share a surrogate")
     return now
 
 
-def replace(text: str, key: bytes, names: dict[tuple[str, str], str]) -> tuple[str, list[tuple[str, int, int]]]:
+def collected(words: DataFrame, most_names: int) -> dict[tuple[Slot, str], str]:
+    """The table of words for a broadcast; raises beyond ``most_names`` rows."""
+    n = words.count()
+    if n > most_names:
+        raise ValueError(f"{n} words of names are more than {most_names}")
+    return {((r.kind, r.gender, r.script), r.word): r.surrogate for r in words.collect()}
+
+
+def resolve_names(docs: DataFrame, key: bytes, rounds: int = 4, most_names: int = 1_000_000) -> DataFrame:
+    """Distinct titled names of the corpus to (gender, name, surrogate)."""
+    words = docs.sparkSession.sparkContext.broadcast(collected(resolve_words(docs, key, rounds), most_names))
+
+    def run(batches):
+        for b in batches:
+            got = sorted({x for t in texts_of(b) for x in names_of(t)})
+            yield pa.record_batch([pa.array([g for g, _ in got], pa.string()), pa.array([n for _, n in got], pa.string()), pa.array([name_surrogate(g, n, words.value, key) for g, n in got], pa.string())], names=["gender", "name", "surrogate"])
+
+    return docs.select("text").mapInArrow(run, "gender string, name string, surrogate string").distinct()
+
+
+def replace(text: str, key: bytes, words: dict[tuple[Slot, str], str]) -> tuple[str, list[tuple[str, int, int]]]:
     found = entities(text)
     titles = {m.start(3): "f" if m[1] in WOMEN else "m" for m in NAME.finditer(text)} if any(k == "name" for k, _, _ in found) else {}
     out, end = [], 0
     for kind, s, e in found:
         own = text[s:e]
-        new = names.get((titles.get(s, "m"), own)) or name_surrogate(titles.get(s, "m"), own, 0, key) if kind == "name" else surrogate(kind, own, key)
-        out += [text[end:s], new]
+        out += [text[end:s], name_surrogate(titles.get(s, "m"), own, words, key) if kind == "name" else surrogate(kind, own, key)]
         end = e
     return "".join([*out, text[end:]]), found
 
@@ -216,15 +261,11 @@ def pseudonymise(docs: DataFrame, key: bytes, most_names: int = 1_000_000) -> Da
     """Documents (doc_id, text) to (doc_id, text, n_entities, entities).
 
     entities lists kind:start:end in code points of the original. Null text stays null with no
-    entities. The table of names is broadcast when it has at most ``most_names`` rows; beyond that
-    this raises. Repeated rows stay; other columns are not read. The same key gives the same
+    entities. The table of words of names is broadcast when it has at most ``most_names`` rows; beyond
+    that this raises. Repeated rows stay; other columns are not read. The same key gives the same
     surrogates in every run.
     """
-    table = resolve_names(docs, key)
-    n = table.count()
-    if n > most_names:
-        raise ValueError(f"{n} names are more than {most_names}")
-    names = docs.sparkSession.sparkContext.broadcast({(r.gender, r.name): r.surrogate for r in table.collect()})
+    names = docs.sparkSession.sparkContext.broadcast(collected(resolve_words(docs, key), most_names))
 
     def run(batches):
         for b in batches:

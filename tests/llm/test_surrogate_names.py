@@ -15,3 +15,19 @@ def test_more_names_than_rounds_tell_apart(spark, rounds):
     rows = pii.resolve_names(docs_of(spark, [(i, n, "s") for i, n in enumerate(names)]), KEY, rounds=rounds).collect()
     assert len(rows) == len({(r.gender, r.name) for r in rows}) == len(names)
     assert len({r.surrogate for r in rows}) == len(names)
+
+
+def test_forty_thousand_names_stay_apart(spark):
+    from pyspark.sql import functions as F
+
+    docs = spark.range(40_000).select(F.col("id").alias("doc_id"), F.concat(F.lit("Mr "), *(F.substring(F.lit(s), (F.floor(F.col("id") / d) % 26 + 1).cast("int"), 1) for d, s in ((17_576, "ABCDEFGHIJKLMNOPQRSTUVWXYZ"), (676, "abcdefghijklmnopqrstuvwxyz"), (26, "abcdefghijklmnopqrstuvwxyz"), (1, "abcdefghijklmnopqrstuvwxyz"))), F.lit(" Wolff")).alias("text"))
+    out = pii.pseudonymise(docs, KEY)
+    assert out.select("text").distinct().count() == 40_000
+
+
+def test_one_person_in_several_spellings_and_the_country_of_a_number(spark):
+    rows = [(1, "Mrs Anna Holm. Mrs ANNA HOLM. Mrs Holm. Mr Paul Holm rang +49 30 1234567.", "s")]
+    text = pii.pseudonymise(docs_of(spark, rows), KEY).first().text
+    full, upper, family, other = text.split(". ")
+    assert upper == "Mrs " + full[4:].upper() and family == "Mrs " + full.split()[2]
+    assert other.split()[2] == full.split()[2] and "+49 " in other and "1234567" not in other
