@@ -5,8 +5,10 @@ that never hold the article's text (menus, headers, footers, sidebars, notices,
 scripts, styles, reader comments) are left out with all inside. Each line has a ratio of its text to
 its tags; ratios are smoothed by a Gaussian kernel and cut by two-means clustering into content and
 other lines. The region with most content text is selected: the innermost <article>, <main> or else
-body that holds it; in a region without such an element the lines between the first and last
-content line stay.
+body that holds it. It stays whole; of the regions around it and of those beside it that hold at least
+half as much content, the lines of the content cluster stay too (a headline above the article, the
+parts of an article in several elements). In a page without such an element the lines between the
+first and last content line stay.
 """
 
 from __future__ import annotations
@@ -182,7 +184,12 @@ def main_text(html: str) -> str:
         return region == best
 
     if best:
-        keep = [t for t, _, r in lines if within(r)]
+        around, r = set(), parents[best]
+        while r:
+            around.add(r)
+            r = parents[r]
+        beside = {r for r in range(1, len(parents)) if r != best and parents[r] == parents[best] and 2 * weight[r] >= weight[best] > 0}
+        keep = [t for (t, _, r), c in zip(lines, chosen, strict=True) if within(r) or (c and r in around | beside)]
     else:
         at = np.flatnonzero(chosen)
         keep = [t for t, _, _ in lines[at[0] : at[-1] + 1]]
