@@ -2,9 +2,11 @@
 
 Vectors are rotated by a seeded random matrix and dealt to the lists of their nearest centroids
 (k-means on a sample of bounded size; every vector is indexed). A list of many vectors is cut into
-blocks of bounded size. A query meets the blocks of its nearest lists; there the rotated columns are
-read block by block, and after each a hypothesis test on the partial distance gives up candidates
-that are too far with high confidence. The others get their exact distance from the original vectors.
+blocks of bounded size. A query meets the blocks of its nearest lists, as many as held the wanted
+share of the true neighbours of sample queries within the sample, at any size of the table; there the
+rotated columns are read block by block, and after each a hypothesis test on the partial distance
+gives up candidates that are too far with high confidence. The others get their exact distance from
+the original vectors.
 """
 
 from __future__ import annotations
@@ -25,7 +27,15 @@ class Index:
     centroids: np.ndarray
     rotation: np.ndarray
     blocks: np.ndarray  # of each list
+    sizes: np.ndarray
     probes: int
+    least: int
+
+    def near(self, x: np.ndarray) -> list[np.ndarray]:
+        """The lists that each rotated vector meets, nearest first: ``probes``, or as many as hold ``least`` vectors."""
+        order = np.argsort(_nearest(x, self.centroids), axis=1, kind="stable")
+        enough = (np.cumsum(self.sizes[order], axis=1) < self.least).sum(axis=1) + 1
+        return [row[: max(self.probes, n)] for row, n in zip(order, enough, strict=True)]
 
 
 def usable(vectors: DataFrame, dim: int | None = None) -> tuple[DataFrame, int]:
@@ -51,17 +61,30 @@ def _nearest(x: np.ndarray, centroids: np.ndarray) -> np.ndarray:
     return (centroids * centroids).sum(axis=1) - 2 * x @ centroids.T
 
 
-def build(vectors: DataFrame, dim: int, sample: int = 20_000, lists: int | None = None, probes: int | None = None, seed: int = 5, rounds: int = 8, rows_a_block: int = 4096) -> tuple[Index, DataFrame]:
+def probes_for(x: np.ndarray, centroids: np.ndarray, recall: float, k: int = 10, queries: int = 256) -> int:
+    """The fewest lists that hold the wanted share of the k nearest of sample queries within the sample."""
+    own = _nearest(x, centroids).argmin(axis=1)
+    places = []
+    for q in range(0, len(x), max(1, len(x) // queries)):
+        dist = ((x - x[q]) ** 2).sum(axis=1)
+        dist[q] = np.inf
+        near = np.argpartition(dist, min(k, len(x) - 1) - 1)[:k] if len(x) > 1 else np.zeros(0, int)
+        rank = np.argsort(np.argsort(_nearest(x[q : q + 1], centroids)[0], kind="stable"))
+        places += rank[own[near]].tolist()
+    return int(np.quantile(places, recall, method="higher")) + 1 if places else len(centroids)
+
+
+def build(vectors: DataFrame, dim: int, sample: int = 20_000, lists: int | None = None, probes: int | None = None, recall: float = 0.98, least: int = 200, seed: int = 5, rounds: int = 8, rows_a_block: int = 4096) -> tuple[Index, DataFrame]:
     """Usable vectors to the index and the dealt vectors (list, block, vec_id, v).
 
-    About ``sample`` vectors (chosen by vec_id) place the centroids.
+    About ``sample`` vectors (chosen by vec_id) place the centroids and tell how many lists a query
+    reads so as to find ``recall`` of its neighbours (``probes`` fixes the number); in any case as
+    many as hold ``least`` vectors.
     """
     spark = vectors.sparkSession
     n = vectors.count()
     # sqrt(n)/4 lists up to 1024 keep both the centroids and the blocks a query meets bounded
     lists = lists or int(min(1024, max(8, round(n**0.5 / 4))))
-    # of unclustered vectors fewer lists lose true neighbours; of few vectors all lists are read
-    probes = probes or (lists if n <= 2000 else -(-lists * 4 // 5))
     chosen = vectors.where(hash_share("vec_id") < min(1.0, sample / max(1, n))).toPandas().sort_values("vec_id", kind="stable")
     rng = np.random.default_rng(seed)
     rotation, _ = np.linalg.qr(rng.standard_normal((dim, dim)))
@@ -74,6 +97,7 @@ def build(vectors: DataFrame, dim: int, sample: int = 20_000, lists: int | None
         np.add.at(sums, own, x)
         count = np.bincount(own, minlength=len(centroids))[:, None]
         centroids = np.where(count > 0, sums / np.maximum(count, 1), centroids)
+    probes = probes or probes_for(x, centroids, recall)
     shared = spark.sparkContext.broadcast((centroids, rotation))
 
     def deal(batches):
@@ -86,14 +110,16 @@ def build(vectors: DataFrame, dim: int, sample: int = 20_000, lists: int | None
     sizes = {r.list: r["count"] for r in dealt.groupBy("list").count().collect()}
     blocks = np.array([max(1, -(-sizes.get(i, 0) // rows_a_block)) for i in range(len(centroids))], np.int32)
     at = F.array(*map(F.lit, blocks.tolist()))
-    return Index(centroids, rotation, blocks, min(probes, len(centroids))), dealt.withColumn("block", F.pmod(F.xxhash64("vec_id"), F.element_at(at, F.col("list") + 1)).cast("int"))
+    counts = np.array([sizes.get(i, 0) for i in range(len(centroids))], np.int64)
+    return Index(centroids, rotation, blocks, counts, min(probes, len(centroids)), least), dealt.withColumn("block", F.pmod(F.xxhash64("vec_id"), F.element_at(at, F.col("list") + 1)).cast("int"))
 
 
 def scan_block(ids: np.ndarray, x: np.ndarray, y: np.ndarray, q_id: int, q: np.ndarray, qr: np.ndarray, k: int, step: int = 16, epsilon: float = 2.5) -> tuple[np.ndarray, np.ndarray]:
     """The k nearest of one block: (ids, exact distances). x: original, y: rotated vectors.
 
     After d of D rotated columns the distance is estimated as partial * D / d; a candidate goes if
-    the estimate is beyond (1 + epsilon / sqrt(d))^2 times the k-th best distance of a first guess.
+    the estimate is beyond (1 + epsilon / sqrt(d))^2 times the k-th best distance known, that of
+    the k candidates nearest by the columns read so far.
     """
     live = np.flatnonzero(ids != q_id)
     dim = y.shape[1]
@@ -109,8 +135,9 @@ def scan_block(ids: np.ndarray, x: np.ndarray, y: np.ndarray, q_id: int, q: np.n
                 break
             e = min(d + step, dim)
             part = part + ((y[live, d:e] - qr[d:e]) ** 2).sum(axis=1)
-            if len(part) > 8 * k:
-                limit = min(limit, np.partition(part * (dim / e), k - 1)[k - 1] * (1 + epsilon / e**0.5) ** 2) if e == dim else limit
+            if e < dim and len(live) > 4 * k:
+                guess = live[np.argpartition(part, k - 1)[:k]]
+                limit = min(limit, ((x[guess] - q) ** 2).sum(axis=1).max() * (1 + 1e-9))
             d = e
     dist = np.sqrt(((x[live] - q) ** 2).sum(axis=1))
     best = np.lexsort((ids[live], dist))[:k]
@@ -134,7 +161,7 @@ def search(vectors: DataFrame, queries: DataFrame, k: int = 10, **options) -> Da
         ix = shared.value
         for b in batches:
             ids, x = b.column("vec_id").to_numpy(), _matrix(b.column("v"), dim)
-            near = np.argsort(_nearest(x @ ix.rotation, ix.centroids), axis=1)[:, : ix.probes] if len(ids) else np.zeros((0, 1), int)
+            near = ix.near(x @ ix.rotation) if len(ids) else []
             rows = [(int(p), blk, i) for i, ps in enumerate(near) for p in ps for blk in range(ix.blocks[p])]
             yield pa.record_batch([pa.array([r[0] for r in rows], pa.int32()), pa.array([r[1] for r in rows], pa.int32()), pa.array(ids[[r[2] for r in rows]] if rows else [], pa.int64()), b.column("v").take(pa.array([r[2] for r in rows], pa.int64()))], names=["list", "block", "query_id", "q"])
 
