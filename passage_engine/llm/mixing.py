@@ -16,7 +16,7 @@ import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import stored
+from .common import free_name, stored
 
 #: Words for the size of a text.
 WORDS = r"[^\x20\x09-\x0D]+"
@@ -126,10 +126,14 @@ def mix(docs: DataFrame, weights: tuple[float, ...] = WEIGHTS, most: float = 3.0
 def mixed(docs: DataFrame, **options) -> DataFrame:
     """The rows with all their columns, as often as the mix takes them, numbered by mix_copy from 1.
 
-    Rows of one doc_id are taken alike, by the first of their copies' counts; rows without doc_id stay once.
+    Rows of one doc_id are taken by their mean count; what it has beyond a whole number decides by a
+    hash of each row's text. Rows without doc_id stay once. Where the rows have a column mix_copy of
+    their own, the number's name is lengthened by an underscore.
     """
-    copies = mix(docs, **options).groupBy("doc_id").agg(F.max("copies").alias("__copies"))
-    name = "mix_copy"
-    out = docs.drop(name).join(copies, "doc_id", "left")
-    n = F.when(F.col("doc_id").isNull(), 1).otherwise(F.col("__copies"))
-    return out.where(n > 0).withColumn(name, F.explode(F.sequence(F.lit(1), n))).drop("__copies")
+    name, mean = free_name("mix_copy", docs.columns), free_name("__copies", docs.columns)
+    copies = mix(docs, **options).where("doc_id is not null").groupBy("doc_id").agg(F.avg("copies").alias(mean))
+    out = docs.join(copies, "doc_id", "left")
+    whole = F.floor(mean)
+    share = F.pmod(F.xxhash64("doc_id", "text"), F.lit(1 << 20)) / F.lit(float(1 << 20))
+    n = F.when(F.col("doc_id").isNull(), 1).otherwise(whole + (share < F.col(mean) - whole).cast("int")).cast("int")
+    return out.where(n > 0).withColumn(name, F.explode(F.sequence(F.lit(1), n))).drop(mean)

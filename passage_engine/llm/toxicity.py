@@ -1,12 +1,12 @@
 """Toxicity by the nearest labelled examples: exact TF-IDF cosine over a block-max inverted index.
 
-Terms are chosen from the labels (informative ones, up to ``terms``), as in whole texts of invented
+Terms are chosen from the labels (all that tell more than chance would), as in whole texts of invented
 or rare words all others would drown them. Each labelled text becomes a vector of TF-IDF weights
 over these terms and over marks of how many such words it holds; equal vectors share one entry with
-their counts of labels. The index cuts the entries into blocks and keeps each term's largest weight
-in each block: blocks are read in the order of their bounds until the k-th best cosine beats the
-next bound, so the neighbours are exact. Votes weighted by nearness are calibrated on votes that
-leave each labelled text out.
+their counts of labels. Each term has a posting list of entries and weights, cut where the entries'
+blocks change, with the largest weight of each cut: blocks are scored in the order of their bounds
+until the k-th best cosine beats the next bound, so the neighbours are exact. Votes weighted by
+nearness are calibrated on votes that leave each labelled text out.
 """
 
 from __future__ import annotations
@@ -20,7 +20,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import id_crc, stored, texts_of
+from .common import free_name, id_crc, stored, texts_of
 from .language import in_sample
 
 WORD = re.compile(r"[^\W\d_]+")
@@ -32,14 +32,58 @@ def words_of(text: str) -> list[str]:
     return WORD.findall(text.lower())
 
 
+@dataclass
+class Inverted:
+    """Postings sorted by term and entry; a cell is the part of a term's list in one block of entries."""
+
+    blocks: int
+    first: np.ndarray  # of each term: its first cell
+    block: np.ndarray  # of each cell
+    largest: np.ndarray  # weight in each cell
+    start: np.ndarray  # of each cell in the postings
+    entry: np.ndarray
+    weight: np.ndarray
+
+    def bounds(self, at: np.ndarray, w: np.ndarray) -> np.ndarray:
+        """An upper bound of the cosine with the entries of each block."""
+        out = np.zeros(self.blocks)
+        for t, x in zip(at.tolist(), w.tolist(), strict=True):
+            cells = slice(self.first[t], self.first[t + 1])
+            out[self.block[cells]] += x * self.largest[cells]
+        return out
+
+    def cosines(self, b: int, size: int, at: np.ndarray, w: np.ndarray) -> np.ndarray:
+        """The cosines with the ``size`` entries of block b."""
+        out = np.zeros(size)
+        for t, x in zip(at.tolist(), w.tolist(), strict=True):
+            c = self.first[t] + int(np.searchsorted(self.block[self.first[t] : self.first[t + 1]], b))
+            if c < self.first[t + 1] and self.block[c] == b:
+                own = slice(self.start[c], self.start[c + 1])
+                out[self.entry[own] - b * size] += x * self.weight[own]
+        return out
+
+
+def inverted(vectors: list[tuple[np.ndarray, np.ndarray]], terms: int, block: int) -> Inverted:
+    """The index of the entries' (terms, weights), entries numbered as listed."""
+    entry = np.repeat(np.arange(len(vectors)), [len(v[0]) for v in vectors]) if vectors else np.zeros(0, np.int64)
+    term = np.concatenate([np.zeros(0, np.int64), *(v[0] for v in vectors)])
+    weight = np.concatenate([np.zeros(0), *(v[1] for v in vectors)])
+    by = np.lexsort((entry, term))
+    entry, term, weight = entry[by], term[by], weight[by]
+    blocks = -(-len(vectors) // block)
+    cell = term * max(1, blocks) + entry // block
+    start = np.flatnonzero(np.concatenate([np.ones(min(1, len(cell)), bool), cell[1:] != cell[:-1]]))
+    largest = np.maximum.reduceat(weight, start) if len(start) else np.zeros(0)
+    return Inverted(blocks, np.searchsorted(term[start], np.arange(terms + 1)), entry[start] // block, largest, np.append(start, len(entry)), entry, weight)
+
+
 @dataclass
 class ToxicityModel:
     terms: dict[str, int]
     idf: np.ndarray
     block: int
     sizes: np.ndarray  # entries x (clean, toxic)
-    rows: list[np.ndarray] = field(default_factory=list)  # of each block: dense entries x terms
-    bounds: np.ndarray | None = None  # blocks x terms
+    index: Inverted = field(default_factory=lambda: inverted([], 0, 1))
     k: int = 25
     prior: float = 0.1
     empty: tuple[float, float] = (0.0, 0.0)
@@ -64,13 +108,13 @@ def neighbours(query: tuple[np.ndarray, np.ndarray], model: ToxicityModel, witho
     ``without`` (entry, label) leaves one text out.
     """
     at, w = query
-    limit = model.bounds[:, at] @ w
+    limit = model.index.bounds(at, w)
     found: list[tuple[float, int, float]] = []
     worst, have = -1.0, 0.0
     for b in np.argsort(-limit, kind="stable"):
         if limit[b] <= 0 or (have >= model.k and limit[b] < worst - 1e-12):
             break
-        cos = model.rows[b][:, at] @ w
+        cos = model.index.cosines(int(b), model.block, at, w)
         for i in np.flatnonzero(cos > max(0.0, worst - 1e-12 if have >= model.k else 0.0)):
             e = int(b) * model.block + int(i)
             n = float(model.sizes[e].sum()) - (without is not None and without[0] == e)
@@ -103,11 +147,12 @@ def vote(query, model: ToxicityModel, without: tuple[int, int] | None = None) ->
     return (toxic + model.prior) / (total + 1), near
 
 
-def fit(docs: DataFrame, labels: DataFrame, mod: int = 3, rest: int = 1, most: int = 20_000, terms: int = 512, least_texts: int = 3, block: int = 64, k: int = 25) -> ToxicityModel:
+def fit(docs: DataFrame, labels: DataFrame, mod: int = 3, rest: int = 1, most: int = 20_000, least_texts: int = 3, block: int = 64, k: int = 25) -> ToxicityModel:
     """Documents (doc_id, text) and labels (doc_id, toxic) to a model.
 
     Rows whose crc32(doc_id as text) mod ``mod`` is ``rest`` are held out. About ``most`` ids of each
-    label are used at most, chosen by the id alone: that bounds what is broadcast and the index.
+    label are used at most, chosen by the id alone: that bounds what is broadcast, the words that can
+    be chosen and the index.
     Of several labels of an id the largest counts; null ids and labels don't. Without rows the
     model scores its prior.
     """
@@ -135,7 +180,7 @@ def fit(docs: DataFrame, labels: DataFrame, mod: int = 3, rest: int = 1, most: i
     both = F.col("clean") + F.col("toxic")
     g = 2 * (F.col("toxic") * F.log(F.col("toxic") / (both * odds)) + F.when(F.col("clean") > 0, F.col("clean") * F.log(F.col("clean") / (both * (1 - odds)))).otherwise(0.0))
     chance = 2 * np.log(max(1, counts.count()) / 0.1)
-    kept = counts.withColumn("g", g).where((F.col("toxic") > 2 * odds * both) & (F.col("g") > float(chance))).orderBy(F.desc("g"), "word").limit(terms).collect()
+    kept = counts.withColumn("g", g).where((F.col("toxic") > 2 * odds * both) & (F.col("g") > float(chance))).select("word", "clean", "toxic").collect()
     index = {r.word: i for i, r in enumerate(sorted(kept, key=lambda r: r.word))}
     total = max(1.0, taken.sum())
     df = np.ones(len(index) + len(MARKS))
@@ -157,12 +202,9 @@ def fit(docs: DataFrame, labels: DataFrame, mod: int = 3, rest: int = 1, most: i
     # entries of the same leading terms lie in the same blocks, which makes the bounds sharp
     by = sorted(range(len(vs)), key=lambda i: tuple(vs[i][0][np.argsort(-vs[i][1])].tolist()))
     model.sizes = model.sizes[by] if by else model.sizes
-    dense = np.zeros((len(by), len(idf)), np.float64)
-    for row, i in enumerate(by):
-        dense[row, vs[i][0].astype(np.int64)] = vs[i][1]
-    model.rows = [dense[s : s + block] for s in range(0, len(dense), block)]
-    model.bounds = np.array([r.max(axis=0) for r in model.rows]).reshape(-1, len(idf))
-    model.line = _calibrate(model, [(vs[i][0].astype(np.int64), vs[i][1]) for i in by])
+    entries = [(vs[i][0].astype(np.int64), vs[i][1]) for i in by]
+    model.index = inverted(entries, len(idf), block)
+    model.line = _calibrate(model, entries)
     return model
 
 
@@ -210,15 +252,18 @@ def score_text(text: str, model: ToxicityModel, memo: dict | None = None) -> tup
     return got
 
 
-def _run(model, threshold: float):
+RESULTS = ("score", "predicted", "evidence")
+
+
+def _run(model, threshold: float, names: list[str]):
     def run(batches):
         memo: dict = {}
         for b in batches:
             got = [score_text(t, model.value, memo) for t in texts_of(b)]
             scores = np.array([g[0] for g in got])
-            b = b.append_column("__score", pa.array(scores, pa.float64()))
-            b = b.append_column("__predicted", pa.array((scores >= threshold).astype(np.int32)))
-            yield b.append_column("__evidence", pa.array([";".join(f"{c:.4f}:{t:.3f}" for c, t in g[1]) for g in got], pa.string()))
+            b = b.append_column(names[0], pa.array(scores, pa.float64()))
+            b = b.append_column(names[1], pa.array((scores >= threshold).astype(np.int32)))
+            yield b.append_column(names[2], pa.array([";".join(f"{c:.4f}:{t:.3f}" for c, t in g[1]) for g in got], pa.string()))
 
     return run
 
@@ -232,13 +277,13 @@ def score(docs: DataFrame, model: ToxicityModel, threshold: float = 0.7) -> Data
     """
     shared = docs.sparkSession.sparkContext.broadcast(model)
     kind = docs.schema["doc_id"].dataType.simpleString()
-    out = docs.select("doc_id", "text").mapInArrow(_run(shared, threshold), f"doc_id {kind}, text string, __score double, __predicted int, __evidence string")
-    return out.select("doc_id", F.col("__score").alias("score"), F.col("__predicted").alias("predicted"), F.col("__evidence").alias("evidence"))
+    out = docs.select("doc_id", "text").mapInArrow(_run(shared, threshold, list(RESULTS)), f"doc_id {kind}, text string, score double, predicted int, evidence string")
+    return out.select("doc_id", *RESULTS)
 
 
 def reject(docs: DataFrame, model: ToxicityModel, threshold: float = 0.7) -> DataFrame:
-    """The rows, with all their columns, whose text scores below the threshold."""
+    """The rows, with all their columns, whose text scores below the threshold; columns may have any names."""
     shared = docs.sparkSession.sparkContext.broadcast(model)
-    schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema), "__score double", "__predicted int", "__evidence string"])
-    return docs.mapInArrow(_run(shared, threshold), schema).where("__predicted = 0").drop("__score", "__predicted", "__evidence")
-
+    names = [free_name(f"__{x}", docs.columns) for x in RESULTS]
+    schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in docs.schema), *(f"`{x}` {kind}" for x, kind in zip(names, ("double", "int", "string"), strict=True))])
+    return docs.mapInArrow(_run(shared, threshold, names), schema).where(F.col(f"`{names[1]}`") == 0).drop(*names)

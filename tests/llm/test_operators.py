@@ -274,9 +274,8 @@ def test_neighbours_of_the_index_are_exact():
     dense = np.abs(rng.standard_normal((300, 20))) * (rng.random((300, 20)) < 0.2)
     dense = dense[dense.any(axis=1)]
     dense /= np.linalg.norm(dense, axis=1, keepdims=True)
-    model = toxicity.ToxicityModel({}, np.ones(20), 16, np.ones((len(dense), 2)), k=10)
-    model.rows = [dense[i : i + 16] for i in range(0, len(dense), 16)]
-    model.bounds = np.array([r.max(axis=0) for r in model.rows])
+    sparse = [(np.flatnonzero(r), r[r > 0]) for r in dense]
+    model = toxicity.ToxicityModel({}, np.ones(20), 16, np.ones((len(dense), 2)), index=toxicity.inverted(sparse, 20, 16), k=10)
     for q in dense[:40]:
         at = np.flatnonzero(q)
         got = toxicity.neighbours((at, q[at]), model)
