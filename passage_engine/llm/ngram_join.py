@@ -49,8 +49,15 @@ def unpack(blob: bytes) -> np.ndarray:
     return np.cumsum(np.ascontiguousarray(planes.T).view(np.uint64).ravel(), dtype=np.uint64)
 
 
-def fingerprint(tokens: np.ndarray) -> int:
-    return int((mix(tokens).sum(dtype=np.uint64) ^ U(len(tokens))).view(np.int64))
+def fingerprints(sets: list[np.ndarray]) -> list[int]:
+    """64-bit hashes of whole sets; 0 for the empty one."""
+    sizes = np.array([len(s) for s in sets], np.int64)
+    sums = np.zeros(len(sets), np.uint64)
+    full = np.flatnonzero(sizes)
+    if len(full):
+        starts = np.concatenate([[0], np.cumsum(sizes[full])[:-1]])
+        sums[full] = np.add.reduceat(mix(np.concatenate([sets[i] for i in full])), starts)
+    return (sums ^ sizes.astype(np.uint64)).view(np.int64).tolist()
 
 
 def least_shared(n, m, percent: int):
@@ -96,13 +103,13 @@ class Orders:
         return by, np.arange(n - len(shared), n - len(shared) + len(by))
 
 
-def _sets(batches: Iterator[pa.RecordBatch], k: int) -> Iterator[tuple[pa.RecordBatch, int, np.ndarray]]:
-    """(batch, row, sorted tokens) of each document."""
+def _sets(batches: Iterator[pa.RecordBatch], k: int) -> Iterator[tuple[pa.RecordBatch, int, list[np.ndarray], list[int]]]:
+    """(batch, first row, sets of sorted tokens, their fingerprints) of a few documents at a time."""
     for b in batches:
         texts = texts_of(b)
         for i, j in runs(texts, CHUNK):
-            for row, s in zip(range(i, j), shingle_sets(texts[i:j], k), strict=True):
-                yield b, row, s
+            found = shingle_sets(texts[i:j], k)
+            yield b, i, found, fingerprints(found)
 
 
 def _blobs(k: int, parts: int, flush: int = 1 << 20):
@@ -116,12 +123,12 @@ def _blobs(k: int, parts: int, flush: int = 1 << 20):
 
     def run(batches):
         seen, held, size = set(), [], 0
-        for _, _, t in _sets(batches, k):
-            if not len(t) or (fp := fingerprint(t)) in seen:
-                continue
-            seen.add(fp)
-            held.append(t >> U(64 - COUNT_BITS))
-            size += len(t)
+        for _, _, sets, fps in _sets(batches, k):
+            for t, fp in zip(sets, fps, strict=True):
+                if len(t) and fp not in seen:
+                    seen.add(fp)
+                    held.append(t >> U(64 - COUNT_BITS))
+                    size += len(t)
             if size >= flush:
                 yield packed(held)
                 held, size = [], 0
@@ -180,11 +187,8 @@ def _profile(k: int, percent: int, orders, salt_at: int):
         names = [c.split()[0] for c in PROFILE.split(", ")]
         return pa.record_batch([pa.array(cols[c]) if c in cols else none for c in names], names=names)
 
-    def posting(t: np.ndarray, fp: int) -> dict | None:
-        rank = orders.value.rank(t)
+    def posting(t: np.ndarray, rank: np.ndarray, fp: int) -> dict:
         first, place = orders.value.prefix(t, rank, 0, percent)
-        if not len(first):
-            return None
         sigs = [np.bitwise_or.reduce(U(1) << (mix(t[orders.value.prefix(t, rank, o, percent)[0]]) & U(63))).view(np.int64) for o in (1, 2)]
         often, m = rank[first], len(first)
         # 0: not dealt out; parts of a token that is have salts from 1
@@ -195,15 +199,23 @@ def _profile(k: int, percent: int, orders, salt_at: int):
 
     def run(batches):
         seen: set[int] = set()
-        held, size, rows, of, ids = [], 0, [], None, None
-        for b, row, t in _sets(batches, k):
-            if b is not of:
-                of, ids = b, [b.column(c).to_pylist() for c in ("doc_id", "h", "g")]
-            fp = fingerprint(t)
-            rows.append((ids[0][row], ids[1][row], ids[2][row], fp, len(t)))
-            if len(t) and ids[0][row] is not None and fp not in seen:
-                seen.add(fp)
-                if (got := posting(t, fp)) is not None:
+        held, size, rows = [], 0, []
+        for b, i, sets, fps in _sets(batches, k):
+            ids = [b.column(c).slice(i, len(sets)).to_pylist() for c in ("doc_id", "h", "g")]
+            rows += zip(*ids, fps, map(len, sets), strict=True)
+            fresh = []
+            for x, (t, fp, doc) in enumerate(zip(sets, fps, ids[0], strict=True)):
+                if len(t) and doc is not None and fp not in seen:
+                    seen.add(fp)
+                    fresh.append(x)
+            if fresh:
+                sizes = np.array([len(sets[x]) for x in fresh], np.int64)
+                ends = np.cumsum(sizes)
+                ranks = orders.value.rank(np.concatenate([sets[x] for x in fresh]))
+                shared = np.add.reduceat(ranks > 0, ends - sizes, dtype=np.int64)
+                # tokens of one class alone fill the prefix of most documents
+                for at in np.flatnonzero(shared >= -(-sizes * percent // 100)):
+                    got = posting(sets[fresh[at]], ranks[ends[at] - sizes[at] : ends[at]], fps[fresh[at]])
                     held.append(got)
                     size += len(got["fp"])
             if len(rows) >= 5000:
@@ -344,16 +356,14 @@ def _apart(percent: int, cells: int = 1 << 18):
 
 def _tokens(k: int):
     def run(batches):
-        rows, size, of, ids = [], 0, None, None
+        rows, size = [], 0
 
         def out():
             return pa.record_batch([pa.array([r[0] for r in rows], pa.int64()), pa.array([r[1] for r in rows], pa.int64()), pa.array([r[2] for r in rows], pa.binary())], names=["doc_id", "fp", "tokens"])
 
-        for b, row, t in _sets(batches, k):
-            if b is not of:
-                of, ids = b, b.column("doc_id").to_pylist()
-            rows.append((ids[row], fingerprint(t), t.tobytes()))
-            size += len(t)
+        for b, i, sets, fps in _sets(batches, k):
+            rows += zip(b.column("doc_id").slice(i, len(sets)).to_pylist(), fps, [t.tobytes() for t in sets], strict=True)
+            size += sum(map(len, sets))
             if size > 1 << 18:
                 yield out()
                 rows, size = [], 0
@@ -366,8 +376,8 @@ def _tokens(k: int):
 def _verify(percent: int, orders):
     """Pairs with both sets to links: the filters of the further orders, then the exact measure."""
 
-    def shares(x, y, order):
-        p, q = (t[orders.value.prefix(t, orders.value.rank(t), order, percent)[0]] for t in (x, y))
+    def shares(x, y, ranks, order):
+        p, q = (t[orders.value.prefix(t, r, order, percent)[0]] for t, r in zip((x, y), ranks, strict=True))
         return len(np.intersect1d(p, q, assume_unique=True)) > 0
 
     def run(batches):
@@ -375,7 +385,8 @@ def _verify(percent: int, orders):
             kept = []
             for i, (x, y) in enumerate(zip(b.column("x"), b.column("y"), strict=True)):
                 x, y = (np.frombuffer(v.as_buffer(), np.uint64) for v in (x, y))
-                if all(shares(x, y, o) for o in range(1, len(ORDER_SEEDS))):
+                ranks = [orders.value.rank(t) for t in (x, y)]
+                if all(shares(x, y, ranks, o) for o in range(1, len(ORDER_SEEDS))):
                     both = len(np.intersect1d(x, y, assume_unique=True))
                     if 100 * both >= percent * (len(x) + len(y) - both):
                         kept.append(i)
