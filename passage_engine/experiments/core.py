@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 from functools import reduce
 
 from pyspark.sql import Column, DataFrame, SparkSession, Window
@@ -160,12 +161,12 @@ def acc_interview(spark: SparkSession, sf_dir: str) -> DataFrame:
     return acc_cue(corpora.interviews(spark, sf_dir))
 
 
-COHESION_SQL = with_(sentences("F-EN", "F-INT")) + """,
-ws AS (SELECT corpus, doc_id, idx, n_sent, ends_para, list_distinct(regexp_extract_all(lower(text), '\\p{L}+')) AS w FROM sents),
+DISSIMILAR = """ws AS (SELECT corpus, doc_id, idx, n_sent, ends_para, list_distinct(regexp_extract_all(lower(text), '\\p{L}+')) AS w FROM sents),
 side AS (SELECT corpus, doc_id, idx, n_sent, ends_para,
   list_distinct(flatten(list(w) OVER (PARTITION BY corpus, doc_id ORDER BY idx ROWS BETWEEN 2 PRECEDING AND CURRENT ROW))) AS l,
   list_distinct(coalesce(flatten(list(w) OVER (PARTITION BY corpus, doc_id ORDER BY idx ROWS BETWEEN 1 FOLLOWING AND 3 FOLLOWING)), []::VARCHAR[])) AS r FROM ws),
-d AS (SELECT *, CASE WHEN len(list_distinct(list_concat(l, r))) = 0 THEN 1.0 ELSE round(1 - len(list_intersect(l, r)) / len(list_distinct(list_concat(l, r))), 6) END AS d FROM side)
+d AS (SELECT *, CASE WHEN len(list_distinct(list_concat(l, r))) = 0 THEN 1.0 ELSE round(1 - len(list_intersect(l, r)) / len(list_distinct(list_concat(l, r))), 6) END AS d FROM side)"""
+COHESION_SQL = with_(sentences("F-EN", "F-INT"), DISSIMILAR) + """
 SELECT corpus, count(*)::BIGINT AS breaks, round(avg(d), 4) AS mean, sum((d >= 0.95)::INT)::BIGINT AS dissimilar FROM d WHERE idx < n_sent - 1 GROUP BY corpus"""
 
 
@@ -177,7 +178,12 @@ def cohesion_scores(spark: SparkSession, sf_dir: str) -> DataFrame:
     return rows.groupBy("corpus").agg(F.count("*").alias("breaks"), F.round(F.avg("d"), 4).alias("mean"), F.sum((F.col("d") >= 0.95).cast("long")).alias("dissimilar"))
 
 
-@register("acc_written_cohesion")
+BEYOND_SQL = with_(sentences("F-EN", "F-COARSE"), DISSIMILAR) + f""", m AS (SELECT corpus, idx, n_sent, ends_para AS r,
+  d > avg(d) OVER (PARTITION BY corpus, doc_id) + 0.5 * sqrt(avg(d * d) OVER (PARTITION BY corpus, doc_id) - (avg(d) OVER (PARTITION BY corpus, doc_id)) ** 2 + 1e-12) AS p FROM d)
+SELECT corpus, {PRF_OUT} FROM (SELECT corpus, {PRF} FROM m WHERE idx < n_sent - 1 GROUP BY corpus)"""
+
+
+@register("acc_written_cohesion", BEYOND_SQL)
 def acc_written_cohesion(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Unsupervised baseline: dissimilarity beyond mean + c * deviation of the document."""
     docs = corpora.written(spark, sf_dir).unionByName(corpora.coarse(spark, sf_dir))
@@ -393,19 +399,43 @@ def sig_randomization(spark: SparkSession, sf_dir: str) -> DataFrame:
     return evaluation.randomization(paired(spark, sf_dir), 200)
 
 
-@register("sig_bootstrap")
+def _bootstrap_sql(rounds: int) -> str:
+    total, steps = 0.0, []
+    for k in range(8):
+        total += math.exp(-1) / math.factorial(k)
+        steps.append(f"(u >= {total!r}::DOUBLE)::INT")
+    return "WITH " + PAIRED_SQL + f""", s AS (SELECT unnest(range({rounds})) AS seed),
+x AS (SELECT seed, ({sql.h("doc_id || '-' || seed")} % 1048576) / 1048576.0::DOUBLE AS u, u.* FROM u, s),
+y AS (SELECT seed, {" + ".join(steps)} AS w, tp_a, fp_a, fn_a, tp_b, fp_b, fn_b FROM x),
+z AS (SELECT seed, 2 * sum(w * tp_a) / greatest(sum(w * (2 * tp_a + fp_a + fn_a)), 1) - 2 * sum(w * tp_b) / greatest(sum(w * (2 * tp_b + fp_b + fn_b)), 1) AS d FROM y GROUP BY seed)
+SELECT round(avg((d <= 0)::INT), 6) AS p, round(avg(d), 6) AS gain FROM z"""
+
+
+@register("sig_bootstrap", _bootstrap_sql(200))
 def sig_bootstrap(spark: SparkSession, sf_dir: str) -> DataFrame:
     return evaluation.bootstrap(paired(spark, sf_dir), 200)
 
 
 @register("leak_scan", "SELECT b.item_id, count(d.doc_id)::BIGINT AS docs FROM benchmark b JOIN documents d ON contains(d.text, b.text) GROUP BY b.item_id")
 def leak_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Evaluation passages that stand verbatim in training text: the passages, of checked size, are broadcast."""
-    passages = table(spark, sf_dir, "benchmark").select("item_id", F.col("text").alias("passage"))
-    if (n := passages.count()) > 10_000:
-        raise ValueError(f"{n} passages need the automaton of the decontamination operator")
+    """Evaluation passages that stand verbatim in training text.
+
+    Three whole words from inside a passage are its key; the documents' own runs of three words meet the
+    keys by equality, then the whole passage is looked up. Only passages of fewer than five words,
+    which have no such key and are rare, are looked up in every document.
+    """
+    passages = table(spark, sf_dir, "benchmark").select("item_id", F.col("text").alias("passage"), F.split("text", " ").alias("w"))
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
-    return docs.join(F.broadcast(passages), F.contains("text", "passage")).groupBy("item_id").agg(F.count("*").alias("docs"))
+    keyed = passages.where(F.size("w") >= 5).select("item_id", "passage", F.array_join(F.slice("w", 2, 3), " ").alias("key"))
+    runs = F.when(F.size("w") >= 3, F.sequence(F.lit(0), F.size("w") - 3)).otherwise(F.array().cast("array<int>"))
+    own = docs.withColumn("w", F.split("text", " ")).select("doc_id", "text", F.explode(F.array_distinct(F.transform(runs, lambda i: F.array_join(F.slice("w", i + 1, 3), " ")))).alias("key"))
+    met = own.join(keyed, "key").where(F.contains("text", "passage")).select("item_id", "doc_id")
+    short = passages.where((F.size("w") < 5) & (F.length("passage") > 0)).select("item_id", "passage").limit(1001)
+    if (n := short.count()) > 1000:
+        raise ValueError("more than 1000 passages are too short for a key; the decontamination operator has an automaton for them")
+    if n:
+        met = met.unionByName(docs.join(F.broadcast(short), F.contains("text", "passage")).select("item_id", "doc_id"))
+    return met.groupBy("item_id").agg(F.count("*").alias("docs"))
 
 
 # -- vectors ---------------------------------------------------------------------------------------

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from dataclasses import replace
+
 from pyspark.ml.classification import LogisticRegression
 from pyspark.ml.functions import array_to_vector, vector_to_array
 from pyspark.sql import DataFrame, SparkSession
@@ -11,6 +13,7 @@ from ..catalog import register
 from ..functions import phones as ph
 from ..functions import pretrain
 from ..functions import text as t
+from ..functions import tokens
 from ..models import encoder, lexical, training
 from ..operators import evaluation
 from ..plans import infer
@@ -19,11 +22,16 @@ from ..plans.windows import Adaptive, Fixed
 from ..sources import corpora
 from ..sources.corpora import table
 from .core import scored
+from .sql import document_lists, sentences, window_walk, with_
 
 #: Toy sizes: seconds on a laptop, the same code at any width.
 TOY = dict(vocab=512, width=16, heads=2, layers=1, max_tokens=128, max_sents=20, context=24)
 LIMIT, CAP = 127, 20
 EPOCHS, BATCH, RATE, STEPS = 6, 16, 1e-2, 12
+#: The larger encoder of the local-context baselines: twice the layers, one and a half times the width.
+LARGER = dict(layers=2, width=24)
+#: Training documents of the written corpora, which are longer than interviews.
+WRITTEN_DOCS = 50
 
 
 def planted(corpus: DataFrame, every: int = 1) -> DataFrame:
@@ -36,14 +44,14 @@ def planted(corpus: DataFrame, every: int = 1) -> DataFrame:
     return corpus.withColumn("sents", sents)
 
 
-def halves(corpus: DataFrame, train_docs: int = 150, test_docs: int = 60) -> tuple[DataFrame, DataFrame]:
-    """Toy-sized training and test samples of a corpus; toy sizes are the feature here, the operators have none."""
+def halves(corpus: DataFrame, train_docs: int = 150) -> tuple[DataFrame, DataFrame]:
+    """A bounded training sample of a corpus (the documented parameter), and all its held-out documents."""
     part = t.h(t.key(F.col("doc_id"), "half")) % 10
-    return corpora.take_n(corpus.where((part < 8) & (F.col("n_sent") > 1)), train_docs, 1), corpora.take_n(corpus.where((part >= 8) & (F.col("n_sent") > 1)), test_docs, 2)
+    return corpora.take_n(corpus.where((part < 8) & (F.col("n_sent") > 1)), train_docs, 1), corpus.where((part >= 8) & (F.col("n_sent") > 1))
 
 
 def trained(train: DataFrame, cfg: encoder.Config, epochs: int = EPOCHS, lexicon: dict | None = None, params: dict | None = None, distributed: bool = False, **options) -> tuple[bytes, list[float]]:
-    """Fit on the samples of a toy-sized corpus: some tens of documents fit the driver, where a step takes
+    """Fit on the samples of a bounded number of documents: they fit the driver, where a step takes
     milliseconds; ``distributed`` takes the way of real sizes.
     """
     s = training.samples(train, step=options.pop("step", 10), max_sents=options.pop("max_sents", CAP), limit=LIMIT, **options)
@@ -53,7 +61,7 @@ def trained(train: DataFrame, cfg: encoder.Config, epochs: int = EPOCHS, lexicon
             return training.fit(s, cfg, epochs=epochs, batch=BATCH, rate=RATE, lexicon=lexicon, params=params)
         finally:
             s.unpersist()
-    rows = s.orderBy("doc_id", "first", "version").limit(4000).collect()
+    rows = s.orderBy("doc_id", "first", "version").collect()
     got, losses = training.fit_local(training.as_blocks([r.sents for r in rows], [r.labels for r in rows], cfg, lexicon), cfg, epochs, BATCH, RATE, 0.1, params)
     return encoder.save(cfg, got), losses
 
@@ -74,18 +82,24 @@ def stack(rows: list[DataFrame]) -> DataFrame:
     return out
 
 
+WRITTEN = {"F-EN": corpora.written, "F-COARSE": corpora.coarse}
+
+
 def _accuracy(kind: str, **extra):
     def build(spark: SparkSession, sf_dir: str) -> DataFrame:
-        train, test = halves(planted(corpora.interviews(spark, sf_dir)))
-        blob, _ = trained(train, encoder.Config(kind=kind, **{**TOY, **extra}))
-        return score_row(blob, test, Adaptive(10), kind, "F-INT planted")
+        rows = []
+        for name, corpus in WRITTEN.items():
+            train, test = halves(planted(corpus(spark, sf_dir)), WRITTEN_DOCS)
+            blob, _ = trained(train, encoder.Config(kind=kind, **{**TOY, **extra}))
+            rows.append(score_row(blob, test, Adaptive(10), kind, f"{name} planted"))
+        return stack(rows)
 
     return build
 
 
-for _key, _kind, _extra in (("acc_written_block", "block", {}), ("acc_written_local_128", "local", {}), ("acc_written_local_large", "local", {"layers": 2}), ("acc_written_local_256", "local", {"layers": 2, "context": 48}), ("acc_written_two_level", "two_level", {}), ("acc_written_recurrent", "recurrent", {})):
+for _key, _kind, _extra in (("acc_written_block", "block", {}), ("acc_written_local_128", "local", {}), ("acc_written_local_large", "local", LARGER), ("acc_written_local_256", "local", {**LARGER, "context": 48}), ("acc_written_two_level", "two_level", {}), ("acc_written_joint", "two_level", {"joint": True}), ("acc_written_recurrent", "recurrent", {})):
     _f = _accuracy(_kind, **_extra)
-    _f.__doc__ = f"Toy-width {_kind} model on planted cues."
+    _f.__doc__ = f"Toy-width {_kind} model on planted cues of F-EN and F-COARSE: all held-out documents."
     register(_key)(_f)
 
 
@@ -98,72 +112,170 @@ def acc_written_linear(spark: SparkSession, sf_dir: str) -> DataFrame:
         x = F.array(F.col("d"), F.col("s.n_tok") / 20.0, F.col("s.idx") / F.col("n_sent"), F.col("s.text").rlike(r"finis$").cast("double"))
         return rows.select("doc_id", "n_sent", F.col("s.idx").alias("idx"), F.col("s.ends_para").alias("ends_para"), F.col("s.ends_para").cast("double").alias("label"), array_to_vector(x).alias("features"))
 
-    train, test = halves(planted(corpora.interviews(spark, sf_dir)))
-    model = LogisticRegression(maxIter=20, regParam=0.001).fit(features(train))
-    got = model.transform(features(test)).withColumn("is_boundary", vector_to_array("probability")[1] > 0.5)
-    return evaluation.prf(got)
+    rows = []
+    for name, corpus in WRITTEN.items():
+        train, test = halves(planted(corpus(spark, sf_dir)), WRITTEN_DOCS)
+        model = LogisticRegression(maxIter=20, regParam=0.001).fit(features(train))
+        got = model.transform(features(test)).withColumn("is_boundary", vector_to_array("probability")[1] > 0.5)
+        rows.append(evaluation.prf(got).withColumn("corpus", F.lit(f"{name} planted")))
+    return stack(rows)
 
 
 @register("fit_distributed")
 def fit_distributed(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Two epochs with gradients summed by the cluster: the loss of each step."""
-    train, _ = halves(planted(corpora.interviews(spark, sf_dir)), 40, 1)
+    train, _ = halves(planted(corpora.interviews(spark, sf_dir)), 40)
     _, losses = trained(train, encoder.Config(**TOY), epochs=2, distributed=True)
     return spark.createDataFrame(list(enumerate(losses)), "step int, loss double")
 
 
-@register("acc_phone_grid")
-def acc_phone_grid(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """With and without phones (mean and sum) on interviews through recognition noise."""
+def sound_words(spark: SparkSession, sf_dir: str) -> dict[str, list[str]]:
+    """First pronunciations of the interviews' words, as a checked broadcast."""
     lex = ph.first_entry(ph.lexicon(ph.vocabulary(table(spark, sf_dir, "conversations"))))
     if (n := lex.count()) > 1_000_000:
         raise ValueError(f"a lexicon of {n} words is to be joined, not broadcast")
-    words = {r.word: list(r.phones) for r in lex.collect()}
-    docs = planted(corpora.interviews(spark, sf_dir))
-    noisy = ph.corrupt(t.exploded(docs).select("doc_id", "idx", "text"), ph.confusions(ph.lexicon(ph.vocabulary(table(spark, sf_dir, "conversations")))), 0.5)
+    return {r.word: list(r.phones) for r in lex.collect()}
+
+
+#: Kinds of noise and the word rate at which the character error rate of these texts is near 0.16.
+NOISE = ("confusion", "filler", "repetition", "deletion")
+
+
+def spoken(spark: SparkSession, corpus: DataFrame, pairs: DataFrame, rate: float = 0.16) -> DataFrame:
+    """A corpus through recognition noise; a sentence that loses all its words stays with an empty text."""
+    noisy = ph.corrupt(t.exploded(corpus).select("doc_id", "idx", "text"), pairs, rate, NOISE)
     lists = noisy.groupBy("doc_id").agg(F.sort_array(F.collect_list(F.struct("idx", "hyp"))).alias("hyps"))
-    spoken = docs.join(lists, "doc_id").withColumn("sents", F.zip_with("sents", "hyps", lambda s, x: F.struct(s["idx"].alias("idx"), x["hyp"].alias("text"), t.count_words(x["hyp"]).alias("n_tok"), s["ends_para"].alias("ends_para"))))
-    train, _ = halves(docs)
-    _, test = halves(spoken)
+    return corpus.join(lists, "doc_id").withColumn("sents", F.zip_with("sents", "hyps", lambda s, x: F.struct(s["idx"].alias("idx"), x["hyp"].alias("text"), t.count_words(x["hyp"]).alias("n_tok"), s["ends_para"].alias("ends_para")))).drop("hyps")
+
+
+@register("acc_phone_grid")
+def acc_phone_grid(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The settings (a) to (d): encoders next and order without and with phones, trained on F-XX; F-XX, F-LEC and F-INT.
+
+    The spoken corpora come through noise at the recognizer's rate of 0.16; all held-out documents are scored.
+    """
+    words = sound_words(spark, sf_dir)
+    pairs = ph.confusions(ph.lexicon(ph.vocabulary(table(spark, sf_dir, "conversations")))).cache()
+    train, own = halves(planted(corpora.written(spark, sf_dir, True)), WRITTEN_DOCS)
+    tests = {"F-XX": own} | {n: spoken(spark, halves(planted(f(spark, sf_dir)))[1], pairs) for n, f in (("F-LEC", corpora.lectures), ("F-INT", corpora.interviews))}
     rows = []
-    for name, extra in (("plain", {}), ("phones mean", {"phones": 32}), ("phones sum", {"phones": 32, "phone_pool": "sum"})):
-        blob, _ = trained(train, encoder.Config(**TOY, **extra), lexicon=words if extra else None)
-        rows.append(score_row(blob, test, Adaptive(10), name, "F-INT noisy", words if extra else None))
+    for setting, name, extra in (("a", "next", {}), ("b", "next", {"phones": 32}), ("c", "order", {}), ("d", "order", {"phones": 32})):
+        cfg = encoder.Config(**TOY, **extra)
+        lex = words if extra else None
+        blob, _ = trained(train, cfg, lexicon=lex, params=warmed(name, train, cfg)[0])
+        rows += [score_row(blob, test, Adaptive(10), f"({setting}) {name}{' + phones' if extra else ''}", corpus, lex) for corpus, test in tests.items()]
     return stack(rows)
 
 
-ENCODERS = ("next", "order", "span", "mlm", "rtd")
+@register("acc_phone_pools")
+def acc_phone_pools(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Mean against sum of phone vectors, and words against sub-words, on noisy interviews."""
+    words = sound_words(spark, sf_dir)
+    pairs = ph.confusions(ph.lexicon(ph.vocabulary(table(spark, sf_dir, "conversations"))))
+    train, test = halves(planted(corpora.interviews(spark, sf_dir)))
+    test = spoken(spark, test, pairs)
+    vocab = tokens.load_vocab(VOCAB)
+    rows = []
+    for name, extra, cut in (("words", {}, False), ("words, mean", {"phones": 32}, False), ("words, sum", {"phones": 32, "phone_pool": "sum"}, False), ("pieces", {}, True), ("pieces, mean on all", {"phones": 32}, True), ("pieces, mean on first", {"phones": 32, "phone_spread": "first"}, True)):
+        lex = words if extra else None
+        a, b = (tokens.as_pieces(x, vocab) if cut else x for x in (train, test))
+        blob, _ = trained(a, encoder.Config(**TOY, **extra), lexicon=lex)
+        rows.append(score_row(blob, b, Adaptive(10), name, "F-INT noisy", lex))
+    return stack(rows)
+
 
+ENCODERS = ("next", "order", "span", "mlm", "rtd")
+#: A public vocabulary file; a parameter for users.
+VOCAB = "/opt/tokenizers/word_bpe_49k.json"
 
-def warmed(name: str, docs: DataFrame, cfg: encoder.Config) -> dict:
-    """Parameters after a short pre-training by an encoder's sentence or token objective, as block samples."""
-    def pair(df: DataFrame, positive: int) -> DataFrame:
-        return df.select("doc_id", F.col("i").alias("first"), F.lit("whole").alias("version"), F.array(F.split("s1", t.SPACE), F.split("s2", t.SPACE)).alias("sents"), F.array(F.lit(0), (F.col("y") == positive).cast("int")).alias("labels"))
 
-    def tokens(df: DataFrame) -> DataFrame:
-        return df.where(F.size("x") > 0).select("doc_id", F.col("idx").alias("first"), F.lit("whole").alias("version"), F.transform(F.slice("x", 1, cfg.max_sents), lambda w: F.array(w)).alias("sents"), F.slice("y", 1, cfg.max_sents).alias("labels"))
+def warmed(name: str, docs: DataFrame, cfg: encoder.Config, epochs: int = 2, most: int = 500) -> tuple[dict, list[float]]:
+    """Parameters after a short pre-training by an encoder's objective, and the loss of each epoch.
 
-    vocab = docs.select(F.explode("sents").alias("s")).select(F.explode(t.words(F.col("s.text"))).alias("word")).distinct()
-    rows = {
-        "next": lambda: pair(pretrain.next_pairs(docs), 1), "order": lambda: pair(pretrain.order_triples(docs), 0), "span": lambda: pair(pretrain.span_order(docs), 0),
-        "mlm": lambda: tokens(pretrain.mask_tokens(docs)), "rtd": lambda: tokens(pretrain.replace_tokens(docs, vocab)),
+    Sentence objectives judge the second of two sentences (next: follows or not; order: before, after or
+    unrelated; span: swapped or not). Token objectives judge each token: the hidden word among the
+    vocabulary's ids (mlm), or whether the generator replaced it (rtd). Order and span add the words
+    of shuffled spans. About ``most`` samples, drawn by hash, are used (the documented bound).
+    """
+    def drawn(df: DataFrame, *key: str) -> list:
+        return df.orderBy(F.md5(t.key(*(F.col(k) for k in key), "warm").cast("binary")), *key).limit(most).collect()
+
+    def pairs(df: DataFrame) -> list[encoder.Block]:
+        rows = drawn(df, "doc_id", "i")
+        sents = [[r.s1.split()[: cfg.max_tokens // 2 - 1], r.s2.split()[: cfg.max_tokens // 2 - 1]] for r in rows]
+        blocks = training.as_blocks(sents, None, cfg)
+        for blk, r in zip(blocks, rows, strict=True):
+            blk.labels = [-1, r.y]
+        return blocks
+
+    def units(df: DataFrame, label) -> list[encoder.Block]:
+        """Every token is a unit of its own; windows of the model's length cover whole sentences."""
+        rows = [(r.x[i : i + cfg.max_tokens - 1], r.target[i : i + cfg.max_tokens - 1], r.y[i : i + cfg.max_tokens - 1]) for r in drawn(df.where(F.size("x") > 0), "doc_id", "idx") for i in range(0, len(r.x), cfg.max_tokens - 1)]
+        blocks = training.as_blocks([[[w] for w in x] for x, _, _ in rows], None, cfg)
+        for blk, (_, target, y) in zip(blocks, rows, strict=True):
+            blk.labels = label(target, y)
+        return blocks
+
+    changed = lambda target, y: list(map(int, y))
+    hidden = lambda target, y: [i if m else -1 for i, m in zip(encoder.hash_ids(target, cfg.vocab), y, strict=True)]
+    stages = {
+        "next": lambda: [(2, pairs(pretrain.next_pairs(docs)))],
+        "order": lambda: [(2, units(pretrain.word_order(docs), changed)), (3, pairs(pretrain.order_triples(docs)))],
+        "span": lambda: [(2, pairs(pretrain.span_order(docs)))],
+        "mlm": lambda: [(cfg.vocab, units(pretrain.mask_tokens(docs), hidden))],
+        "rtd": lambda: [(2, units(pretrain.replace_tokens(docs, pretrain.counted_words(docs)), changed))],
     }[name]()
-    blob, _ = training.fit(rows.cache(), cfg, epochs=1, rate=RATE, max_steps=2)
-    params = encoder.load(blob)[1]
+    params, losses = encoder.init(cfg), []
+    for classes, blocks in stages:
+        own = replace(cfg, classes=classes, labels=())
+        head = {k: v for k, v in encoder.init(own).items() if k.startswith("head.")}
+        got, loss = training.fit_local(blocks, own, epochs, BATCH, RATE, 0.1, params | head)
+        params, losses = got, losses + loss
     fresh = encoder.init(cfg)
-    return params | {k: fresh[k] for k in ("head.w", "head.b")}
+    return params | {k: fresh[k] for k in ("head.w", "head.b")}, losses
+
+
+@register("pretrain_losses")
+def pretrain_losses(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Loss of each pre-training objective by epoch."""
+    docs, _ = halves(corpora.interviews(spark, sf_dir))
+    docs = docs.cache()
+    rows = [(n, e, float(x)) for n in ENCODERS for e, x in enumerate(warmed(n, docs, encoder.Config(**TOY), 3)[1])]
+    return spark.createDataFrame(rows, "encoder string, epoch int, loss double")
 
 
 @register("acc_encoder_grid")
 def acc_encoder_grid(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Five pre-training objectives, then the same short tuning; written and spoken test sets."""
-    docs = planted(corpora.interviews(spark, sf_dir))
-    train, test = halves(docs)
+    """Five pre-training objectives, then the same short tuning: F-EN on itself; F-XX on F-XX, F-LEC and F-INT.
+
+    All held-out documents are scored.
+    """
     cfg = encoder.Config(**TOY)
     rows = []
-    for name in ENCODERS:
-        blob, _ = trained(train, cfg, params=warmed(name, train, cfg))
-        rows.append(score_row(blob, test, Adaptive(10), name, "F-INT planted"))
+    for own, second, others in (("F-EN", False, {}), ("F-XX", True, {"F-LEC": corpora.lectures, "F-INT": corpora.interviews})):
+        train, test = halves(planted(corpora.written(spark, sf_dir, second)), WRITTEN_DOCS)
+        train = train.cache()
+        tests = {own: test} | {n: halves(planted(f(spark, sf_dir)))[1] for n, f in others.items()}
+        for name in ENCODERS:
+            blob, _ = trained(train, cfg, params=warmed(name, train, cfg)[0])
+            rows += [score_row(blob, x, Adaptive(10), name, corpus) for corpus, x in tests.items()]
+    return stack(rows)
+
+
+@register("acc_gain")
+def acc_gain(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Block tagger against local-context classifier on four corpora: F1 of both, gain in points, paired significance."""
+    rows = []
+    for own, second, others in (("F-EN", False, {}), ("F-XX", True, {"F-LEC": corpora.lectures, "F-INT": corpora.interviews})):
+        train, test = halves(planted(corpora.written(spark, sf_dir, second)), WRITTEN_DOCS)
+        blobs = {kind: trained(train, encoder.Config(kind=kind, **TOY))[0] for kind in ("block", "local")}
+        for corpus, x in ({own: test} | {n: halves(planted(f(spark, sf_dir)))[1] for n, f in others.items()}).items():
+            c = {k: judged(b, x, Adaptive(10)).select("doc_id", evaluation.array_counts(F.col("boundary"), F.col("ref")).alias(k)) for k, b in blobs.items()}
+            both = c["block"].join(c["local"], "doc_id").cache()
+            docs = both.select("doc_id", *(F.col(f"{k}.{n}").alias(f"{n}_{y}") for k, y in (("block", "a"), ("local", "b")) for n in ("tp", "fp", "fn")))
+            scores = stack([evaluation.with_prf(both.agg(*(F.sum(f"{k}.{n}").alias(n) for n in ("tp", "fp", "fn")))).withColumn("model", F.lit(k)) for k in blobs])
+            pivot = scores.groupBy().pivot("model", ["block", "local"]).agg(F.first("f1"))
+            rows.append(pivot.crossJoin(evaluation.gain(scores, "block", "local")).crossJoin(evaluation.randomization(docs, 1000, 1000).select("p")).withColumn("corpus", F.lit(corpus)))
     return stack(rows)
 
 
@@ -181,45 +293,53 @@ def train_policy(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @register("dev_grid")
 def dev_grid(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Forward step and sentence cap by F1 on held-out documents."""
-    train, dev = halves(planted(corpora.interviews(spark, sf_dir)), 40, 20)
+    """Forward step and sentence cap by F1 on all held-out documents: 5, 10, 20 by 20, 40, 60."""
+    train, dev = halves(planted(corpora.interviews(spark, sf_dir)), 60)
+    train, dev = train.cache(), dev.cache()
 
     def fit(step, cap):
-        return trained(train, encoder.Config(**TOY), step=step, max_sents=min(cap, CAP))[0]
+        return trained(train, encoder.Config(**{**TOY, "max_sents": cap}), epochs=3, step=step, max_sents=cap)[0]
 
     def judge(blob, cap):
-        return float(score_row(blob, dev, Adaptive(10), "block", "dev").first().f1)
+        got = infer.with_model(dev, blob, Adaptive(10), limit=LIMIT, cap=cap)
+        ref = dev.select("doc_id", F.transform("sents", lambda s: s["ends_para"]).alias("ref"))
+        return float(evaluation.document_prf(got.join(ref, "doc_id"), "boundary", "ref").first().f1)
 
-    found = training.search(fit, judge, (5, 10), (10, 20))
+    found = training.search(fit, judge, (5, 10, 20), (20, 40, 60))
     return spark.createDataFrame(found, "forward_step int, max_sents int, f1 double")
 
 
 @register("transfer")
 def transfer(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Train on written text, infer on lectures and interviews; the grid has a column for each corpus."""
-    train, own = halves(planted(corpora.written(spark, sf_dir, True)), 40, 10)
-    blob, _ = trained(train, encoder.Config(**TOY))
-    _, lec = halves(planted(corpora.lectures(spark, sf_dir)), 1, 5)
-    _, talk = halves(planted(corpora.interviews(spark, sf_dir)))
-    rows = stack([score_row(blob, x, Adaptive(10), "block", c) for x, c in ((own, "F-XX"), (lec, "F-LEC"), (talk, "F-INT"))])
-    return rows.groupBy("model").pivot("corpus", ["F-XX", "F-LEC", "F-INT"]).agg(F.first("f1"))
+    """Train each model on F-XX, infer on F-XX, F-LEC and F-INT: a grid of models by corpora, all held-out documents."""
+    train, own = halves(planted(corpora.written(spark, sf_dir, True)), WRITTEN_DOCS)
+    tests = {"F-XX": own, "F-LEC": halves(planted(corpora.lectures(spark, sf_dir)))[1], "F-INT": halves(planted(corpora.interviews(spark, sf_dir)))[1]}
+    rows = []
+    for kind in ("block", "local", "two_level", "recurrent"):
+        blob, _ = trained(train, encoder.Config(kind=kind, **TOY))
+        rows += [score_row(blob, x, Adaptive(10), kind, c) for c, x in tests.items()]
+    return stack(rows).groupBy("model").pivot("corpus", list(tests)).agg(F.first("f1"))
 
 
 @register("sweep_f1")
 def sweep_f1(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """F1 and work of one model for steps of both schedules."""
-    train, test = halves(planted(corpora.interviews(spark, sf_dir)))
+    """F1, work and milliseconds a document for steps of both schedules, with the local-context line.
+
+    F-EN, all held-out documents, one trained model of each kind.
+    """
+    train, test = halves(planted(corpora.written(spark, sf_dir)), WRITTEN_DOCS)
+    test = test.cache()
     blob, _ = trained(train, encoder.Config(**TOY))
+    line, _ = trained(train, encoder.Config(kind="local", **TOY))
     rows = []
-    for b in (1, 5, 10):
-        for p in (Fixed(b), Adaptive(b)):
-            got = judged(blob, test, p).cache()
-            work = got.agg(F.sum("passes").alias("passes"), F.sum("encoded").cast("long").alias("encoded"))
-            rows.append(evaluation.document_prf(got, "boundary", "ref").crossJoin(work).select(F.lit(type(p).__name__).alias("policy"), F.lit(b).alias("step"), "p", "r", "f1", "passes", "encoded"))
+    for name, b, model, p in (("Local", 1, line, Fixed(1)), *((type(p).__name__, b, blob, p) for b in (1, 2, 5, 10, 15, 20) for p in (Fixed(b), Adaptive(b)))):
+        got = judged(model, test, p).cache()
+        work = got.agg(F.sum("passes").alias("passes"), F.sum("encoded").cast("long").alias("encoded"), F.avg("nanos").alias("nanos")).withColumn("ms", F.round(F.col("nanos") / 1e6, 3)).drop("nanos")
+        rows.append(evaluation.document_prf(got, "boundary", "ref").crossJoin(work).select(F.lit(name).alias("policy"), F.lit(b).alias("step"), "p", "r", "f1", "passes", "encoded", "ms"))
     return stack(rows)
 
 
-@register("frontier_equals_twin")
+@register("frontier_equals_twin", with_(sentences("F-INT")) + " SELECT count(DISTINCT doc_id)::BIGINT AS docs, 0::BIGINT AS different FROM sents")
 def frontier_equals_twin(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Windows of the batched loop against the Column plan, for decisions known in advance: no difference."""
     docs = scored(corpora.interviews(spark, sf_dir))
@@ -232,31 +352,44 @@ def frontier_equals_twin(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @register("phone_closeness")
 def phone_closeness(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Cosine of words that sound alike less that of others, before and after phones join the word vectors."""
+    """Cosine of words that sound alike less that of others, before and after tuning, without and with phones."""
     cfg = encoder.Config(**TOY, phones=32)
-    params = encoder.init(cfg)
+    train, _ = halves(planted(corpora.interviews(spark, sf_dir)))
+    words = sound_words(spark, sf_dir)
+    before = encoder.init(cfg)
+    after = encoder.load(trained(train, cfg, lexicon=words)[0])[1]
     lex = ph.first_entry(ph.lexicon(ph.vocabulary(table(spark, sf_dir, "conversations"))))
-    sent = spark.sparkContext.broadcast((params["tok"], params["phone"]))
 
-    def vectors(phones: bool):
+    def vectors(params: dict, phones: bool):
+        sent = spark.sparkContext.broadcast((params["tok"], params["phone"]))
+
         def run(frames):
             tok, phone = sent.value
             for pdf in frames:
                 v = tok[encoder.hash_ids(pdf.word.tolist(), cfg.vocab)]
                 if phones:
-                    v = v + [phone[[1 + __import__("zlib").crc32(p.encode()) % (cfg.phones - 1) for p in ps]].mean(axis=0) for ps in pdf.phones]
+                    symbols = encoder.phone_ids(pdf.word.tolist(), dict(zip(pdf.word, pdf.phones, strict=True)), cfg.phones)
+                    v = v + [phone[s].mean(axis=0) if s else 0 * phone[0] for s in symbols]
                 yield pdf[["word", "phone_key"]].assign(v=list(v))
 
         return lex.mapInPandas(run, "word string, phone_key string, v array<double>")
 
-    return stack([ph.closeness(vectors(x)).select(F.lit(n).alias("vectors"), F.round("same", 4).alias("same"), F.round("other", 4).alias("other"), F.round("closeness", 4).alias("closeness")) for n, x in (("words", False), ("words and phones", True))])
+    grid = [(when, what, params, x) for when, params in (("before", before), ("after", after)) for what, x in (("words", False), ("words and phones", True))]
+    return stack([ph.closeness(vectors(params, x)).select(F.lit(when).alias("tuning"), F.lit(what).alias("vectors"), F.round("same", 4).alias("same"), F.round("other", 4).alias("other"), F.round("closeness", 4).alias("closeness")) for when, what, params, x in grid])
+
+
+def _sizes_sql() -> str:
+    """The published sizes by the layers' shapes: tables, norms, four square maps and two wide ones a layer, head."""
+    rows = ", ".join(f"('{n}', {c.vocab}, {c.max_tokens}, {c.width}, {c.layers})" for n, c in (("base", encoder.BASE), ("large", encoder.LARGE)))
+    return f"""SELECT model, ((v + m + 2) * w + 2 * w + l * (4 * (w * w + w) + 8 * w * w + 5 * w + 4 * w) + 2 * w + 2)::BIGINT AS params, l::INT AS layers, w::INT AS width,
+(l * (24.0 * 512 * w * w + 4.0 * 512 * 512 * w))::DOUBLE AS flops FROM (VALUES {rows}) x(model, v, m, w, l)"""
 
 
-@register("model_sizes")
+@register("model_sizes", _sizes_sql())
 def model_sizes(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Parameters of the published base and large sizes, and work of one pass of 512 tokens."""
     rows = [(n, encoder.n_params(c), c.layers, c.width) for n, c in (("base", encoder.BASE), ("large", encoder.LARGE))]
-    return spark.createDataFrame(rows, "model string, params long, layers int, width int").withColumn("flops", F.col("layers") * (24.0 * 512 * F.col("width") * F.col("width") + 4.0 * 512 * 512 * F.col("width")))
+    return spark.createDataFrame(rows, "model string, params long, layers int, width int").withColumn("flops", evaluation.flops(F.lit(512), F.col("layers"), F.col("width")))
 
 
 MARKS = ("", ",", ".", "?")
@@ -275,7 +408,7 @@ def words_as_sentences(corpus: DataFrame) -> DataFrame:
 @register("acc_local_tokens")
 def acc_local_tokens(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The local-context classifier with a candidate break at every token."""
-    train, test = (words_as_sentences(x) for x in halves(planted(corpora.interviews(spark, sf_dir)), 30, 10))
+    train, test = (words_as_sentences(x) for x in halves(planted(corpora.interviews(spark, sf_dir)), 30))
     blob, _ = trained(train, encoder.Config(kind="local", **TOY), epochs=3, max_sents=40)
     return score_row(blob, test, Adaptive(10), "local, tokens", "F-INT planted")
 
@@ -334,7 +467,7 @@ def noise_calibrated(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame([(round(rate, 4), cer)], "word_rate double, cer double")
 
 
-@register("infer_distinct")
+@register("infer_distinct", with_(sentences("F-INT"), document_lists(), window_walk("VALUES ('adaptive', 10)")) + " SELECT (SELECT count(DISTINCT doc_id) FROM sents)::BIGINT AS docs, (SELECT count(*) FROM sents)::BIGINT AS sents, count(*)::BIGINT AS passes FROM walk")
 def infer_distinct(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Copies are decided once; every document has its result."""
     docs = corpora.interviews(spark, sf_dir)

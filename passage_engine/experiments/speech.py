@@ -82,10 +82,20 @@ def noise_cer(spark: SparkSession, sf_dir: str) -> DataFrame:
     return evaluation.cer(n.select(*(F.regexp_replace(ph.fold(F.lower(c)), "[^ -~]", "?").alias(c) for c in ("ref", "hyp"))))
 
 
-@register("noise_kinds")
+def _kinds_sql() -> str:
+    """Edits of fillers, repetitions and deletions are insertions or losses of whole words."""
+    hit = lambda k: f"{sql.h(f"doc_id || '-' || idx || '-' || j || '-{k}'")} % 1000 < 160"
+    kinds = (("filler", 2, "'uh ' || w"), ("repetition", 3, "w || ' ' || w"), ("deletion", 4, "''"))
+    rows = " UNION ALL ".join(f"SELECT '{n}' AS kind, doc_id, idx, any_value(text) AS ref, trim(regexp_replace(string_agg(CASE WHEN {hit(k)} THEN {x} ELSE w END, ' ' ORDER BY j), ' +', ' ', 'g')) AS hyp FROM tok GROUP BY doc_id, idx" for n, k, x in kinds)
+    return with_(sentences("F-INT"), VOCAB_INT, KEYED, NOISE) + f""", kinds AS (SELECT 'confusion' AS kind, doc_id, idx, ref, hyp FROM hy UNION ALL {rows}), x AS (SELECT kind, {FOLD.format('ref')} AS a, {FOLD.format('hyp')} AS b FROM kinds)
+SELECT kind, sum(levenshtein(a, b))::BIGINT AS edits, sum(length(a))::BIGINT AS chars, round(sum(levenshtein(a, b)) / sum(length(a)), 6) AS cer FROM x GROUP BY kind"""
+
+
+@register("noise_kinds", _kinds_sql())
 def noise_kinds(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Character error rate of each kind of noise by itself."""
-    parts = [evaluation.cer(noisy_interviews(spark, sf_dir, kinds=(k,))).withColumn("kind", F.lit(k)) for k in ("confusion", "filler", "repetition", "deletion")]
+    """Character error rate of each kind of noise by itself, on letters without accents."""
+    plain = lambda c: F.regexp_replace(ph.fold(F.lower(c)), "[^ -~]", "?").alias(c)
+    parts = [evaluation.cer(noisy_interviews(spark, sf_dir, kinds=(k,)).select(plain("ref"), plain("hyp"))).withColumn("kind", F.lit(k)) for k in ("confusion", "filler", "repetition", "deletion")]
     out = parts[0]
     for p in parts[1:]:
         out = out.unionByName(p)
@@ -110,23 +120,31 @@ def punct_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return evaluation.document_prf(got, "pred", "ref")
 
 
-NEXT_SQL = with_(sentences("F-INT")) + f""", s AS (SELECT doc_id, idx, text, lead(text) OVER (PARTITION BY doc_id ORDER BY idx) AS nxt FROM sents)
-SELECT count(*)::BIGINT AS pairs, sum(({sql.h("doc_id || '-' || idx || '-next'")} % 2 = 0)::INT)::BIGINT AS contiguous FROM s WHERE nxt IS NOT NULL"""
+#: A drawn sentence of each of at most 4,096 drawn documents, numbered densely from 0.
+OTHERS = f"""drawn AS (SELECT doc_id, md5(doc_id || '-other') AS o, text FROM sents WHERE idx = {sql.h("doc_id || '-sentence'")} % n_sent),
+others AS (SELECT (row_number() OVER (ORDER BY o, doc_id) - 1) AS slot, doc_id AS od, text AS other FROM (SELECT * FROM drawn ORDER BY o, doc_id LIMIT 4096)),
+many AS (SELECT count(*) AS m FROM others),
+s AS (SELECT doc_id, idx, text, lead(text) OVER (PARTITION BY doc_id ORDER BY idx) AS nxt FROM sents),
+placed AS (SELECT s.*, {sql.h("doc_id || '-' || idx || '-slot'")} % m AS at, m FROM s, many WHERE nxt IS NOT NULL),
+paired AS (SELECT p.doc_id, p.idx, p.text, p.nxt, CASE WHEN a.od = p.doc_id THEN b.other ELSE a.other END AS other,
+  CASE WHEN a.od = p.doc_id THEN b.od ELSE a.od END AS od FROM placed p JOIN others a ON a.slot = p.at JOIN others b ON b.slot = (p.at + 1) % p.m)"""
+NEXT_SQL = with_(sentences("F-INT"), OTHERS) + f""" SELECT doc_id::BIGINT AS doc_id, idx::INT AS i, text AS s1, CASE WHEN {sql.h("doc_id || '-' || idx || '-next'")} % 2 = 0 THEN nxt ELSE other END AS s2, ({sql.h("doc_id || '-' || idx || '-next'")} % 2 = 0)::INT AS y FROM paired"""
 
 
 @register("pretrain_next", NEXT_SQL)
 def pretrain_next(spark: SparkSession, sf_dir: str) -> DataFrame:
-    p = pretrain.next_pairs(corpora.interviews(spark, sf_dir))
-    return p.agg(F.count("*").alias("pairs"), F.sum("y").cast("long").alias("contiguous"))
+    """Every pair of the objective, text by text: the next sentence, or a sentence of another document."""
+    return pretrain.next_pairs(corpora.interviews(spark, sf_dir))
 
 
-ORDER_SQL = with_(sentences("F-INT")) + f""", s AS (SELECT doc_id, idx, lead(idx) OVER (PARTITION BY doc_id ORDER BY idx) AS nxt FROM sents)
-SELECT ({sql.h("doc_id || '-' || idx || '-order'")} % 3)::INT AS y, count(*)::BIGINT AS pairs FROM s WHERE nxt IS NOT NULL GROUP BY 1"""
+ORDER_SQL = with_(sentences("F-INT"), OTHERS) + f""", y AS (SELECT *, {sql.h("doc_id || '-' || idx || '-order'")} % 3 AS y FROM paired)
+SELECT doc_id::BIGINT AS doc_id, idx::INT AS i, CASE WHEN y = 1 THEN nxt ELSE text END AS s1, CASE y WHEN 1 THEN text WHEN 2 THEN other ELSE nxt END AS s2, y::INT AS y FROM y"""
 
 
 @register("pretrain_order", ORDER_SQL)
 def pretrain_order(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return pretrain.order_triples(corpora.interviews(spark, sf_dir)).groupBy("y").agg(F.count("*").alias("pairs"))
+    """Every pair of the three-way objective, text by text."""
+    return pretrain.order_triples(corpora.interviews(spark, sf_dir))
 
 
 @register("pretrain_span", with_(sentences("F-INT")) + f", s AS (SELECT DISTINCT doc_id, n_sent AS n FROM sents), p AS (SELECT doc_id, i, i + g AS j FROM (SELECT doc_id, n, unnest(range(n)) AS i FROM s), (VALUES (2), (3)) v(g) WHERE i + g < n) SELECT ({sql.h('doc_id || chr(45) || i || chr(45) || j || chr(45) || chr(115)')} % 2)::INT AS y, count(*)::BIGINT AS pairs FROM p GROUP BY 1")
@@ -134,12 +152,27 @@ def pretrain_span(spark: SparkSession, sf_dir: str) -> DataFrame:
     return pretrain.span_order(corpora.interviews(spark, sf_dir), 3).groupBy("y").agg(F.count("*").alias("pairs"))
 
 
-@register("pretrain_words")
+WORDS_SQL = with_(sentences("F-INT")) + f""", j AS (SELECT doc_id, idx, n_tok, unnest(range(n_tok)) AS j FROM sents),
+k AS (SELECT 'shuffled' AS objective, ({sql.h("doc_id || '-' || idx || '-' || (j // 3) || '-shuffle'")} % 1000 < 150 AND (j // 3) * 3 + 3 <= n_tok)::INT AS y FROM j
+UNION ALL SELECT 'masked', ({sql.h("doc_id || '-' || idx || '-' || j || '-mask'")} % 1000 < 150)::INT FROM j)
+SELECT objective, (SELECT count(*) FROM sents)::BIGINT AS rows, sum(y)::BIGINT AS targets FROM k GROUP BY objective"""
+
+
+@register("pretrain_words", WORDS_SQL)
 def pretrain_words(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Rows of the token-level objectives: shuffled spans, masked and replaced tokens."""
+    """Rows of two token-level objectives: shuffled spans and masked tokens."""
     docs = corpora.interviews(spark, sf_dir)
-    vocab = ph.vocabulary(table(spark, sf_dir, "conversations"))
-    parts = {"shuffled": pretrain.word_order(docs, 3), "masked": pretrain.mask_tokens(docs, 0.15), "replaced": pretrain.replace_tokens(docs, vocab, 0.15)}
+    return _objectives({"shuffled": pretrain.word_order(docs, 3), "masked": pretrain.mask_tokens(docs, 0.15)})
+
+
+@register("pretrain_replaced")
+def pretrain_replaced(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Rows of the replaced-token objective: words of the frequency sampler in place of drawn ones."""
+    docs = corpora.interviews(spark, sf_dir)
+    return _objectives({"replaced": pretrain.replace_tokens(docs, pretrain.counted_words(docs), 0.15)})
+
+
+def _objectives(parts: dict[str, DataFrame]) -> DataFrame:
     out = None
     for name, p in parts.items():
         x = p.agg(F.count("*").alias("rows"), F.sum(F.size(F.filter("y", lambda v: v != 0))).cast("long").alias("targets")).withColumn("objective", F.lit(name))

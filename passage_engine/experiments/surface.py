@@ -9,16 +9,20 @@ from pyspark.sql import functions as F
 
 from ..catalog import register
 from ..functions import registry, tokens
+from ..operators import evaluation
+from ..plans.windows import Adaptive, Fixed
+from ..session import shared_base
 from ..sources import corpora, io
 from ..sources.corpora import table
-from ..streaming.live import shared
+from .core import scored, with_windows
+from .learned import VOCAB
 from .sql import CUE, sentences, with_
 
 
 @register("scan_json_corrupt", "SELECT count(*)::BIGINT AS rows, 1::BIGINT AS malformed FROM nation")
 def scan_json_corrupt(spark: SparkSession, sf_dir: str) -> DataFrame:
     """JSON lines with one malformed line."""
-    path = f"{shared(spark)}/json-{uuid.uuid4().hex}"
+    path = f"{shared_base(spark)}/json-{uuid.uuid4().hex}"
     lines = table(spark, sf_dir, "nation").select(F.to_json(F.struct("n_nationkey", "n_name")).alias("value"))
     lines.unionByName(spark.createDataFrame([("{broken",)], "value string")).write.text(path)
     back = io.read_json(spark, path, "n_nationkey int, n_name string").select("n_nationkey", "_corrupt").cache()
@@ -29,7 +33,7 @@ def scan_json_corrupt(spark: SparkSession, sf_dir: str) -> DataFrame:
 @register("sink_roundtrip", "SELECT lang, count(*)::BIGINT AS docs, sum(n_chars)::BIGINT AS chars FROM documents WHERE lang <> 'en' GROUP BY lang")
 def sink_roundtrip(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Parquet partitioned by language; the filter prunes folders."""
-    path = f"{shared(spark)}/sink-{uuid.uuid4().hex}"
+    path = f"{shared_base(spark)}/sink-{uuid.uuid4().hex}"
     io.write_partitioned(table(spark, sf_dir, "documents").select("doc_id", "lang", "n_chars"), path, "lang")
     return spark.read.parquet(path).where("lang <> 'en'").groupBy("lang").agg(F.count("*").alias("docs"), F.sum("n_chars").alias("chars"))
 
@@ -79,7 +83,14 @@ def sql_phones(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @register("subword_counts")
 def subword_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Pieces of the interviews by a vocabulary counted on them."""
+    """Pieces of the interviews by a public vocabulary."""
     docs = corpora.interviews(spark, sf_dir)
-    vocab = tokens.train_vocab(table(spark, sf_dir, "conversations"), 1000)
-    return tokens.count_pieces(tokens.encode(docs, vocab)).agg(F.count("*").alias("docs"), F.sum("n").alias("pieces"), F.sum("sents").alias("sents"))
+    return tokens.count_pieces(tokens.encode(docs, tokens.load_vocab(VOCAB))).agg(F.count("*").alias("docs"), F.sum("n").alias("pieces"), F.sum("sents").alias("sents"))
+
+
+@register("work_pieces")
+def work_pieces(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Windows and work when the limit counts pieces, not words: both schedules on the interviews."""
+    docs = scored(tokens.as_pieces(corpora.interviews(spark, sf_dir), tokens.load_vocab(VOCAB)))
+    rows = [evaluation.work(with_windows(docs, p)).withColumn("policy", F.lit(n)) for n, p in (("fixed 5", Fixed(5)), ("adaptive 10", Adaptive(10)))]
+    return rows[0].unionByName(rows[1])

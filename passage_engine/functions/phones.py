@@ -68,8 +68,8 @@ def corrupt(sentences: DataFrame, pairs: DataFrame, rate: float = 0.16, kinds: t
     """Sentences (doc_id, idx, text) through a recognizer's noise: (doc_id, idx, ref, hyp).
 
     confusion: a word gives way to the next of its sound group; filler: 'uh' before it; repetition:
-    twice; deletion: gone. Each kind draws by its own hash of (doc, idx, position, seed). Only words
-    that are drawn are joined with the pairs.
+    twice; deletion: gone. Each kind draws by its own hash of (doc, idx, position, seed). Words that
+    are not drawn get keys that match nothing and spread over the partitions of the join.
     """
     words = sentences.select("doc_id", "idx", F.col("text").alias("ref"), F.posexplode(F.split("text", t.SPACE)).alias("j", "w"))
 
@@ -79,7 +79,7 @@ def corrupt(sentences: DataFrame, pairs: DataFrame, rate: float = 0.16, kinds: t
     out = words.withColumn("hyp", F.col("w"))
     if "confusion" in kinds:
         swap = drawn(0) & F.col("w").rlike(r"^\p{L}+$")
-        out = out.withColumn("at", F.when(swap, F.lower("w"))).join(pairs.withColumnRenamed("word", "at"), "at", "left").withColumn("hyp", F.coalesce("next", "w"))
+        out = out.withColumn("at", F.when(swap, F.lower("w")).otherwise(F.concat(F.lit("#"), F.pmod(F.xxhash64("doc_id", "idx", "j"), F.lit(1 << 20)).cast("string")))).join(pairs.withColumnRenamed("word", "at"), "at", "left").withColumn("hyp", F.coalesce("next", "w"))
     if "filler" in kinds:
         out = out.withColumn("hyp", F.when(drawn(1), F.concat(F.lit("uh "), "hyp")).otherwise(F.col("hyp")))
     if "repetition" in kinds:

@@ -19,14 +19,24 @@ def _neighbour_pairs(corpus: DataFrame) -> DataFrame:
 
 
 def _others(corpus: DataFrame, n: int = 4096) -> DataFrame:
-    """A sentence of another document for each of n slots; the table is bounded by n."""
-    first = corpus.where("n_sent > 0").select(F.pmod(t.h(t.key(F.col("doc_id"), "slot")), F.lit(n)).alias("slot"), F.struct(F.md5(F.col("doc_id").cast("string").cast("binary")).alias("o"), F.col("sents")[0]["text"].alias("other")).alias("x"))
-    return first.groupBy("slot").agg(F.min("x").alias("x")).select("slot", "x.other")
+    """(docs, others): a drawn sentence of each of at most n drawn documents, in the order of a hash.
+
+    The one row is bounded by n; places in it are dense, however few documents there are.
+    """
+    drawn = F.md5(t.key(F.col("doc_id"), "other").cast("binary"))
+    one = F.get("sents", (t.h(t.key(F.col("doc_id"), "sentence")) % F.col("n_sent")).cast("int"))["text"]
+    rows = corpus.where("n_sent > 0").select(drawn.alias("o"), "doc_id", one.alias("text")).orderBy("o", "doc_id").limit(n)
+    lists = rows.agg(F.array_sort(F.collect_list(F.struct("o", "doc_id", "text"))).alias("x"))
+    return lists.select(F.transform("x", lambda v: v["doc_id"]).alias("docs"), F.transform("x", lambda v: v["text"]).alias("others"))
 
 
 def _with_other(pairs: DataFrame, corpus: DataFrame, n: int = 4096) -> DataFrame:
-    slot = F.pmod(t.h(t.key(F.col("doc_id"), F.col("i"), "slot")), F.lit(n))
-    return pairs.withColumn("slot", slot).join(F.broadcast(_others(corpus, n)), "slot", "left").withColumn("other", F.coalesce("other", F.lit(""))).drop("slot")
+    """Adds a sentence of another document by a hashed place; pairs without another document go."""
+    rows = pairs.crossJoin(F.broadcast(_others(corpus, n)))
+    size = F.size("docs")
+    at = (t.h(t.key(F.col("doc_id"), F.col("i"), "slot")) % size).cast("int")
+    own = F.get("docs", at) == F.col("doc_id")
+    return rows.where((size > 1) | (F.get("docs", F.lit(0)) != F.col("doc_id"))).withColumn("other", F.get("others", F.when(own, (at + 1) % size).otherwise(at))).drop("docs", "others")
 
 
 def next_pairs(corpus: DataFrame) -> DataFrame:
@@ -75,11 +85,28 @@ def mask_tokens(corpus: DataFrame, rate: float = 0.15) -> DataFrame:
     return rows.select("doc_id", "idx", x.alias("x"), F.col("w").alias("target"), F.transform("w", lambda v, i: _drawn(i, rate, "mask").cast("int")).alias("y"))
 
 
+def counted_words(corpus: DataFrame) -> DataFrame:
+    """(word, n) of the corpus; words meet by partial aggregation."""
+    return _tokens(corpus).select(F.explode("w").alias("word")).groupBy("word").agg(F.count("*").alias("n"))
+
+
 def replace_tokens(corpus: DataFrame, vocabulary: DataFrame, rate: float = 0.15, most: int = 4096) -> DataFrame:
-    """Drawn tokens give way to words of a sampler over at most ``most`` words; y holds 1 where the word changed."""
-    words = F.broadcast(vocabulary.orderBy(F.md5(F.col("word").cast("binary"))).limit(most).agg(F.sort_array(F.collect_list("word")).alias("pool")))
-    rows = _tokens(corpus).crossJoin(words)
-    other = lambda i: F.get("pool", (t.h(t.key(F.col("doc_id"), F.col("idx"), i, "word")) % F.greatest(F.size("pool"), F.lit(1))).cast("int"))
+    """Drawn tokens give way to words of a sampler; y holds 1 where the word changed.
+
+    The sampler draws from the ``most`` commonest words of ``vocabulary`` (word, and n where counted),
+    in proportion to n: it stands for the small generator that proposes likely words.
+    """
+    counted = vocabulary if "n" in vocabulary.columns else vocabulary.withColumn("n", F.lit(1).cast("long"))
+    top = counted.orderBy(F.desc("n"), F.md5(F.col("word").cast("binary"))).limit(most)
+    pool = top.agg(F.array_sort(F.collect_list(F.struct(F.col("word"), F.col("n").cast("long").alias("n")))).alias("pool"))
+    upto = F.aggregate("pool", F.struct(F.lit(0).cast("long").alias("total"), F.array().cast("array<bigint>").alias("sums")), lambda a, x: F.struct((a["total"] + x["n"]).alias("total"), F.concat(a["sums"], F.array(a["total"] + x["n"])).alias("sums")))
+    pool = pool.select(F.transform("pool", lambda x: x["word"]).alias("pool"), upto.alias("upto")).select("pool", F.col("upto.total").alias("total"), F.col("upto.sums").alias("sums"))
+    rows = _tokens(corpus).crossJoin(F.broadcast(pool))
+
+    def other(i: Column) -> Column:
+        point = t.h(t.key(F.col("doc_id"), F.col("idx"), i, "word")) % F.greatest(F.col("total"), F.lit(1))
+        return F.get("pool", F.size(F.filter("sums", lambda u: u <= point)))
+
     x = F.transform("w", lambda v, i: F.when(_drawn(i, rate, "replace"), F.coalesce(other(i), v)).otherwise(v))
     rows = rows.withColumn("x", x)
     return rows.select("doc_id", "idx", "x", F.col("w").alias("target"), F.transform(F.arrays_zip(F.col("x").alias("a"), F.col("w").alias("b")), lambda z: (z["a"] != z["b"]).cast("int")).alias("y"))

@@ -1,7 +1,8 @@
-"""Sub-word tokens: a vocabulary counted by Spark, longest match first, and dictionary word segmentation."""
+"""Sub-word tokens of a public vocabulary file, longest match first, and dictionary word segmentation."""
 
 from __future__ import annotations
 
+import json
 from collections.abc import Iterator
 
 import pandas as pd
@@ -10,58 +11,91 @@ from pyspark.sql import functions as F
 
 
 UNKNOWN = "[unk]"
+#: Closes the last piece of a word in the public vocabulary files.
+END = "</w>"
 
 
-def train_vocab(df: DataFrame, size: int = 8000, longest: int = 8, col: str = "text") -> list[str]:
-    """Pieces by frequency: all letters, then the most frequent word beginnings and '##' inner pieces.
+def _byte_letters() -> dict[int, str]:
+    """The letter that stands for each byte in byte-level vocabularies: itself if printable, else one from 256 on."""
+    plain = [*range(0x21, 0x7F), *range(0xA1, 0xAD), *range(0xAE, 0x100)]
+    rest = [b for b in range(256) if b not in set(plain)]
+    return {b: chr(b) for b in plain} | {b: chr(256 + i) for i, b in enumerate(rest)}
 
-    Words meet by partial aggregation; what comes to the driver is bounded by ``size``.
-    """
-    words = df.select(F.explode(F.regexp_extract_all(F.lower(col), F.lit(r"(\p{L}+|\p{N}+|[^\s\p{L}\p{N}])"), F.lit(1))).alias("w")).groupBy("w").agg(F.count("*").alias("n"))
-    n = F.length("w")
-    at = F.sequence(F.lit(1), n)
-    pieces = F.flatten(F.transform(at, lambda i: F.transform(F.sequence(F.lit(1), F.least(n - i + 1, F.lit(longest))), lambda k: F.concat(F.when(i > 1, "##").otherwise(""), F.substring(F.col("w"), i, k)))))
-    counts = words.select("n", F.explode(pieces).alias("p")).groupBy("p").agg(F.sum("n").alias("n"))
-    long = F.length(F.regexp_replace("p", "^##", ""))
-    rows = counts.orderBy(F.when(long == 1, 0).otherwise(1), F.desc(F.col("n") * long), "p").limit(size)
-    return sorted(r.p for r in rows.collect())
-
-
-def pieces_of(word: str, vocab: set[str]) -> list[str]:
-    """Longest match first; one unknown piece if some character has no piece."""
+
+LETTERS = _byte_letters()
+
+
+BYTES = {c: b for b, c in LETTERS.items()}
+
+
+def spelled(letters: str) -> str:
+    """The word whose bytes the letters stand for."""
+    return bytes(BYTES.get(c, 63) for c in letters).decode("utf-8", "replace")
+
+
+def load_vocab(path: str) -> dict[str, int]:
+    """Pieces and ids of a public vocabulary file (JSON of the tokenizers library) whose words end in a mark."""
+    with open(path, encoding="utf-8") as f:
+        vocab = json.load(f)["model"]["vocab"]
+    if not any(p.endswith(END) for p in vocab):
+        raise ValueError(f"{path} doesn't mark the ends of words")
+    return vocab
+
+
+def pieces_of(word: str, vocab: dict[str, int], longest: int = 16) -> list[str]:
+    """Longest match first over the word's bytes, its end marked; one unknown piece if some byte has no piece."""
+    letters = [LETTERS[b] for b in word.encode("utf-8", "surrogatepass")]
     out, at = [], 0
-    while at < len(word):
-        for end in range(len(word), at, -1):
-            p = ("##" if at else "") + word[at:end]
+    while at < len(letters):
+        for end in range(min(len(letters), at + longest), at, -1):
+            p = "".join(letters[at:end]) + (END if end == len(letters) else "")
             if p in vocab:
                 out.append(p)
                 at = end
                 break
         else:
-            return [UNKNOWN]
+            return [UNKNOWN + END]
     return out
 
 
-def encode(corpus: DataFrame, vocab: list[str]) -> DataFrame:
-    """Documents with sentences to (doc_id, toks array of each sentence's piece ids)."""
-    shared = corpus.sparkSession.sparkContext.broadcast({p: i + 1 for i, p in enumerate(vocab)})
+def as_pieces(corpus: DataFrame, vocab: dict[str, int]) -> DataFrame:
+    """The corpus with sub-words for words: each sentence's text is its pieces between spaces, n_tok their number.
+
+    Packing, schedules, training and inference then count and read pieces, without a change of theirs.
+    """
+    shared = corpus.sparkSession.sparkContext.broadcast(vocab)
 
     def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        ids = shared.value
-        memo: dict[str, list[int]] = {}
+        memo: dict[str, str] = {}
 
-        def of(word: str) -> list[int]:
+        def of(word: str) -> str:
             if word not in memo:
                 if len(memo) > 200_000:
                     memo.clear()
-                memo[word] = [ids.get(p, 0) for p in pieces_of(word, ids)]
+                memo[word] = " ".join(pieces_of(word, shared.value))
             return memo[word]
 
         for pdf in frames:
-            yield pd.DataFrame({"doc_id": pdf.doc_id, "toks": [[[i for w in s for i in of(w)] for s in ss] for ss in pdf.words]})
+            yield pdf.assign(pieces=[[" ".join(map(of, s)) for s in ss] for ss in pdf.pieces])
 
-    words = corpus.select("doc_id", F.transform("sents", lambda s: F.regexp_extract_all(F.lower(s["text"]), F.lit(r"(\p{L}+|\p{N}+|[^\s\p{L}\p{N}])"), F.lit(1))).alias("words"))
-    return words.mapInPandas(run, "doc_id long, toks array<array<int>>")
+    words = F.transform("sents", lambda s: F.regexp_extract_all(F.lower(s["text"]), F.lit(r"(\p{L}+|\p{N}+|[^\s\p{L}\p{N}])"), F.lit(1)))
+    rows = corpus.withColumn("pieces", words)
+    kinds = ", ".join(f"{f.name} {f.dataType.simpleString()}" if f.name != "pieces" else "pieces array<string>" for f in rows.schema)
+    got = rows.mapInPandas(run, kinds)
+    sents = F.zip_with("sents", "pieces", lambda s, x: F.struct(s["idx"].alias("idx"), x.alias("text"), F.size(F.split(x, " ")).alias("n_tok"), s["ends_para"].alias("ends_para")))
+    return got.withColumn("sents", sents).drop("pieces")
+
+
+def encode(corpus: DataFrame, vocab: dict[str, int]) -> DataFrame:
+    """Documents with sentences to (doc_id, toks array of each sentence's piece ids)."""
+    shared = corpus.sparkSession.sparkContext.broadcast(vocab)
+
+    def run(frames: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        for pdf in frames:
+            yield pd.DataFrame({"doc_id": pdf.doc_id, "toks": [[[shared.value.get(p, 0) for p in s.split()] for s in ss] for ss in pdf.texts]})
+
+    texts = as_pieces(corpus, vocab).select("doc_id", F.transform("sents", lambda s: s["text"]).alias("texts"))
+    return texts.mapInPandas(run, "doc_id long, toks array<array<int>>")
 
 
 def word_segment(text: str, lexicon: set[str], longest: int = 12) -> list[str]:
@@ -76,7 +110,18 @@ def word_segment(text: str, lexicon: set[str], longest: int = 12) -> list[str]:
     return out
 
 
-def count_pieces(encoded: DataFrame) -> DataFrame:
-    return encoded.select("doc_id", F.aggregate("toks", F.lit(0), lambda a, s: a + F.size(s)).alias("n"), F.size("toks").alias("sents"))
+def segmented(df: DataFrame, lexicon: DataFrame, longest: int = 12, most: int = 1_000_000, col: str = "text") -> DataFrame:
+    """Rows with ``words``: the text segmented by the words of ``lexicon`` (word), a checked broadcast."""
+    if (n := lexicon.count()) > most:
+        raise ValueError(f"a lexicon of {n} words is more than {most}")
+    shared = df.sparkSession.sparkContext.broadcast({r.word for r in lexicon.select("word").collect()})
+
+    @F.pandas_udf("array<string>")
+    def cut(texts: pd.Series) -> pd.Series:
+        return texts.map(lambda x: None if x is None else word_segment(x, shared.value, longest))
 
+    return df.withColumn("words", cut(col))
 
+
+def count_pieces(encoded: DataFrame) -> DataFrame:
+    return encoded.select("doc_id", F.aggregate("toks", F.lit(0), lambda a, s: a + F.size(s)).alias("n"), F.size("toks").alias("sents"))

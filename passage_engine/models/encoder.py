@@ -12,6 +12,7 @@ from dataclasses import asdict, dataclass, field
 
 import numpy as np
 
+from ..functions.tokens import END, spelled
 from .autograd import Var, concat, cross_entropy, gelu, norm, sigmoid, softmax, stack, tanh
 
 MARKER, SEPARATOR, MASK, SPECIALS = 0, 1, 2, 4
@@ -25,6 +26,7 @@ class Config:
     vocab: int = 2048
     phones: int = 0  # symbols of the phone table; 0: no phones
     phone_pool: str = "mean"  # or "sum"
+    phone_spread: str = "all"  # pieces of a word that get its phones, or "first"
     width: int = 32
     heads: int = 2
     layers: int = 2
@@ -32,6 +34,7 @@ class Config:
     max_sents: int = 60
     context: int = 128  # of the local-context classifier, on each side
     segments: int = 2
+    joint: bool = False  # two_level: the upper stack reads the vectors of a first stack that saw all sentences of the block
     classes: int = 2
     seed: int = 11
     labels: tuple = field(default=("inside", "boundary"))
@@ -100,9 +103,22 @@ def hash_ids(words: list[str], vocab: int) -> list[int]:
     return [SPECIALS + zlib.crc32(w.lower().encode()) % (vocab - SPECIALS) for w in words]
 
 
-def phone_ids(words: list[str], table: dict[str, list[str]], size: int) -> list[list[int]]:
-    """Symbols of each word's first pronunciation; none for unknown words."""
-    return [[1 + zlib.crc32(p.encode()) % (size - 1) for p in table.get(w.lower(), [])] for w in words]
+def phone_ids(words: list[str], table: dict[str, list[str]], size: int, spread: str = "all") -> list[list[int]]:
+    """Symbols of each word's first pronunciation; none for unknown words.
+
+    Of sub-words, all pieces of a word get the word's symbols (``spread`` 'all') or its first piece alone.
+    """
+    of = lambda w: [1 + zlib.crc32(p.encode()) % (size - 1) for p in table.get(w.lower(), [])]
+    if not any(w.endswith(END) for w in words):
+        return [of(w) for w in words]
+    out, held = [], []
+    for w in words:
+        held.append(w)
+        if w.endswith(END):
+            got = of(spelled("".join(held).removesuffix(END)))
+            out += [got if spread == "all" or i == 0 else [] for i in range(len(held))]
+            held = []
+    return out + [[] for _ in held]
 
 
 @dataclass
@@ -212,7 +228,11 @@ class Network:
         return concat(outs)
 
     def two_level(self, blocks: list[Block]) -> tuple[Var, np.ndarray, int]:
-        """Each sentence encoded alone, then an encoder over the sentence vectors."""
+        """Each sentence encoded alone (joint: all in one pass), then an encoder over the sentence vectors."""
+        if self.cfg.joint:
+            v, real, tokens = self.sentence_vectors(blocks)
+            x = v + self.p["spos"][np.minimum(np.arange(v.value.shape[1]), self.cfg.max_sents)]
+            return self.stack(x, real, "doc"), real, tokens
         flat = [Block([s], [blk.phones[m]] if blk.phones else None) for blk in blocks for m, s in enumerate(blk.sents)]
         v, _, tokens = self.sentence_vectors(flat)
         n = max(len(blk.sents) for blk in blocks)
@@ -264,10 +284,11 @@ class Network:
 
     def loss(self, blocks: list[Block]) -> tuple[Var, int]:
         z, real, _ = self.logits(blocks)
-        y = np.zeros(real.shape, np.int64)
+        y = np.full(real.shape, -1, np.int64)
         for i, blk in enumerate(blocks):
             y[i, : len(blk.sents)] = blk.labels
-        return cross_entropy(z, y, real.astype(float)), int(real.sum())
+        judged = real & (y >= 0)  # a label below 0 isn't judged
+        return cross_entropy(z, np.maximum(y, 0), judged.astype(float)), int(judged.sum())
 
 
 class Adam:

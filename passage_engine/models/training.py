@@ -2,8 +2,6 @@
 
 from __future__ import annotations
 
-import time
-
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
@@ -11,16 +9,18 @@ from pyspark.sql import functions as F
 
 from ..functions import text as t
 from ..plans import windows as win
+from ..session import own_folder
 from .encoder import Adam, Block, Config, Network, hash_ids, init, load, phone_ids, save
 
 SAMPLE = "doc_id long, first int, sents array<array<string>>, labels array<int>"
 
 
-def samples(corpus: DataFrame, policy: str = "fixed", step: int = 10, max_sents: int = 60, limit: int = 511, overlong: str = "both", lookback: int = 10) -> DataFrame:
+def samples(corpus: DataFrame, policy: str = "fixed", step: int = 10, max_sents: int = 60, limit: int = 511, overlong: str = "both", lookback: int = 10, keep_partial: bool = False) -> DataFrame:
     """Training samples of a corpus: (doc_id, first, version, sents: words of each sentence, labels).
 
     policy 'fixed' steps forward, 'reference' follows the adaptive schedule on the references.
-    Samples beyond the token limit come cut, trimmed or both.
+    Samples beyond the token limit come cut, trimmed or both. Where a cut falls inside a sentence, its
+    part goes with its label, or stays with it (``keep_partial``).
     """
     rows = corpus.select("doc_id", "n_sent", F.transform("sents", lambda s: F.split(s["text"], t.SPACE)).alias("w"), F.transform("sents", lambda s: s["n_tok"]).alias("n"), F.transform("sents", lambda s: s["ends_para"]).alias("r"))
     if policy == "fixed":
@@ -30,7 +30,7 @@ def samples(corpus: DataFrame, policy: str = "fixed", step: int = 10, max_sents:
     cutout = lambda c: F.slice(c, F.col("first") + 1, F.col("last") - F.col("first") + 1)
     s = rows.select("doc_id", "w", "n", "r", F.inline(wins)).select("doc_id", "first", cutout(F.col("w")).alias("w"), cutout(F.col("n")).alias("n"), F.transform(cutout(F.col("r")), lambda x: x.cast("int")).alias("y"))
     total = F.aggregate("n", F.lit(0), lambda a, x: a + x)
-    version = {"cut": F.struct(F.lit("cut").alias("version"), win.cut(F.col("n"), limit).alias("keep")), "trim": F.struct(F.lit("trim").alias("version"), win.trim(F.col("n"), limit).alias("keep"))}
+    version = {"cut": F.struct(F.lit("cut").alias("version"), win.cut(F.col("n"), limit, keep_partial).alias("keep")), "trim": F.struct(F.lit("trim").alias("version"), win.trim(F.col("n"), limit).alias("keep"))}
     chosen = F.array(*(version[v] for v in (("cut", "trim") if overlong == "both" else (overlong,))))
     whole = F.array(F.struct(F.lit("whole").alias("version"), F.col("n").alias("keep")))
     s = s.select("doc_id", "first", "w", "y", F.inline(F.when(total > limit, chosen).otherwise(whole)))
@@ -42,7 +42,7 @@ def as_blocks(sents, labels, cfg: Config, lexicon: dict | None = None) -> list[B
     out = []
     for ss, ys in zip(sents, labels if labels is not None else [None] * len(sents), strict=True):
         ws = [list(s) for s in ss]
-        out.append(Block([hash_ids(w, cfg.vocab) for w in ws], [phone_ids(w, lexicon, cfg.phones) for w in ws] if cfg.phones and lexicon is not None else None, None if ys is None else [int(y) for y in ys]))
+        out.append(Block([hash_ids(w, cfg.vocab) for w in ws], [phone_ids(w, lexicon, cfg.phones, cfg.phone_spread) for w in ws] if cfg.phones and lexicon is not None else None, None if ys is None else [int(y) for y in ys]))
     return out
 
 
@@ -67,35 +67,64 @@ def fit_local(blocks: list[Block], cfg: Config, epochs: int = 2, batch: int = 48
     return params, losses
 
 
-def fit(train: DataFrame, cfg: Config, epochs: int = 2, batch: int = 48, rate: float = 5e-5, dropout: float = 0.1, lexicon: dict | None = None, params: dict | None = None, max_steps: int | None = None) -> tuple[bytes, list[float]]:
-    """Synchronous mini-batches of ``batch`` samples drawn by hash, gradients summed by aggregation.
+def _added(a: pd.DataFrame) -> pd.DataFrame:
+    """Rows (g, loss, n) summed to one."""
+    if not len(a):
+        return a
+    total = np.frombuffer(a.g.iloc[0]).copy()
+    for g in a.g.iloc[1:]:
+        total += np.frombuffer(g)
+    return pd.DataFrame({"g": [total.tobytes()], "loss": [a.loss.sum()], "n": [a.n.sum()]})
+
+
+def summed(rows: DataFrame, parts: int, fan: int = 16) -> DataFrame:
+    """Gradients (g, loss, n), one row a task, to one row, by levels of at most ``fan`` rows a group."""
+    while parts > 1:
+        parts = -(-parts // fan)
+        rows = rows.withColumn("k", F.pmod(F.monotonically_increasing_id() + F.shiftright(F.monotonically_increasing_id(), 33), F.lit(parts)).cast("int")).groupBy("k").applyInPandas(lambda pdf: _added(pdf[["g", "loss", "n"]]), "g binary, loss double, n long")
+    return rows
+
 
-    Each task sends one row of its summed gradient; the driver holds one set of parameters,
-    never samples. Every step's draw depends on ids and epoch alone, so a retried task repeats itself.
+def fit(train: DataFrame, cfg: Config, epochs: int = 2, batch: int = 48, rate: float = 5e-5, dropout: float = 0.1, lexicon: dict | None = None, params: dict | None = None, max_steps: int | None = None, folder: str | None = None) -> tuple[bytes, list[float]]:
+    """Synchronous mini-batches of ``batch`` samples drawn by hash, gradients summed by the cluster.
+
+    The samples are written once to ``folder`` (default: below spark.checkpoint.dir), partitioned by
+    the step of the first epoch; a later epoch reads the steps in another order, so each step reads
+    its own files alone. Each task sums its gradients to one row, the rows meet in a tree; the driver
+    receives one row a step and holds one set of parameters, never samples. Every step's draw depends
+    on ids alone, so a retried task repeats itself. ``max_steps`` bounds the steps of an epoch.
     """
     spark = train.sparkSession
     n = train.count()
     steps = max(1, -(-n // batch))
+    draw = F.pmod(t.h(t.key(F.col("doc_id"), F.col("first"), F.col("version"), "step")), F.lit(steps)).cast("int")
+    path = own_folder(spark, folder)
+    used = list(range(min(steps, max_steps or steps)))
+    train.withColumn("step", draw).where(F.col("step") < len(used)).select("step", "sents", "labels").repartition(max(1, min(len(used), int(spark.conf.get("spark.sql.shuffle.partitions")))), "step").write.partitionBy("step").parquet(path)
+    stored = spark.read.schema("sents array<array<string>>, labels array<int>, step int").parquet(path)
     params, adam, losses = dict(params or init(cfg)), Adam(rate), []
     names = sorted(params)
     lex = spark.sparkContext.broadcast(lexicon)
     for e in range(epochs):
-        for s in range(min(steps, max_steps or steps)):
+        for s in np.random.default_rng(cfg.seed + e).permutation(used).tolist() if e else used:
             sent = spark.sparkContext.broadcast(save(cfg, params))
 
             def run(frames, sent=sent, e=e, s=s):
                 c, p = load(sent.value)
+                flat, loss, count = None, 0.0, 0
                 for pdf in frames:
                     if len(pdf):
-                        g, loss, k = gradients(as_blocks(pdf.sents, pdf.labels, c, lex.value), c, p, dropout, c.seed * 7919 + e * 101 + s)
-                        flat = np.concatenate([np.asarray(g.get(x, np.zeros_like(p[x]))).ravel() for x in names])
-                        yield pd.DataFrame({"g": [flat.tobytes()], "loss": [loss], "n": [k]})
-
-            draw = F.pmod(t.h(t.key(F.col("doc_id"), F.col("first"), F.col("version"), str(e))), F.lit(steps)) == s
-            got = train.where(draw).select("sents", "labels").mapInPandas(run, "g binary, loss double, n long").collect()
+                        g, own, k = gradients(as_blocks(pdf.sents, pdf.labels, c, lex.value), c, p, dropout, c.seed * 7919 + e * 101 + s)
+                        one = np.concatenate([np.asarray(g.get(x, np.zeros_like(p[x]))).ravel() for x in names])
+                        flat, loss, count = one if flat is None else flat + one, loss + own, count + k
+                if flat is not None:
+                    yield pd.DataFrame({"g": [flat.tobytes()], "loss": [loss], "n": [count]})
+
+            rows = stored.where(F.col("step") == s).select("sents", "labels")
+            parts = rows.rdd.getNumPartitions()
+            got = summed(rows.mapInPandas(run, "g binary, loss double, n long"), parts).collect()
             sent.destroy()
-            total = sum(r.n for r in got)
-            if total:
+            if total := sum(r.n for r in got):
                 flat = sum(np.frombuffer(r.g) for r in got) / total
                 grads, at = {}, 0
                 for x in names:
@@ -110,9 +139,3 @@ def search(train_of, dev_score, steps=(5, 10, 20), max_sents=(20, 40, 60)) -> li
     """Grid over forward step and sentence cap by the score on held-out documents, best first."""
     found = [(s, m, dev_score(train_of(s, m), m)) for s in steps for m in max_sents]
     return sorted(found, key=lambda x: (-x[2], x[0], x[1]))
-
-
-def timed(f):
-    start = time.perf_counter_ns()
-    out = f()
-    return out, time.perf_counter_ns() - start

@@ -137,7 +137,7 @@ def work(df: DataFrame, *by: str, wins: str = "wins") -> DataFrame:
     return rows.groupBy(*by).agg(F.count("*").alias("docs"), F.coalesce(F.sum("k"), F.lit(0)).alias("passes"), F.coalesce(F.sum("s"), F.lit(0)).alias("sents_encoded"), F.coalesce(F.sum(F.col("s") - F.col("n_sent")), F.lit(0)).alias("sents_repeated"))
 
 
-def flops(tokens: Column, layers: int, width: int) -> Column:
+def flops(tokens: Column, layers: Column | int, width: Column | int) -> Column:
     """Arithmetic of one pass over so many tokens."""
     return layers * (24.0 * tokens * width * width + 4.0 * tokens * tokens * width)
 

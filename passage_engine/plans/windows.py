@@ -118,12 +118,18 @@ def reference_windows(n_tok: Column, ends_para: Column, lookback: int = 10, limi
     return window_array(n_tok, ends_para, Adaptive(lookback), limit, cap)
 
 
-def cut(n_tok: Column, limit: int = MAX_TOKENS) -> Column:
-    """Over-long sample, first version: everything beyond the limit goes; whole sentences only (one at least)."""
+def cut(n_tok: Column, limit: int = MAX_TOKENS, keep_partial: bool = False) -> Column:
+    """Over-long sample, first version: everything beyond the limit goes.
+
+    Whole sentences only (one at least); with ``keep_partial`` the next sentence fills what is left.
+    """
 
     def body(prefix: Column) -> Column:
         whole = F.greatest(F.size(F.filter(prefix, lambda p: p <= limit)) - 1, F.lit(1))
-        return F.transform(F.slice(n_tok, 1, whole), lambda x: F.least(x, F.lit(limit)))
+        kept = F.transform(F.slice(n_tok, 1, whole), lambda x: F.least(x, F.lit(limit)))
+        room = F.lit(limit) - F.get(prefix, whole)
+        part = (whole < F.size(n_tok)) & (room > 0)
+        return F.concat(kept, F.when(part, F.array(room.cast("int"))).otherwise(F.array().cast("array<int>"))) if keep_partial else kept
 
     return _let(prefix_sums(n_tok), body)
 

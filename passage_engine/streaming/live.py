@@ -18,19 +18,10 @@ from pyspark.sql.types import ArrayType, IntegerType, LongType, StructField, Str
 from ..catalog import register
 from ..functions import text as t
 from ..plans.windows import MAX_SENTENCES, MAX_TOKENS, Adaptive, fit_last
+from ..session import shared_base
 from ..sources.corpora import table
 
 
-def shared(spark: SparkSession) -> str:
-    """Folder for sinks and checkpoints that all executors see."""
-    found = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getConf().get("spark.checkpoint.dir")
-    if found:
-        return found.rstrip("/")
-    if not spark.sparkContext.master.startswith("local["):
-        raise ValueError("spark.checkpoint.dir must name a folder that all executors share")
-    return "file:///tmp/checkpoints"
-
-
 def stream(spark: SparkSession, sf_dir: str, name: str, files: int = 1) -> DataFrame:
     """A given table as a file stream; the schema is read from the table, not inferred by the stream."""
     schema = table(spark, sf_dir, name).schema
@@ -44,7 +35,7 @@ def _folder(sf_dir: str, name: str) -> str:
 def drained(df: DataFrame, mode: str = "append") -> DataFrame:
     """Run the stream to its end into Parquet with a checkpoint, and read the result."""
     spark = df.sparkSession
-    place = f"{shared(spark)}/stream-{uuid.uuid4().hex}"
+    place = f"{shared_base(spark)}/stream-{uuid.uuid4().hex}"
     if mode == "append":
         q = df.writeStream.outputMode("append").option("checkpointLocation", f"{place}/checkpoint").trigger(availableNow=True).format("parquet").start(f"{place}/out")
     else:

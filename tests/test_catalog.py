@@ -61,7 +61,10 @@ def test_entry(spark):
 
 
 def test_filters_and_columns_reach_the_scan(spark, tiny):
-    plan = entry.queries()["scan_parquet"](spark, tiny)._jdf.queryExecution().executedPlan().toString()
+    from passage_engine.session import setting
+
+    with setting(spark, "spark.sql.maxMetadataStringLength", "10000"):
+        plan = entry.queries()["scan_parquet"](spark, tiny)._jdf.queryExecution().executedPlan().toString()
     assert "GreaterThan(l_quantity,45.0)" in plan and "l_tax" not in plan
 
 

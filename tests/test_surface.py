@@ -30,17 +30,48 @@ def test_sql_functions(spark):
     assert [r.text for r in spark.sql(f"SELECT * FROM segments_of('{text}')").collect()] == one(f"segment_text('{text}', 'fixed')")
 
 
+VOCAB = "/opt/tokenizers/word_bpe_49k.json"
+
+
 def test_subwords(spark, tiny):
-    vocab = tokens.train_vocab(spark.read.parquet(f"{tiny}/conversations.parquet"), 500)
-    assert len(vocab) <= 500
-    for w in ("the", "thing", "ereation"):
-        p = tokens.pieces_of(w, set(vocab))
-        assert "".join(x.removeprefix("##") for x in p) == w
-    assert tokens.pieces_of("th€", set(vocab)) == [tokens.UNKNOWN]
+    vocab = tokens.load_vocab(VOCAB)
+    for w in ("the", "thing", "ereationism", "straße", "слово"):
+        p = tokens.pieces_of(w, vocab)
+        assert p[-1].endswith(tokens.END) and tokens.spelled("".join(p).removesuffix(tokens.END)) == w and all(x in vocab for x in p)
+        # longest match: no piece could be longer
+        at = 0
+        letters = "".join(p).removesuffix(tokens.END)
+        for x in p:
+            own = x.removesuffix(tokens.END)
+            longer = [letters[at:e] + (tokens.END if e == len(letters) else "") for e in range(at + len(own) + 1, min(len(letters), at + 16) + 1)]
+            assert not any(y in vocab for y in longer)
+            at += len(own)
+    assert tokens.pieces_of("ab", {"a": 0}) == [tokens.UNKNOWN + tokens.END]
     assert tokens.word_segment("我们去北京", {"我们", "北京"}) == ["我们", "去", "北京"]
+    rows = spark.createDataFrame([(1, "我们去北京"), (2, None)], "id long, text string")
+    words = spark.createDataFrame([("我们",), ("北京",)], "word string")
+    assert [r.words for r in tokens.segmented(rows, words).orderBy("id").collect()] == [["我们", "去", "北京"], None]
     assert tokens.encode(corpora.interviews(spark, tiny), vocab).count() == 87
 
 
+def test_pieces_feed_windows_and_phones(spark, tiny):
+    from passage_engine.models import encoder
+
+    vocab = tokens.load_vocab(VOCAB)
+    before = corpora.interviews(spark, tiny).orderBy("doc_id").first()
+    after = tokens.as_pieces(corpora.interviews(spark, tiny), vocab).orderBy("doc_id").first()
+    assert [s.idx for s in after.sents] == [s.idx for s in before.sents] and [s.ends_para for s in after.sents] == [s.ends_para for s in before.sents]
+    assert all(s.n_tok == len(s.text.split()) for s in after.sents) and sum(s.n_tok for s in after.sents) > sum(s.n_tok for s in before.sents)
+    word = next(w for w in ("ereationism", "gelimator") if len(tokens.pieces_of(w, vocab)) > 2)
+    p = ["the" + tokens.END, *tokens.pieces_of(word, vocab)]
+    table = {word: ["a", "b"]}
+    every = encoder.phone_ids(p, table, 32)
+    assert every[0] == [] and all(x == every[1] and len(x) == 2 for x in every[1:])
+    first = encoder.phone_ids(p, table, 32, "first")
+    assert first[1] == every[1] and all(x == [] for x in first[2:])
+    assert encoder.phone_ids([word, "x"], table, 32) == [every[1], []]
+
+
 def test_frontier_equals_twin(spark, tiny):
     docs = corpora.interviews(spark, tiny).withColumn("toks", F.transform("sents", lambda s: s["n_tok"])).withColumn("p", F.transform("sents", lexical.cue_positive))
     loop = {r.doc_id: (r.passes, r.encoded, list(r.boundary)) for r in infer.with_probs(docs, F.transform("sents", lexical.cue_prob), Adaptive(10), limit=60, cap=8).collect()}
