@@ -36,12 +36,15 @@ def _codes(texts: list[str]) -> tuple[np.ndarray, np.ndarray]:
     return np.frombuffer(joined.encode("utf-32-le", "surrogatepass"), np.uint32), np.cumsum([len(t) + 1 for t in low])
 
 
-def _buckets(codes: np.ndarray, n: int, size: int) -> np.ndarray:
-    """Bucket of the n-gram that begins at each code point; ends of the block wrap to line ends."""
-    c = np.concatenate([codes, np.full(n - 1, 10, np.uint32)])
+def _buckets(codes: np.ndarray, ends: np.ndarray, n: int, size: int) -> np.ndarray:
+    """Bucket of the n-gram that begins at each code point; beyond its text's end it reads line ends."""
     h = np.full(len(codes), n, np.uint32) * np.uint32(0x165667B1)
     for j in range(n):
-        h = (h ^ c[j : j + len(codes)]) * STEPS[j]
+        c = np.concatenate([codes[j:], np.full(min(j, len(codes)), 10, np.uint32)])
+        for t in range(1, j + 1):
+            at = ends - t
+            c[at[at >= 0]] = 10
+        h = (h ^ c) * STEPS[j]
         h ^= h >> np.uint32(15)
     return (h % np.uint32(size)).astype(np.int32)
 
@@ -57,11 +60,13 @@ def in_sample(label: str, shares: dict, key: str) -> Column:
 def fit(labelled: DataFrame, per_lang: int = 2000, buckets: int = 1 << 15, orders: tuple[int, ...] = (1, 2, 3), most_langs: int = 256) -> LanguageModel:
     """Rows (doc_id, text, lang) to a model; about ``per_lang`` rows of each language are read.
 
-    The languages are the most_langs most frequent non-null labels. No rows: a model that knows
-    no language and predicts ``und``.
+    The languages are all non-null labels; more than ``most_langs`` of them raise. No rows: a model
+    that knows no language and predicts ``und``.
     """
     rows = labelled.where("lang is not null and doc_id is not null").select("doc_id", "text", "lang")
-    sizes = {r.lang: r["count"] for r in rows.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(most_langs).collect()}
+    sizes = {r.lang: r["count"] for r in rows.groupBy("lang").count().limit(most_langs + 1).collect()}
+    if len(sizes) > most_langs:
+        raise ValueError(f"more than {most_langs} languages")
     langs = sorted(sizes)
     at = {x: i for i, x in enumerate(langs)}
 
@@ -73,7 +78,7 @@ def fit(labelled: DataFrame, per_lang: int = 2000, buckets: int = 1 << 15, order
                 codes, ends = _codes(texts[i:j])
                 row = np.repeat(own[i:j], np.diff(ends, prepend=0)) * buckets
                 for n in orders:
-                    total += np.bincount(row + _buckets(codes, n, buckets), minlength=total.size).reshape(total.shape)
+                    total += np.bincount(row + _buckets(codes, ends, n, buckets), minlength=total.size).reshape(total.shape)
         who, what = np.nonzero(total)
         yield pa.record_batch([pa.array(who.astype(np.int32)), pa.array(what.astype(np.int32)), pa.array(total[who, what])], names=["lang", "bucket", "times"])
 
@@ -97,7 +102,7 @@ def score_texts(texts: list[str], model: LanguageModel) -> tuple[list[str], np.n
         starts = np.concatenate([[0], ends[:-1]])
         total = np.zeros((j - i, len(model.langs)))
         for n in model.orders:
-            rows = model.logp[_buckets(codes, n, len(model.logp))]
+            rows = model.logp[_buckets(codes, ends, n, len(model.logp))]
             if model.langs:
                 total += np.add.reduceat(rows, starts, axis=0, dtype=np.float64)
         total += model.prior
