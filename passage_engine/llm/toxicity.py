@@ -44,23 +44,30 @@ class Inverted:
     entry: np.ndarray
     weight: np.ndarray
 
-    def bounds(self, at: np.ndarray, w: np.ndarray) -> np.ndarray:
+    def cells(self, at: np.ndarray, w: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """The cells of the terms' lists, each with its term's weight in the query."""
+        n = self.first[at + 1] - self.first[at]
+        return _ranges(self.first[at], n), np.repeat(w, n)
+
+    def bounds(self, cells: np.ndarray, w: np.ndarray) -> np.ndarray:
         """An upper bound of the cosine with the entries of each block."""
-        out = np.zeros(self.blocks)
-        for t, x in zip(at.tolist(), w.tolist(), strict=True):
-            cells = slice(self.first[t], self.first[t + 1])
-            out[self.block[cells]] += x * self.largest[cells]
-        return out
-
-    def cosines(self, b: int, size: int, at: np.ndarray, w: np.ndarray) -> np.ndarray:
-        """The cosines with the ``size`` entries of block b."""
-        out = np.zeros(size)
-        for t, x in zip(at.tolist(), w.tolist(), strict=True):
-            c = self.first[t] + int(np.searchsorted(self.block[self.first[t] : self.first[t + 1]], b))
-            if c < self.first[t + 1] and self.block[c] == b:
-                own = slice(self.start[c], self.start[c + 1])
-                out[self.entry[own] - b * size] += x * self.weight[own]
-        return out
+        return np.bincount(self.block[cells], weights=w * self.largest[cells], minlength=self.blocks)
+
+    def cosines(self, chosen: np.ndarray, size: int, cells: np.ndarray, w: np.ndarray) -> np.ndarray:
+        """The cosines with the entries of the chosen blocks: a row of ``size`` for each."""
+        place = np.full(self.blocks, -1)
+        place[chosen] = np.arange(len(chosen))
+        row = place[self.block[cells]]
+        cells, w, row = cells[row >= 0], w[row >= 0], row[row >= 0]
+        n = self.start[cells + 1] - self.start[cells]
+        at = _ranges(self.start[cells], n)
+        flat = np.repeat(row, n) * size + self.entry[at] % size
+        return np.bincount(flat, weights=np.repeat(w, n) * self.weight[at], minlength=len(chosen) * size).reshape(len(chosen), size)
+
+
+def _ranges(starts: np.ndarray, sizes: np.ndarray) -> np.ndarray:
+    """The numbers of all ranges, one after another."""
+    return np.repeat(starts - np.cumsum(sizes) + sizes, sizes) + np.arange(int(sizes.sum()))
 
 
 def inverted(vectors: list[tuple[np.ndarray, np.ndarray]], terms: int, block: int) -> Inverted:
@@ -102,49 +109,56 @@ def vector(text: str, terms: dict[str, int], idf: np.ndarray) -> tuple[np.ndarra
     return at, w / np.sqrt((w * w).sum())
 
 
-def neighbours(query: tuple[np.ndarray, np.ndarray], model: ToxicityModel, without: tuple[int, int] | None = None) -> list[tuple[float, int, float]]:
-    """The nearest entries (cosine, entry, copies) that hold at least k texts, best first, all ties of the last cosine kept.
+def nearest(query: tuple[np.ndarray, np.ndarray], model: ToxicityModel, without: tuple[int, int] | None = None) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """The nearest entries that hold at least k texts, best first, all ties of the last cosine kept: cosines, entries, copies.
 
-    ``without`` (entry, label) leaves one text out.
+    Blocks are scored a few at a time, in the order of their bounds. ``without`` (entry, label)
+    leaves one text out.
     """
-    at, w = query
-    limit = model.index.bounds(at, w)
-    found: list[tuple[float, int, float]] = []
-    worst, have = -1.0, 0.0
-    for b in np.argsort(-limit, kind="stable"):
-        if limit[b] <= 0 or (have >= model.k and limit[b] < worst - 1e-12):
-            break
-        cos = model.index.cosines(int(b), model.block, at, w)
-        for i in np.flatnonzero(cos > max(0.0, worst - 1e-12 if have >= model.k else 0.0)):
-            e = int(b) * model.block + int(i)
-            n = float(model.sizes[e].sum()) - (without is not None and without[0] == e)
-            if n > 0:
-                found.append((float(cos[i]), e, n))
-        found.sort(key=lambda x: (-x[0], x[1]))
-        have, worst = 0.0, -1.0
-        for c, _, n in found:
-            have += n
-            if have >= model.k:
-                worst = c
-                break
-        if have >= model.k:
-            found = [x for x in found if x[0] >= worst - 1e-12]
-    return found
+    cells, w = model.index.cells(*query)
+    limit = model.index.bounds(cells, w)
+    order = np.argsort(-limit, kind="stable")
+    order = order[limit[order] > 0]
+    cos, entry, copies = np.zeros(0), np.zeros(0, np.int64), np.zeros(0)
+    worst, done, step = 0.0, 0, 8
+    while done < len(order) and limit[order[done]] >= worst - 1e-12:
+        blocks = order[done : done + step]
+        new = model.index.cosines(blocks, model.block, cells, w)
+        i, j = np.nonzero(new > max(0.0, worst - 1e-12))
+        e = blocks[i] * model.block + j
+        n = model.sizes[e].sum(axis=1)
+        if without is not None:
+            n = n - (e == without[0])
+        keep = n > 0
+        cos, entry, copies = np.concatenate([cos, new[i, j][keep]]), np.concatenate([entry, e[keep]]), np.concatenate([copies, n[keep]])
+        by = np.lexsort((entry, -cos))
+        cos, entry, copies = cos[by], entry[by], copies[by]
+        at = int(np.searchsorted(np.cumsum(copies), model.k))
+        if at < len(cos):
+            worst = float(cos[at])
+            near = cos >= worst - 1e-12
+            cos, entry, copies = cos[near], entry[near], copies[near]
+        done, step = done + step, 2 * step
+    return cos, entry, copies
+
+
+def neighbours(query: tuple[np.ndarray, np.ndarray], model: ToxicityModel, without: tuple[int, int] | None = None) -> list[tuple[float, int, float]]:
+    """(cosine, entry, copies) of the nearest entries, best first; see ``nearest``."""
+    return list(zip(*(x.tolist() for x in nearest(query, model, without)), strict=True))
 
 
 def vote(query, model: ToxicityModel, without: tuple[int, int] | None = None) -> tuple[float, list]:
-    """Share of toxic votes, weighted by nearness and held to the prior by one vote."""
+    """Share of toxic votes, weighted by nearness and held to the prior by one vote; the three nearest (cosine, entry)."""
     if query is None:
         clean, toxic = model.empty
         if without is not None:
             clean, toxic = clean - (without[1] == 0), toxic - (without[1] == 1)
         return (toxic + model.prior) / (clean + toxic + 1), []
-    near = neighbours(query, model, without)
-    total, toxic = 0.0, 0.0
-    for c, e, n in near:
-        total += c * n
-        toxic += c * (model.sizes[e, 1] - (without is not None and without == (e, 1)))
-    return (toxic + model.prior) / (total + 1), near
+    cos, entry, copies = nearest(query, model, without)
+    own = model.sizes[entry, 1]
+    if without is not None and without[1] == 1:
+        own = own - (entry == without[0])
+    return float(((cos * own).sum() + model.prior) / ((cos * copies).sum() + 1)), list(zip(cos[:3].tolist(), entry[:3].tolist(), strict=True))
 
 
 def fit(docs: DataFrame, labels: DataFrame, mod: int = 3, rest: int = 1, most: int = 20_000, least_texts: int = 3, block: int = 64, k: int = 25) -> ToxicityModel:
@@ -244,7 +258,7 @@ def score_text(text: str, model: ToxicityModel, memo: dict | None = None) -> tup
         return memo[key]
     p, near = vote(v, model)
     x = np.log((p + 1e-3) / (1 - p + 1e-3))
-    got = float(1 / (1 + np.exp(-(model.line[0] * x + model.line[1])))), [(round(c, 6), float(model.sizes[e, 1] / model.sizes[e].sum())) for c, e, _ in near[:3]]
+    got = float(1 / (1 + np.exp(-(model.line[0] * x + model.line[1])))), [(round(c, 6), float(model.sizes[e, 1] / model.sizes[e].sum())) for c, e in near]
     if memo is not None:
         if len(memo) > 50_000:
             memo.clear()
