@@ -4,13 +4,16 @@ from __future__ import annotations
 
 import re
 
+#: Unicode's space separators; as BLANKS of the Column forms.
+BLANKS = " \u00a0\u1680\u2000\u2001\u2002\u2003\u2004\u2005\u2006\u2007\u2008\u2009\u200a\u202f\u205f\u3000"
+
 
 def paragraphs(text: str) -> list[str]:
-    return [p for x in text.split("\n") if (p := x.strip(" "))]
+    return [p for x in text.split("\n") if (p := x.strip(BLANKS))]
 
 
 def sentences(text: str) -> list[str]:
-    return [s for x in re.sub(r"([.!?]+)[ \t\r\f\n]+", "\\1\x01", text).split("\x01") if (s := x.strip(" "))]
+    return [s for x in re.sub(r"([.!?]+)[ \t\r\f\n]+", "\\1\x01", text).split("\x01") if (s := x.strip(BLANKS))]
 
 
 def all_sentences(text: str) -> list[str]:
