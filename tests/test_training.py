@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from passage_engine.experiments import learned
 from passage_engine.functions import pretrain
+from passage_engine.functions import text as t
 from passage_engine.models import encoder, training
 from passage_engine.plans import windows as win
 from passage_engine.sources import corpora
@@ -75,3 +76,23 @@ def test_pretraining_lowers_its_loss(spark, tiny):
         params, losses = learned.warmed(name, docs, CFG, 4, 300)
         assert params["head.w"].shape == (16, 2)
         assert losses[-1] < losses[-4], name
+
+
+def test_replacements_are_looked_up_by_bisection(spark):
+    """Every drawn token gets the word that plain Python draws, and no list of the vocabulary is scanned for it."""
+    import hashlib
+    from bisect import bisect_right
+    from itertools import accumulate
+
+    docs = spark.createDataFrame([(7, " ".join(f"w{i % 9}" for i in range(60)) + ". w1 w2 w3 w4")], "doc_id long, text string")
+    docs = t.with_sentences(docs)
+    for most in (1, 4, 4096):
+        rows = pretrain.replace_tokens(docs, pretrain.counted_words(docs), 0.5, most)
+        assert "filter(sums" not in rows._jdf.queryExecution().analyzed().toString()
+        h = lambda *x: int(hashlib.md5("-".join(map(str, x)).encode()).hexdigest()[:8], 16)
+        counted = sorted(pretrain.counted_words(docs).collect(), key=lambda r: (-r.n, hashlib.md5(r.word.encode()).hexdigest()))[:most]
+        pool = sorted((r.word, r.n) for r in counted)
+        sums = list(accumulate(n for _, n in pool))
+        for r in rows.collect():
+            want = [pool[bisect_right(sums, h(r.doc_id, r.idx, i, "word") % sums[-1])][0] if h(r.doc_id, r.idx, i, "replace") % 1000 < 500 else w for i, w in enumerate(r.target)]
+            assert r.x == want and r.y == [int(a != b) for a, b in zip(want, r.target, strict=True)]
