@@ -8,6 +8,7 @@ import pytest
 import __spark_entry__ as entry
 
 READS = {
+    "source_transcript": "conversations",
     "model_sizes": "conversations",
     "cte_recursive": "orders",
 }
