@@ -8,6 +8,7 @@ import pytest
 import __spark_entry__ as entry
 
 READS = {
+    "sql_phones": "conversations",
     "source_transcript": "conversations",
     "model_sizes": "conversations",
     "cte_recursive": "orders",
