@@ -8,6 +8,7 @@ import pytest
 import __spark_entry__ as entry
 
 READS = {
+    "threshold_edge": "events",
     "sql_phones": "conversations",
     "source_transcript": "conversations",
     "model_sizes": "conversations",
