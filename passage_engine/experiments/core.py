@@ -76,7 +76,8 @@ def sweep_adaptive_work(spark: SparkSession, sf_dir: str) -> DataFrame:
 def windows_adaptive(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Every window of the adaptive schedule, one row each."""
     docs = scored(corpora.written(spark, sf_dir).unionByName(corpora.written(spark, sf_dir, True)))
-    rows = with_windows(docs, Adaptive(10)).select("corpus", "doc_id", F.posexplode("wins").alias("k", "w"))
+    # the fold stands in the generator: of a column, Spark would infer a filter and fold every document again in it
+    rows = docs.select("corpus", "doc_id", F.posexplode(win.window_array(F.col("toks"), F.col("positive"), Adaptive(10))).alias("k", "w"))
     return rows.select("corpus", "doc_id", (F.col("k") + 1).alias("win_no"), "w.first", "w.last")
 
 

@@ -75,3 +75,21 @@ def test_forward_windows_count(spark):
     for r in df.select("n", win.forward_windows(F.col("n"), 10, 60).alias("w")).collect():
         assert len(r.w) == -(-r.n // 10)
         assert all(x.last - x.first < 60 and x.last < r.n for x in r.w)
+
+
+@pytest.mark.parametrize("null", [False, True])
+def test_adaptive_windows_split_each_text_once(spark, tmp_path, null):
+    """One split of a text in each corpus's plan, in no filter beside the fold; texts without a sentence have no window."""
+    from passage_engine.experiments.core import windows_adaptive
+
+    text = "One two. Three four!\nFive. " * 40
+    rows = [(1, text, "en"), (2, text, "de"), (3, None if null else " \n", "en")]
+    spark.createDataFrame(rows, "doc_id long, text string, lang string").write.parquet(f"{tmp_path}/documents.parquet")
+    got = windows_adaptive(spark, str(tmp_path))
+    assert got._jdf.queryExecution().optimizedPlan().toString().count("regexp_replace(") == 2
+    sents = [s for _ in range(40) for s in ("One two.", "Three four!", "Five.")]
+    want = trace([len(s.split()) for s in sents], lambda i: (len(sents[i]) + i) % 7 == 0, Adaptive(10))
+    for doc, corpus in ((1, "F-EN"), (2, "F-XX")):
+        mine = got.where(f"doc_id = {doc}").orderBy("win_no").collect()
+        assert [(r.win_no, r.first, r.last) for r in mine] == [(k, *w) for k, w in enumerate(want, 1)] and {r.corpus for r in mine} == {corpus}
+    assert got.where("doc_id = 3").count() == 0
