@@ -96,3 +96,44 @@ def test_replacements_are_looked_up_by_bisection(spark):
         for r in rows.collect():
             want = [pool[bisect_right(sums, h(r.doc_id, r.idx, i, "word") % sums[-1])][0] if h(r.doc_id, r.idx, i, "replace") % 1000 < 500 else w for i, w in enumerate(r.target)]
             assert r.x == want and r.y == [int(a != b) for a, b in zip(want, r.target, strict=True)]
+
+
+def test_all_samples_train_all_models(spark, tiny):
+    """Models fitted together, in slices and tasks, equal each one's steps on all samples at once; no step is left out."""
+    train = corpora.interviews(spark, tiny).where("n_sent > 1").repartition(9)
+    s = training.samples(train, max_sents=20, limit=127).cache()
+    rows = s.collect()
+    cfgs = [CFG, encoder.Config(**{**learned.TOY, "kind": "recurrent"})]
+    got = training.fit_all(s, cfgs, epochs=2, steps=1, rate=1e-2, dropout=0.0)
+    for cfg, (blob, losses) in zip(cfgs, got, strict=True):
+        blocks = training.as_blocks([r.sents for r in rows], [r.labels for r in rows], cfg)
+        params, adam = encoder.init(cfg), encoder.Adam(1e-2)
+        for _ in range(2):
+            g, loss, n = training.gradients(blocks, cfg, params, 0.0, 0)
+            adam.step(params, {k: v / n for k, v in g.items()})
+        mine = encoder.load(blob)[1]
+        assert len(losses) == 2 and abs(losses[1] - loss / n) < 1e-5
+        assert all(np.allclose(mine[k], params[k], atol=1e-5) for k in params)
+    assert [len(losses) for _, losses in training.fit_all(s, cfgs, epochs=1, steps=3, batch=4)] == [3, 3]
+    assert [losses for _, losses in training.fit_all(s.where("false"), cfgs)] == [[], []]
+
+
+def test_transfer_trains_on_the_whole_part(spark, tiny, monkeypatch):
+    """Samples of every document of the training part reach the models, of no other."""
+
+    class Seen(Exception):
+        pass
+
+    def fit_all(samples, cfgs, *_, **__):
+        raise Seen({r.doc_id for r in samples.select("doc_id").distinct().collect()}, [c.kind for c in cfgs])
+
+    monkeypatch.setattr(training, "fit_all", fit_all)
+    part = corpora.written(spark, tiny, True).where("n_sent > 1").where(t.h(t.key(F.col("doc_id"), "half")) % 10 < 8)
+    want = {r.doc_id for r in part.select("doc_id").collect()}
+    assert len(want) > learned.WRITTEN_DOCS
+    try:
+        learned.transfer(spark, tiny)
+    except Seen as e:
+        assert e.args == (want, ["block", "local", "two_level", "recurrent"])
+    else:
+        raise AssertionError("the models were not fitted by fit_all")
